@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from . import bytebpe, packing
+from . import bytebpe, packing, quality, toxicity
 
 
 def queries() -> dict:
     return {
         "op3_bytebpe": bytebpe.op3_bytebpe,
+        "op8_quality": quality.op8_quality,
+        "op10_toxicity": toxicity.op10_toxicity,
         "op9_pack": packing.op9_pack,
     }
 
