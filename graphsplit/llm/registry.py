@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from . import bytebpe, packing, quality, toxicity
+from . import bytebpe, chat, packing, quality, secrets, toxicity
 
 
 def queries() -> dict:
     return {
+        "op1_secrets": secrets.op1_secrets,
+        "op2_chat": chat.op2_chat,
         "op3_bytebpe": bytebpe.op3_bytebpe,
         "op8_quality": quality.op8_quality,
         "op10_toxicity": toxicity.op10_toxicity,
@@ -15,4 +17,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op1_secrets": secrets.ORACLE, "op2_chat": chat.ORACLE}
