@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bytebpe, chat, packing, quality, secrets, toxicity
+from . import bytebpe, chat, packing, quality, recompress, secrets, toxicity
 
 
 def queries() -> dict:
@@ -10,6 +10,7 @@ def queries() -> dict:
         "op1_secrets": secrets.op1_secrets,
         "op2_chat": chat.op2_chat,
         "op3_bytebpe": bytebpe.op3_bytebpe,
+        "op5_substrings": recompress.op5_substrings,
         "op8_quality": quality.op8_quality,
         "op10_toxicity": toxicity.op10_toxicity,
         "op9_pack": packing.op9_pack,
@@ -17,4 +18,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_secrets": secrets.ORACLE, "op2_chat": chat.ORACLE}
+    return {"op1_secrets": secrets.ORACLE, "op2_chat": chat.ORACLE, "op5_substrings": recompress.ORACLE}
