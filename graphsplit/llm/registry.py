@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bytebpe, chat, packing, quality, recompress, secrets, toxicity
+from . import bytebpe, chat, covers, packing, quality, recompress, secrets, toxicity
 
 
 def queries() -> dict:
@@ -11,6 +11,7 @@ def queries() -> dict:
         "op2_chat": chat.op2_chat,
         "op3_bytebpe": bytebpe.op3_bytebpe,
         "op5_substrings": recompress.op5_substrings,
+        "op6_suffixes": covers.op6_suffixes,
         "op8_quality": quality.op8_quality,
         "op10_toxicity": toxicity.op10_toxicity,
         "op9_pack": packing.op9_pack,
