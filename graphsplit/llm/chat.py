@@ -173,7 +173,8 @@ def format_records(df: DataFrame, column: str, layouts=LAYOUTS) -> DataFrame:
     """For JSON records in ``column``: all other columns, then layout, status, turns and formatted."""
     keep = [c for c in df.columns if c not in (column, "layout", "status", "turns", "formatted")]
     turn = "array<struct<role:string,text:string>>"
-    schema = df.select(*keep, F.lit("").alias("layout"), F.lit("").alias("status"), F.lit(None).cast(turn).alias("turns"), F.lit("").alias("formatted")).schema
+    text = F.lit(None).cast("string")
+    schema = df.select(*keep, text.alias("layout"), text.alias("status"), F.lit(None).cast(turn).alias("turns"), text.alias("formatted")).schema
 
     def run(batches):
         mappings = Mappings(layouts)

@@ -174,14 +174,14 @@ def rule_spans(text: Column, r: int, rule: Rule) -> Column:
 def scan(docs: DataFrame, rules=RULES) -> DataFrame:
     """All columns of ``docs`` and secret_spans: array<struct<start, rule, end>>, sorted."""
     grams = asked_trigrams(rules)
-    hits = storage.small(candidates(build_index(docs, grams), grams, rules).withColumnRenamed("doc_id", "_of"))
-    marked = docs.join(hits, docs["doc_id"].eqNullSafe(hits["_of"]), "left").drop("_of")
+    hits = storage.small(candidates(build_index(docs, grams), grams, rules).withColumnRenamed("doc_id", "_secret_of").withColumnRenamed("rules", "_secret_rules"))
+    marked = docs.join(hits, docs["doc_id"].eqNullSafe(hits["_secret_of"]), "left").drop("_secret_of")
     text, none = F.coalesce(F.col("text"), F.lit("")), F.array().cast("array<struct<start:int,rule:int,end:int>>")
     every = []
     for r, rule in enumerate(rules):
         spans = rule_spans(text, r, rule)
-        every.append(spans if trigram_query(rule.regex) is None else F.when(F.coalesce(F.col("rules"), F.lit(0)).bitwiseAND(F.lit(1 << r)) > 0, spans).otherwise(none))
-    return marked.withColumn("secret_spans", F.array_sort(F.concat(*every))).drop("rules")
+        every.append(spans if trigram_query(rule.regex) is None else F.when(F.coalesce(F.col("_secret_rules"), F.lit(0)).bitwiseAND(F.lit(1 << r)) > 0, spans).otherwise(none))
+    return marked.withColumn("secret_spans", F.array_sort(F.concat(*every))).drop("_secret_rules")
 
 
 def spelled(spans: Column, rules=RULES) -> Column:
@@ -199,11 +199,11 @@ def redact(docs: DataFrame, rules=RULES) -> DataFrame:
         wider = F.array(F.struct(last["start"].alias("start"), last["rule"].alias("rule"), F.greatest(last["end"], s["end"]).alias("end")))
         return F.when((F.size(done) > 0) & (s["start"] < F.try_element_at(done, F.lit(-1))["end"]), F.concat(F.slice(done, 1, F.greatest(F.size(done) - 1, F.lit(0))), wider)).otherwise(F.concat(done, F.array(s))).cast(kind)
 
-    merged = found.withColumn("_runs", F.when(F.size("secret_spans") > 0, F.aggregate("secret_spans", F.array().cast(kind), merge)))
+    merged = found.withColumn("_secret_runs", F.when(F.size("secret_spans") > 0, F.aggregate("secret_spans", F.array().cast(kind), merge)))
     names = F.array(*[F.lit(f"[{r.kind}]") for r in rules])
-    tail = F.transform("_runs", lambda s, i: F.concat(F.get(names, s["rule"]), F.substring(F.col("text"), s["end"] + 1, F.coalesce(F.get(F.col("_runs"), i + 1)["start"], F.length("text")) - s["end"])))
-    text = F.when(F.col("_runs").isNull(), F.col("text")).otherwise(F.concat(F.substring(F.col("text"), F.lit(1), F.get(F.col("_runs"), F.lit(0))["start"]), F.array_join(tail, "")))
-    return merged.withColumn("text", text).withColumn("n_chars", F.length("text").cast("long")).drop("_runs", "secret_spans")
+    tail = F.transform("_secret_runs", lambda s, i: F.concat(F.get(names, s["rule"]), F.substring(F.col("text"), s["end"] + 1, F.coalesce(F.get(F.col("_secret_runs"), i + 1)["start"], F.length("text")) - s["end"])))
+    text = F.when(F.col("_secret_runs").isNull(), F.col("text")).otherwise(F.concat(F.substring(F.col("text"), F.lit(1), F.get(F.col("_secret_runs"), F.lit(0))["start"]), F.array_join(tail, "")))
+    return merged.withColumn("text", text).withColumn("n_chars", F.length("text").cast("long")).drop("_secret_runs", "secret_spans")
 
 
 def of_rule(r: int) -> Column:

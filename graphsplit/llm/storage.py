@@ -1,56 +1,5 @@
 """Files shared by the driver and the executors: intermediate tables, size-checked broadcasts."""
 
-from __future__ import annotations
+from ..storage import BROADCAST_ROWS, release, shared_folder, small, spill, table, width
 
-import tempfile
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
-
-#: Most rows that a side of a join may have to be broadcast; its rows are narrow (about 100 bytes).
-BROADCAST_ROWS = 150_000
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that the cluster names in ``spark.checkpoint.dir``; a temporary one only where none is set."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not base:
-        base = getattr(spark.sparkContext, "_own_checkpoints", None)
-        if base is None:
-            base = spark.sparkContext._own_checkpoints = tempfile.mkdtemp(prefix="graphsplit-")
-    return base.rstrip("/")
-
-
-def spill(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` as a table in the shared folder and read it back; this cuts lineage and outlives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/graphsplit/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    out = spark.read.schema(df.schema).parquet(path)
-    out._spilled_at = path
-    return out
-
-
-def release(*frames: DataFrame) -> None:
-    """Delete what ``spill`` wrote for frames that no later plan reads."""
-    for df in frames:
-        path = getattr(df, "_spilled_at", None)
-        if path:
-            jvm = df.sparkSession._jvm
-            where = jvm.org.apache.hadoop.fs.Path(path)
-            where.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-
-
-def small(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
-    """``df`` with a broadcast hint if it has at most ``rows`` rows, else unchanged (the join then shuffles)."""
-    return F.broadcast(df) if len(df.select(F.lit(1)).take(rows + 1)) <= rows else df
-
-
-def width(spark: SparkSession) -> int:
-    """Number of shuffle partitions the session is set up for; bucket counts follow it."""
-    return int(spark.conf.get("spark.sql.shuffle.partitions"))
-
-
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+__all__ = ["BROADCAST_ROWS", "release", "shared_folder", "small", "spill", "table", "width"]

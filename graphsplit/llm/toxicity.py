@@ -208,7 +208,8 @@ def held_out(doc_id):
 
 
 def score_documents(docs: DataFrame, lexicon: Lexicon) -> DataFrame:
-    """All columns of ``docs`` and score; nothing is shuffled."""
+    """All columns of ``docs`` and toxic_score, in place of any that has this name; nothing is shuffled."""
+    docs = docs.drop("toxic_score")
     out = docs.schema.fieldNames()
 
     def run(batches):
