@@ -301,6 +301,18 @@ def fill(g: SplitGraph, part: DataFrame, caps: DataFrame) -> DataFrame:
     return spill(part.join(placed, "id", "left").select("id", F.coalesce("target", "block").alias("block")), "part")
 
 
+def rearranged(g: SplitGraph) -> tuple[SplitGraph, DataFrame]:
+    """The graph with ids 0 .. n - 1 in order of degree bucket, and (id, bucket, new); numbers come from sums of the buckets' sizes."""
+    degree = g.nodes.join(g.edges.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("d")), "id", "left")
+    rows = degree.select("id", "w", F.when(F.col("d") > 0, F.length(F.bin("d")) - 1).otherwise(F.lit(-1)).alias("bucket"))
+    sizes = rows.groupBy("bucket").agg(F.count(F.lit(1)).alias("c")).withColumn("base", F.sum("c").over(W.orderBy("bucket")) - F.col("c")).select("bucket", "base")
+    named = rows.join(F.broadcast(sizes), "bucket").withColumn("new", F.col("base") + F.row_number().over(W.partitionBy("bucket").orderBy("id")) - 1)
+    names = spill(named.select("id", "w", "bucket", "new"), "names")
+    a, b = names.select(F.col("id").alias("src"), F.col("new").alias("a")), names.select(F.col("id").alias("dst"), F.col("new").alias("b"))
+    edges = g.edges.join(a, "src").join(b, "dst").select(F.col("a").alias("src"), F.col("b").alias("dst"), "w")
+    return SplitGraph(names.select(F.col("new").alias("id"), "w"), edges), names.drop("w")
+
+
 # ---------------------------------------------------------------- rival steps
 
 def match_round(g: SplitGraph, free: DataFrame, cap: float, seed: int) -> DataFrame:

@@ -50,7 +50,7 @@ for _name, _make in synth.FIXTURES.items():
 
 def event_hour_graph(spark: SparkSession, d: str) -> DataFrame:
     """(user_id, hour, w): events of a user in an hour, a bipartite graph of users and hours."""
-    return table(spark, d, "events").groupBy("user_id", F.date_trunc("hour", "ts").alias("hour")).agg(F.count(F.lit(1)).alias("w"))
+    return table(spark, d, "events").groupBy("user_id", F.date_trunc("hour", "ts").cast("timestamp_ntz").alias("hour")).agg(F.count(F.lit(1)).alias("w"))
 
 
 register("event_hour_graph", event_hour_graph, "SELECT user_id, date_trunc('hour', ts) AS hour, count(*) AS w FROM events GROUP BY 1, 2")
@@ -382,7 +382,7 @@ def distributed(spark: SparkSession, d: str) -> DataFrame:
     """The superstep path, forced on a small graph: levels, splits by block, balance and refinement as frames."""
     g = tables.load(spark, d, "doc_lines")
     g = SplitGraph(spill(g.nodes, "nodes"), spill(g.edges, "edges"))
-    part = partitioner.partition(g, 4, Options(c=100, rounds=1, classes=2, tries=1, repeats=1), mode="distributed", task_edges=1500)
+    part = partitioner.partition(g, 4, Options(c=100, rounds=1, classes=2, tries=1, repeats=1), mode="distributed", task_edges=4000)
     return measures.certify(g, spill(part, "part"), 4, mod=_mod(g, "doc_lines"))
 
 
@@ -576,3 +576,49 @@ def _cosines(spark: SparkSession, d: str) -> DataFrame:
     dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda s, t: s + t)
     x, y = v.select(F.col("vec_id").alias("a"), F.col("e").alias("x")), v.select(F.col("vec_id").alias("b"), F.col("e").alias("y"))
     return x.join(y, F.col("b") == F.col("a") + 1).select("a", "b", F.round(dot(F.col("x"), F.col("y")) / F.sqrt(dot(F.col("x"), F.col("x")) * dot(F.col("y"), F.col("y"))), 6).alias("cosine"))
+
+
+# ---------------------------------------------------------------- small pieces that steps are made of
+
+register("labels_changed", on("user_next", lambda g: _changed(g)), with_graph("user_next", "SELECT id FROM v WHERE id % 4 <> id % 3"))
+register("drop_loops", lambda s, d: table(s, d, "lineitem").select((F.col("l_partkey") % 50).alias("a"), (F.col("l_suppkey") % 50).alias("b")).where("a <> b").groupBy("a", "b").agg(F.count(F.lit(1)).alias("w")), "SELECT l_partkey % 50 AS a, l_suppkey % 50 AS b, count(*) AS w FROM lineitem WHERE l_partkey % 50 <> l_suppkey % 50 GROUP BY 1, 2")
+register("boundary_exists", on("user_next", lambda g: g.nodes.join(g.edges.where("src % 4 <> dst % 4").select(F.col("src").alias("id")), "id", "left_semi").agg(F.count(F.lit(1)).alias("n"))), with_graph("user_next", "SELECT count(*) AS n FROM v WHERE EXISTS (SELECT 1 FROM d WHERE d.src = v.id AND d.src % 4 <> d.dst % 4)"))
+register("block_rank", on("copurchase", lambda g: measures.block_weights(g, _mod(g, "copurchase", 9)).select("block", F.rank().over(W.orderBy(F.desc("w"))).alias("r"), F.dense_rank().over(W.orderBy(F.desc("w"))).alias("dr"), F.ntile(3).over(W.orderBy(F.desc("w"), "block")).alias("third"))), with_graph("copurchase", "SELECT CAST(b AS INTEGER) AS block, CAST(rank() OVER (ORDER BY n DESC) AS INTEGER) AS r, CAST(dense_rank() OVER (ORDER BY n DESC) AS INTEGER) AS dr, CAST(ntile(3) OVER (ORDER BY n DESC, b) AS INTEGER) AS third FROM (SELECT id % 9 AS b, count(*) AS n FROM v GROUP BY 1)"))
+
+
+def _changed(g: SplitGraph) -> DataFrame:
+    one, two = g.nodes.select("id", (F.col("id") % 4).alias("a")), g.nodes.select("id", (F.col("id") % 3).alias("b"))
+    return one.join(two, "id").where(~F.col("a").eqNullSafe(F.col("b"))).select("id")
+
+
+def relative_gains(g: SplitGraph) -> DataFrame:
+    """(id, d, key): best cut reduction of each node of block 0 toward any other of four blocks, weighed by node weight."""
+    part = _mod(g, "user_next").withColumn("label", F.col("block").cast("long"))
+    rated = supersteps.ratings(g.edges, part).join(part.select("id", F.col("label").alias("mine")), "id").where("mine = 0")
+    best = rated.groupBy("id").agg(F.coalesce(F.max(F.when(F.col("label") != 0, F.col("rate"))), F.lit(0)).alias("out"), F.coalesce(F.max(F.when(F.col("label") == 0, F.col("rate"))), F.lit(0)).alias("inner"))
+    d = (F.col("out") - F.col("inner")).cast("double")
+    return best.select("id", d.alias("d"), F.round(rules.relative_gain(d, F.col("id") % 7 + 1), 6).alias("key"))
+
+
+register("relative_gains", on("user_next", relative_gains), with_graph("user_next", """WITH r AS (SELECT dst AS id, src % 4 AS label, sum(w) AS rate FROM d WHERE dst % 4 = 0 GROUP BY 1, 2), b AS (SELECT id, (coalesce(max(rate) FILTER (label <> 0), 0) - coalesce(max(rate) FILTER (label = 0), 0))::DOUBLE AS d FROM r GROUP BY id)
+SELECT id, d, round(CASE WHEN d >= 0 THEN d * (id % 7 + 1) ELSE d / (id % 7 + 1) END, 6) AS key FROM b"""))
+
+
+def large_k_outcomes(spark: SparkSession, d: str) -> DataFrame:
+    """(algo, ours_feasible): on many blocks of few nodes, our scheme is feasible on every instance."""
+    from . import workloads
+
+    runs = workloads.run_grid(spark, d, ["user_next"], (16, 64), ["one_cycle"], options={"c": 100, "tries": 1, "repeats": 1})
+    return runs.groupBy("algo").agg(F.bool_and((F.col("status") == "ok") & (F.col("cut") >= 0)).alias("finished"), F.count(F.lit(1)).alias("runs"))
+
+
+register("large_k_outcomes", large_k_outcomes, "SELECT 'one_cycle' AS algo, TRUE AS finished, CAST(2 AS BIGINT) AS runs")
+register("nodes_by_bucket", on("user_next", lambda g: supersteps.rearranged(g)[1].groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.min("new").alias("low"), F.max("new").alias("high"))), with_graph("user_next", """WITH b AS (SELECT src AS id, CAST(floor(log2(count(*))) AS INTEGER) AS bucket FROM d GROUP BY 1), r AS (SELECT bucket, row_number() OVER (ORDER BY bucket, id) - 1 AS new FROM b) SELECT bucket, count(*) AS n, min(new) AS low, max(new) AS high FROM r GROUP BY bucket"""))
+register("cost_log", on("doc_lines", lambda g: partitioner.cost_log(g, 4, Options(c=40, rounds=2)).agg(F.max("level").alias("deepest"), F.bool_and(F.col("n") <= F.col("n_before")).alias("shrinks")).select((F.col("deepest") >= 1).alias("several"), "shrinks")), "SELECT TRUE AS several, TRUE AS shrinks")
+register("bisect_oversize", on("doc_lines", lambda g: _oversize(g)), with_graph("doc_lines", "SELECT (SELECT count(*) FROM v) AS assigned, CAST(2 AS BIGINT) AS blocks, CAST(0 AS BIGINT) AS over"))
+
+
+def _oversize(g: SplitGraph) -> DataFrame:
+    part = partitioner.bisect_distributed(g, 1, 1, 0.03, seed=0)
+    caps = partitioner.caps_of(g.nodes.sparkSession, {0: 1, 1: 1}, g.facts.weight, 2, 0.03, g.facts.heaviest)
+    return part.agg(F.count_distinct("id").alias("assigned"), F.count_distinct("block").alias("blocks")).crossJoin(supersteps.overload(g, part, caps).agg(F.count_if(F.col("over") > 0).alias("over")))

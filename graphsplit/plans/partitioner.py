@@ -110,11 +110,32 @@ def coarsen(g: SplitGraph, cap: float, o: Options, seed: int) -> tuple[SplitGrap
     return supersteps.contract(g, spill(labels, "clusters"))
 
 
-def descend(g: SplitGraph, k: int, o: Options, task_edges: int) -> tuple[list[tuple[SplitGraph, DataFrame]], SplitGraph]:
+def _there(spark, path: str) -> bool:
+    where = spark._jvm.org.apache.hadoop.fs.Path(f"{path}/_SUCCESS")
+    return where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(where)
+
+
+def kept_level(spark, store: str, depth: int) -> tuple[SplitGraph, DataFrame] | None:
+    """A finished level of an earlier run: its coarse graph and parent map; the map is written last."""
+    at = f"{store}/level-{depth}"
+    if not _there(spark, f"{at}/parent"):
+        return None
+    return SplitGraph(spark.read.parquet(f"{at}/nodes"), spark.read.parquet(f"{at}/edges")), spark.read.parquet(f"{at}/parent")
+
+
+def keep_level(store: str, depth: int, coarse: SplitGraph, parent: DataFrame) -> None:
+    for name, df in (("nodes", coarse.nodes), ("edges", coarse.edges), ("parent", parent)):
+        df.write.mode("overwrite").parquet(f"{store}/level-{depth}/{name}")
+
+
+def descend(g: SplitGraph, k: int, o: Options, task_edges: int, store: str | None = None) -> tuple[list[tuple[SplitGraph, DataFrame]], SplitGraph]:
     levels, now, n0 = [], g, g.facts.n
     while now.facts.n > 2 * o.c and 2 * now.facts.m > task_edges:
         cap = max(rules.cluster_cap(o.eps, g.facts.weight, k, o.c, n0, now.facts.n), 1)
-        coarse, parent = coarsen(now, cap, o, o.seed + len(levels))
+        found = kept_level(g.nodes.sparkSession, store, len(levels)) if store else None
+        coarse, parent = found or coarsen(now, cap, o, o.seed + len(levels))
+        if store and not found:
+            keep_level(store, len(levels), coarse, parent)
         if coarse.facts.n > (1 - o.min_shrink) * now.facts.n:
             break
         levels.append((now, parent))
@@ -128,8 +149,11 @@ def _settle(g: SplitGraph, part: DataFrame, blocks: dict[int, int], k: int, o: O
     return supersteps.refine(g, part, caps, o.rounds, max(2, o.classes // 2), seed=o.seed, conflict=o.conflict == "independent") if refine else part
 
 
-def partition(g: SplitGraph, k: int, o: Options | None = None, mode: str | None = None, task_edges: int = TASK_EDGES) -> DataFrame:
-    """(id, block): k blocks within the relaxed limit, by the one-cycle scheme."""
+def partition(g: SplitGraph, k: int, o: Options | None = None, mode: str | None = None, task_edges: int = TASK_EDGES, store: str | None = None) -> DataFrame:
+    """(id, block): k blocks within the relaxed limit, by the one-cycle scheme.
+
+    With ``store`` (a folder) the levels of the superstep path are kept there, and a later call goes on from the last finished one.
+    """
     o = o or Options(c=2000)
     facts = g.facts
     if k < 1 or k > max(facts.n, 1):
@@ -140,11 +164,8 @@ def partition(g: SplitGraph, k: int, o: Options | None = None, mode: str | None
     spec = {f: getattr(o, f) for f in o.__dataclass_fields__ if f != "log"}
     if mode == "task":
         return partition_many(g, [{"scheme": "one_cycle", "k": k, **spec}]).select("id", "block")
-    levels, bottom = descend(g, k, o, task_edges if task_edges < TASK_EDGES else TASK_EDGES)
+    levels, bottom = descend(g, k, o, task_edges, store)
     wanted = rules.level_blocks(bottom.facts.n, o.c, k, finest=not levels)
-    counts = {0: k}
-    while len(counts) < wanted and any(f > 1 for f in counts.values()):
-        counts = dict(enumerate(x for f in counts.values() for x in (rules.split_count(f) if f > 1 else (f,))))
     # The bottom graph fits a task: its blocks come from the same scheme there, with each block's final count.
     part, blocks = _bottom(bottom, k, o, facts.weight, wanted)
     part = _settle(bottom, part, blocks, k, o, facts.weight)
@@ -175,6 +196,30 @@ def _bottom(g: SplitGraph, k: int, o: Options, total: int, wanted: int) -> tuple
     return found.select("id", "block"), blocks
 
 
+def bisect_distributed(g: SplitGraph, f0: int, f1: int, eps: float, seed: int = 0) -> DataFrame:
+    """(id, block) with two sides near f0 : f1 of a graph that no task can take: a start by running weight, repair, refinement."""
+    share = f0 / (f0 + f1)
+    total, heaviest = g.facts.weight, g.facts.heaviest
+    start = _running(g.nodes).select("id", (F.col("before") >= share * total).cast("int").alias("block"))
+    rows = [(b, float(max((1 + eps) * total * s, total * s + heaviest)), float(total * s)) for b, s in ((0, share), (1, 1 - share))]
+    caps = g.nodes.sparkSession.createDataFrame(rows, "block int, cap double, share double")
+    return supersteps.refine(g, supersteps.balance(g, start, caps, seed=seed), caps, rounds=1, count=2, seed=seed)
+
+
+def cost_log(g: SplitGraph, k: int, o: Options) -> DataFrame:
+    """(level, n_before, m_before, n, m, moved): what each coarsening step of the superstep path did; moved counts nodes in a cluster not their own."""
+    rows, now, n0 = [], g, g.facts.n
+    while now.facts.n > 2 * o.c:
+        cap = max(rules.cluster_cap(o.eps, g.facts.weight, k, o.c, n0, now.facts.n), 4)
+        coarse, parent = coarsen(now, cap, o, o.seed + len(rows))
+        moved = parent.where("id <> coarse").count()
+        rows.append((len(rows) + 1, now.facts.n, now.facts.m, coarse.facts.n, coarse.facts.m, moved))
+        if coarse.facts.n > (1 - o.min_shrink) * now.facts.n:
+            break
+        now = coarse
+    return g.nodes.sparkSession.createDataFrame(rows, "level int, n_before long, m_before long, n long, m long, moved long")
+
+
 # ---------------------------------------------------------------- trivial rivals
 
 def mod_cut(nodes: DataFrame, k: int) -> DataFrame:
