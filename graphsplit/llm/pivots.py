@@ -239,3 +239,12 @@ def recall_against_brute_force(vectors: DataFrame, every: int = 50, link: float
 
 def op7_pivots(spark, sf_dir: str) -> DataFrame:
     return near_duplicates(storage.table(spark, sf_dir, "embeddings").select("vec_id", "embedding"))
+
+
+ORACLE = r"""
+WITH RECURSIVE v AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings),
+l AS (SELECT a.vec_id AS x, b.vec_id AS y FROM v a JOIN v b ON a.vec_id <> b.vec_id AND list_cosine_similarity(a.e, b.e) >= 0.95),
+r AS (SELECT vec_id, vec_id AS c FROM v UNION SELECT l.y, r.c FROM r JOIN l ON l.x = r.vec_id WHERE r.c < l.y),
+m AS (SELECT vec_id, min(c) AS c FROM r GROUP BY 1)
+SELECT vec_id, (SELECT count(*) FROM l WHERE l.x = m.vec_id) AS n_links, c AS component_id, vec_id = c AS kept FROM m
+"""

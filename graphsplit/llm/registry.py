@@ -21,4 +21,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_secrets": secrets.ORACLE, "op2_chat": chat.ORACLE, "op5_substrings": recompress.ORACLE}
+    return {"op1_secrets": secrets.ORACLE, "op2_chat": chat.ORACLE, "op4_jaccard": setjoin.ORACLE, "op5_substrings": recompress.ORACLE, "op6_suffixes": covers.ORACLE, "op7_pivots": pivots.ORACLE}
