@@ -88,7 +88,7 @@ def repeated_strings(docs: DataFrame, length: int = LENGTH, period: int = PERIOD
     spark = docs.sparkSession
     marked = repeats.with_copies_marked(docs)
     own = marked.where(~F.col("spare"))
-    ranked = storage.spill(repeats.repeated_places(own, cover_emitter(length, period, cover)), "cover")
+    ranked = storage.spill(repeats.repeated_places(own, cover_emitter(length, period, cover), key_bytes=5), "cover")
     repeats.forget_shuffles(spark)
     found = storage.spill(repeats.repeated_places(repeats.with_places(own, ranked, "inner"), suffix_emitter(length, period), ("places", "text")), "suffixes")
     storage.release(ranked)
@@ -126,3 +126,14 @@ def op6_suffixes(spark, sf_dir: str) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), *[pa.array(c, pa.int64()) for c in cols[:3]], pa.array(cols[3])], [x.split()[0] for x in DIGESTS.split(", ")])
 
     return joined.select("doc_id", "copied", "places", "text").mapInArrow(run, DIGESTS)
+
+
+ORACLE = r"""
+WITH d AS (SELECT row_number() OVER () AS k, doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+p AS (SELECT k, i, md5_number(substr(h, 2 * i + 1, 400)) AS m FROM (SELECT k, h, unnest(range(0, length(h) // 2 - 199)) AS i FROM d)),
+r AS (SELECT k, i FROM (SELECT k, i, count(*) OVER (PARTITION BY m) AS n FROM p) WHERE n > 1),
+g AS (SELECT k, i, sum(fresh) OVER (PARTITION BY k ORDER BY i) AS s FROM (SELECT k, i, CASE WHEN i - lag(i) OVER (PARTITION BY k ORDER BY i) <= 200 THEN 0 ELSE 1 END AS fresh FROM r)),
+q AS (SELECT k, a, b, coalesce(lag(b) OVER (PARTITION BY k ORDER BY a), 0) AS last FROM (SELECT k, min(i) AS a, max(i) + 200 AS b FROM g GROUP BY k, s)),
+f AS (SELECT k, count(*) AS n_spans, sum(b - a) AS n_removed, string_agg(substr(h, 2 * last + 1, 2 * (a - last)), '' ORDER BY a) || substr(any_value(h), 2 * max(b) + 1) AS kept FROM q JOIN d USING (k) GROUP BY k)
+SELECT doc_id, CAST(length(h) // 2 AS BIGINT) AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, coalesce(n_spans, 0) AS n_spans, sha256(unhex(coalesce(kept, h))) AS kept_sha256 FROM d LEFT JOIN f USING (k)
+"""

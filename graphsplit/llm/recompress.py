@@ -138,7 +138,7 @@ def repeated_windows(docs: DataFrame, length: int = WINDOW) -> tuple[DataFrame,
     spark = docs.sparkSession
     marked = repeats.with_copies_marked(docs)
     own = marked.where(~F.col("spare"))
-    anchors = storage.spill(repeats.repeated_places(own, anchor_emitter(length)), "anchors")
+    anchors = storage.spill(repeats.repeated_places(own, anchor_emitter(length), key_bytes=5), "anchors")
     repeats.forget_shuffles(spark)
     found = storage.spill(repeats.repeated_places(repeats.with_places(own, anchors, "inner"), window_emitter(length), ("places", "text")), "windows")
     storage.release(anchors)
@@ -161,15 +161,15 @@ def kept_words(words: list[bytes], starts: np.ndarray, copied: bool, length: int
 
 def remove_repeats(docs: DataFrame, length: int = WINDOW) -> DataFrame:
     """``docs`` without the words of repeated windows: text is the kept words joined by one blank where any went, else unchanged; n_chars follows."""
-    out = docs.columns
+    rest = [c for c in docs.columns if c not in ("doc_id", "text")]
     marked, found = repeated_windows(docs, length)
     copied = marked.where("copied").select("doc_id", "mark").distinct().withColumn("copied", F.lit(True))
-    whole = storage.small(storage.spill(copied, "copied"))
-    keyed = docs.withColumn("mark", F.xxhash64(F.coalesce("text", F.lit(""))))
+    whole = storage.small(storage.spill(copied, "copied")).withColumnRenamed("doc_id", "_of").withColumnRenamed("mark", "_mark")
+    # Other columns travel in one struct, so their names cannot clash with those used here.
+    held = F.struct(*rest) if rest else F.struct(F.lit(0).alias("none"))
+    keyed = docs.select("doc_id", "text", held.alias("rest"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("mark"))
     joined = repeats.with_places(keyed, storage.small(found), "left")
-    whole = whole.withColumnRenamed("doc_id", "_of").withColumnRenamed("mark", "_mark")
-    joined = joined.join(whole, joined["doc_id"].eqNullSafe(whole["_of"]) & (joined["mark"] == whole["_mark"]), "left").drop("_of", "_mark")
-    kind = docs.select("*").schema
+    joined = joined.join(whole, joined["doc_id"].eqNullSafe(whole["_of"]) & (joined["mark"] == whole["_mark"]), "left").select("doc_id", "rest", "text", "places", "copied")
 
     def run(batches):
         for batch in batches:
@@ -181,10 +181,11 @@ def remove_repeats(docs: DataFrame, length: int = WINDOW) -> DataFrame:
                 words = words_of(text)
                 kept = kept_words(words, unpack(places) if places else np.zeros(0, dtype=np.int64), bool(all_), length)
                 texts.append(text if len(kept) == len(words) else b" ".join(kept).decode("utf-8", "surrogatepass"))
-            new = {"text": pa.array(texts, pa.string()), "n_chars": pa.array([len(t) if t is not None else None for t in texts], pa.int64())}
-            yield pa.RecordBatch.from_arrays([new.get(c, batch.column(c)) for c in out], out)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("rest"), pa.array(texts, pa.string())], ["doc_id", "rest", "text"])
 
-    return joined.select(*out, "places", "copied").mapInArrow(run, kind)
+    out = joined.mapInArrow(run, joined.select("doc_id", "rest", "text").schema)
+    chars = F.length("text").cast("long")
+    return out.select(*[F.col(c) if c in ("doc_id", "text") else chars.alias(c) if c == "n_chars" else F.col("rest")[c].alias(c) for c in docs.columns])
 
 
 DIGESTS = "doc_id long, n_words long, n_removed long, kept_sha256 string"

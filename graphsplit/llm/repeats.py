@@ -8,6 +8,7 @@ entry, and no task holds more than its bucket or its batch.
 
 from __future__ import annotations
 
+import gc
 from collections.abc import Callable
 
 import numpy as np
@@ -20,7 +21,7 @@ from . import storage
 from .textkit import U64, pack, slices, unpack
 
 #: Entries that a map task gathers before it sends them.
-BATCH_ENTRIES = 1_500_000
+BATCH_ENTRIES = 700_000
 ROWS = pa.schema([("bucket", pa.int32()), ("uid", pa.int64()), ("kind", pa.int8()), ("keys", pa.binary()), ("many", pa.binary()), ("places", pa.binary())])
 ROWS_SQL = "bucket int, uid long, kind byte, keys binary, many binary, places binary"
 #: Kinds of rows: a batch's documents; where its entries lie; entries known to be repeated; hashes sent to a bucket.
@@ -32,7 +33,7 @@ def bucket_count(spark) -> int:
     return 1 << (2 * storage.width(spark) - 1).bit_length()
 
 
-def _send(uid: int, docs: list, keys: np.ndarray, seconds: np.ndarray, doc: np.ndarray, place: np.ndarray, buckets: int) -> list[tuple]:
+def _send(uid: int, docs: list, keys: np.ndarray, seconds: np.ndarray, doc: np.ndarray, place: np.ndarray, buckets: int, key_bytes: int) -> list[tuple]:
     order = np.argsort(keys)
     ordered = keys[order]
     first = np.r_[True, ordered[1:] != ordered[:-1]]
@@ -47,7 +48,7 @@ def _send(uid: int, docs: list, keys: np.ndarray, seconds: np.ndarray, doc: np.n
     by = np.argsort(bucket, kind="stable")
     at, bucket = at[by], bucket[by]
     edges = np.searchsorted(bucket, np.arange(buckets + 1))
-    home = uid % buckets
+    home = ((uid >> 24) * 40503 + (uid & 0xFFFFFF)) % buckets  # spreads the rows that only pass
     rows = [
         (home, uid, DOCUMENTS, b"".join(int(t).to_bytes(8, "little", signed=True) for _, t in docs), None, _ids([d for d, _ in docs])),
         (home, uid, ENTRIES, pack(doc), None, pack(place)),
@@ -55,7 +56,7 @@ def _send(uid: int, docs: list, keys: np.ndarray, seconds: np.ndarray, doc: np.n
     ]
     for b in np.flatnonzero(np.diff(edges)):
         own = at[edges[b] : edges[b + 1]]
-        rows.append((int(b), uid, SENT, seconds[own].tobytes(), np.packbits(many[own]).tobytes(), pack(own)))
+        rows.append((int(b), uid, SENT, np.ascontiguousarray(seconds[own].view(np.uint8).reshape(-1, 8)[:, :key_bytes]).tobytes(), np.packbits(many[own]).tobytes(), pack(own)))
     return rows
 
 
@@ -72,14 +73,20 @@ def _record(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), ROWS, strict=True)], schema=ROWS)
 
 
-def _meet(table: pa.Table) -> pa.Table:
+def _widened(b: bytes, key_bytes: int) -> np.ndarray:
+    out = np.zeros((len(b) // key_bytes, 8), dtype=np.uint8)
+    out[:, :key_bytes] = np.frombuffer(b, dtype=np.uint8).reshape(-1, key_bytes)
+    return out.view(U64).ravel()
+
+
+def _meet(table: pa.Table, key_bytes: int) -> pa.Table:
     """One bucket: for each batch, which of the entries it sent are met elsewhere; rows of other kinds pass."""
     kinds = table.column("kind").to_numpy()
     passing = table.filter(pa.array(kinds != SENT))
     sent = table.filter(pa.array(kinds == SENT))
     if not len(sent):
         return passing
-    keys = [np.frombuffer(k, dtype=U64) for k in sent.column("keys").to_pylist()]
+    keys = [_widened(k, key_bytes) for k in sent.column("keys").to_pylist()]
     many = np.concatenate([np.unpackbits(np.frombuffer(m, dtype=np.uint8), count=len(k)) for m, k in zip(sent.column("many").to_pylist(), keys, strict=True)]).astype(bool)
     every = np.concatenate(keys)
     order = np.argsort(every)
@@ -117,12 +124,13 @@ def _gather(table: pa.Table) -> pa.Table:
     return pa.table([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.binary()), strict=True)], names=["doc_id", "mark", "places"])
 
 
-def repeated_places(docs: DataFrame, emit: Callable, columns: tuple[str, ...] = ("text",), slice_bytes: int = 2_000_000) -> DataFrame:
+def repeated_places(docs: DataFrame, emit: Callable, columns: tuple[str, ...] = ("text",), slice_bytes: int = 1_000_000, key_bytes: int = 8) -> DataFrame:
     """doc_id, mark, places (packed, ascending) of documents with places whose content is met at any other place.
 
     ``docs`` has doc_id, mark (a hash of the text; both name a row) and ``columns``, the text last.  ``emit`` gets
     lists of these columns' values and returns (doc, place, key, second key) arrays: two independent 64-bit hashes an entry.
-    A bucket is a range of the first, and entries are told apart there by the second.
+    A bucket is a range of the first, and entries are told apart there by ``key_bytes`` of the second; fewer bytes than 8 suit
+    a step whose result another one verifies, as equal keys of different content then only cost work.
     """
     buckets = bucket_count(docs.sparkSession)
 
@@ -131,19 +139,22 @@ def repeated_places(docs: DataFrame, emit: Callable, columns: tuple[str, ...] =
         docs_in, parts, n = [], [], 0
         for ids, marks, *values in slices(batches, ["doc_id", "mark", *columns], slice_bytes):
             doc, place, key, second = emit(*values)
-            parts.append((doc + len(docs_in), place, key, second))
+            parts.append(((doc + len(docs_in)).astype(np.int32), place.astype(np.int64), key, second))
             docs_in += zip(ids, marks, strict=True)
             n += len(key)
             if n >= BATCH_ENTRIES:
                 doc, place, key, second = (np.concatenate(x) for x in zip(*parts, strict=True))
-                yield _record(_send(uid, docs_in, key, second, doc, place, buckets))
+                yield _record(_send(uid, docs_in, key, second, doc, place, buckets, key_bytes))
                 docs_in, parts, n, uid = [], [], 0, uid + 1
         if n:
             doc, place, key, second = (np.concatenate(x) for x in zip(*parts, strict=True))
-            yield _record(_send(uid, docs_in, key, second, doc, place, buckets))
+            yield _record(_send(uid, docs_in, key, second, doc, place, buckets, key_bytes))
+
+    def meet(table: pa.Table) -> pa.Table:
+        return _meet(table, key_bytes)
 
     sent = docs.select("doc_id", "mark", *columns).mapInArrow(run, ROWS_SQL)
-    met = sent.groupBy("bucket").applyInArrow(_meet, ROWS_SQL)
+    met = sent.groupBy("bucket").applyInArrow(meet, ROWS_SQL)
     return met.groupBy("uid").applyInArrow(_gather, "doc_id long, mark long, places binary").dropDuplicates(["doc_id", "mark"])
 
 
@@ -172,4 +183,5 @@ def with_places(docs: DataFrame, places: DataFrame, how: str) -> DataFrame:
 
 def forget_shuffles(spark) -> None:
     """Let the driver notice that shuffles of finished steps are not needed any more, so that their files go."""
+    gc.collect()
     spark._jvm.System.gc()
