@@ -614,7 +614,7 @@ def large_k_outcomes(spark: SparkSession, d: str) -> DataFrame:
 
 register("large_k_outcomes", large_k_outcomes, "SELECT 'one_cycle' AS algo, TRUE AS finished, CAST(2 AS BIGINT) AS runs")
 register("nodes_by_bucket", on("user_next", lambda g: supersteps.rearranged(g)[1].groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.min("new").alias("low"), F.max("new").alias("high"))), with_graph("user_next", """WITH b AS (SELECT src AS id, CAST(floor(log2(count(*))) AS INTEGER) AS bucket FROM d GROUP BY 1), r AS (SELECT bucket, row_number() OVER (ORDER BY bucket, id) - 1 AS new FROM b) SELECT bucket, count(*) AS n, min(new) AS low, max(new) AS high FROM r GROUP BY bucket"""))
-register("cost_log", on("doc_lines", lambda g: partitioner.cost_log(g, 4, Options(c=40, rounds=2)).agg(F.max("level").alias("deepest"), F.bool_and(F.col("n") <= F.col("n_before")).alias("shrinks")).select((F.col("deepest") >= 1).alias("several"), "shrinks")), "SELECT TRUE AS several, TRUE AS shrinks")
+register("cost_log", on("user_next", lambda g: partitioner.cost_log(g, 4, Options(c=60, rounds=1, classes=1)).agg(F.max("level").alias("deepest"), F.bool_and(F.col("n") <= F.col("n_before")).alias("shrinks")).select((F.col("deepest") >= 1).alias("several"), "shrinks")), "SELECT TRUE AS several, TRUE AS shrinks")
 register("bisect_oversize", on("doc_lines", lambda g: _oversize(g)), with_graph("doc_lines", "SELECT (SELECT count(*) FROM v) AS assigned, CAST(2 AS BIGINT) AS blocks, CAST(0 AS BIGINT) AS over"))
 
 
