@@ -17,6 +17,46 @@ from ..model import SplitGraph
 from ..storage import release, small, spill
 
 BINS = 64
+#: Slices of ids that running sums go through, and bins of a hash that a quota is cut from.
+SLICES = 1024
+#: Nodes of one favourite that one window pairs up.
+PAIRED_AT_ONCE = 4096
+
+
+def running_weight(rows: DataFrame, by: tuple[str, ...] = (), seed: int = 0, slices: int = SLICES) -> DataFrame:
+    """``rows`` (id, w, ...) with upto: the weight up to and with each row of its ``by``, slice of hashed ids by slice.
+
+    Slices are summed first, so no window holds more than one slice of one group.
+    """
+    cut = rows.withColumn("_s", mix("id", seed) % slices)
+    sums = cut.groupBy(*by, "_s").agg(F.sum("w").alias("_sw"))
+    bases = sums.withColumn("_base", F.sum("_sw").over(W.partitionBy(*by).orderBy("_s")) - F.col("_sw")).drop("_sw")
+    inside = W.partitionBy(*by, "_s").orderBy("id").rowsBetween(W.unboundedPreceding, 0)
+    return cut.join(small(bases), [*by, "_s"]).withColumn("upto", F.col("_base") + F.sum("w").over(inside)).drop("_s", "_base")
+
+
+def at_positions(rows: DataFrame, spans: DataFrame, length: float) -> DataFrame:
+    """``rows`` (at, ...) joined with the span (from, to, ...) that holds their position; an equi-join on cells of the line of ``length``."""
+    cell = max(length / SLICES, 1e-9)
+    cells = spans.withColumn("_cell", F.explode(F.sequence(F.floor(F.col("from") / cell), F.floor(F.col("to") / cell))))
+    placed = rows.withColumn("_cell", F.floor(F.col("at") / cell))
+    return placed.join(small(cells), "_cell").where((F.col("at") >= F.col("from")) & (F.col("at") < F.col("to"))).drop("_cell")
+
+
+def first_by_hash(rows: DataFrame, key: str, quota: int, seed: int) -> DataFrame:
+    """The ``quota`` rows of least (hash of ``key``, id); only the bin of hashes in which the quota ends is ordered."""
+    width = PRIME // SLICES + 1
+    binned = rows.withColumn("_h", mix(key, seed)).withColumn("_bin", F.expr(f"_h div {width}"))
+    left, last = quota, None
+    for r in sorted(binned.groupBy("_bin").agg(F.count(F.lit(1)).alias("c")).collect(), key=lambda r: r._bin):
+        if left < r.c:
+            last = r._bin
+            break
+        left -= r.c
+    if last is None:
+        return rows
+    ranked = binned.where(F.col("_bin") == last).withColumn("_r", F.row_number().over(W.partitionBy("_bin").orderBy("_h", "id"))).where(F.col("_r") <= left)
+    return binned.where(F.col("_bin") < last).drop("_h", "_bin").unionByName(ranked.drop("_h", "_bin", "_r"))
 
 
 # ---------------------------------------------------------------- ratings and admission
@@ -146,17 +186,21 @@ def two_hop(clustering: DataFrame, n: int, cap: float, degrees: DataFrame | None
         return plain
     lookup = clustering.select(F.col("id").alias("fav"), F.col("label").alias("fav_now"))
     lone = clustering.join(sizes.where("size = 1"), "label").where("fav is not null").join(lookup, "fav", "left").select("id", "w", "label", F.coalesce("fav_now", "fav").alias("fav"))
-    by = W.partitionBy("fav").orderBy("w", mix("id", seed), "id")
+    # A hub may be the favourite of a third of all nodes: its nodes are paired in parts.
+    lone = spill(lone, "lone")
+    parts = lone.groupBy("fav").agg((F.count(F.lit(1)) / F.lit(PAIRED_AT_ONCE)).cast("long").alias("parts")).where("parts > 0")
+    lone = lone.join(small(parts), "fav", "left").withColumn("part", F.when(F.col("parts").isNull(), 0).otherwise(mix("id", seed + 7) % (F.col("parts") + 1))).drop("parts")
+    by = W.partitionBy("fav", "part").orderBy("w", mix("id", seed), "id")
     if mode == "groups":
         bin_ = F.floor((F.sum("w").over(by.rowsBetween(W.unboundedPreceding, 0)) - 1) / F.lit(max(int(cap), 1)))
-        grouped = lone.withColumn("bin", bin_).withColumn("head", F.first("label").over(W.partitionBy("fav", "bin").orderBy("w", "id")))
+        grouped = lone.withColumn("bin", bin_).withColumn("head", F.first("label").over(W.partitionBy("fav", "part", "bin").orderBy("w", "id")))
         joins = grouped.where("head <> label").select("id", F.col("head").alias("into"))
     else:
         ranked = lone.withColumn("r", F.row_number().over(by))
-        pair = W.partitionBy("fav", F.expr("(r - 1) div 2")).orderBy("r")
+        pair = W.partitionBy("fav", "part", F.expr("(r - 1) div 2")).orderBy("r")
         paired = ranked.withColumn("into", F.lag("label").over(pair)).withColumn("other", F.lag("w").over(pair))
         joins = paired.where((F.col("into").isNotNull()) & (F.col("w") + F.col("other") <= cap)).select("id", "into")
-    chosen = joins.orderBy(mix("into", seed + 1), "id").limit(quota)
+    chosen = first_by_hash(spill(joins, "joins"), "into", quota, seed + 1)
     return plain.join(chosen, "id", "left").select("id", "w", F.coalesce("into", "label").alias("label"))
 
 
@@ -293,11 +337,12 @@ def fill(g: SplitGraph, part: DataFrame, caps: DataFrame) -> DataFrame:
     state = spill(caps.join(held, "block", "left").select("block", "cap", "share", F.coalesce("held", F.lit(0)).alias("held")), "state")
     heavy = small(state.where("held > cap").select("block", F.col("share").alias("keep")))
     rows = g.nodes.join(part, "id").join(heavy, "block")
-    run = rows.withColumn("upto", F.sum("w").over(W.partitionBy("block").orderBy(F.desc("w"), "id").rowsBetween(W.unboundedPreceding, 0)))
-    excess = run.where("upto > keep").select("id", "w")
-    excess = excess.withColumn("at", F.sum("w").over(W.orderBy(F.desc("w"), "id").rowsBetween(W.unboundedPreceding, 0)) - F.col("w"))
-    light = state.where("held < share").select("block", (F.col("share") - F.col("held")).alias("gap")).withColumn("to", F.sum("gap").over(W.orderBy("block"))).withColumn("from", F.col("to") - F.col("gap"))
-    placed = excess.join(small(light.select(F.col("block").alias("target"), "from", "to")), (F.col("at") >= F.col("from")) & (F.col("at") < F.col("to")), "left").where("target is not null").select("id", "target")
+    excess = spill(running_weight(rows, ("block",)).where("upto > keep").select("id", "w"), "excess")
+    excess = running_weight(excess, seed=1).select("id", (F.col("upto") - F.col("w")).cast("double").alias("at"))
+    light = state.where("held < share").select("block", (F.col("share") - F.col("held")).alias("gap"))
+    length = light.agg(F.sum("gap")).first()[0] or 0.0
+    light = light.withColumn("to", F.sum("gap").over(W.orderBy("block"))).withColumn("from", F.col("to") - F.col("gap"))
+    placed = at_positions(excess, light.select(F.col("block").alias("target"), "from", "to"), length).select("id", "target")
     return spill(part.join(placed, "id", "left").select("id", F.coalesce("target", "block").alias("block")), "part")
 
 

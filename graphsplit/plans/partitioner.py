@@ -65,22 +65,54 @@ def partition_many(g: SplitGraph, instances: list[dict]) -> DataFrame:
 
 # ---------------------------------------------------------------- supersteps
 
-def bisect_blocks(g: SplitGraph, part: DataFrame, blocks: dict[int, int], k: int, o: Options, total: int, stop: int | None = None) -> tuple[DataFrame, dict[int, int]]:
+def large_blocks(g: SplitGraph, part: DataFrame, blocks: dict[int, int], task_edges: int) -> list[int]:
+    """Blocks still to be split whose nodes and inner edges no task can take: at most one for each ``task_edges`` rows of the graph."""
+    if 2 * g.facts.m + g.facts.n <= task_edges:
+        return []
+    sizes = part.groupBy("block").agg(F.count(F.lit(1)).alias("c")).unionByName(supersteps.induced(g, part).groupBy("block").agg(F.count(F.lit(1)).alias("c")))
+    found = sizes.groupBy("block").agg(F.sum("c").alias("c")).where(F.col("c") > task_edges).select("block").collect()
+    return sorted(r.block for r in found if blocks[r.block] > 1)
+
+
+def halve_large(g: SplitGraph, part: DataFrame, halves: dict[int, tuple[int, int, int]], k: int, o: Options, total: int) -> DataFrame:
+    """(id, block) of the blocks in ``halves`` (block: first new name and the two counts), all split at once as frames.
+
+    Sides start by running weight inside each block; refinement sees inner edges only, so a node can only change to the other side.
+    """
+    spark = g.nodes.sparkSession
+    table = spark.createDataFrame([(b, base, f0 / (f0 + f1)) for b, (base, f0, f1) in halves.items()], "block int, base int, share double")
+    rows = spill(g.nodes.join(part, "id").join(small(table), "block"), "large")
+    whole = rows.groupBy("block").agg(F.sum("w").alias("whole"))
+    side = (F.col("upto") - F.col("w") >= F.col("share") * F.col("whole")).cast("int")
+    start = spill(supersteps.running_weight(rows, ("block",), o.seed).join(small(whole), "block").select("id", (F.col("base") + side).alias("block")), "sides")
+    own = SplitGraph(rows.select("id", "w"), spill(supersteps.induced(g, rows.select("id", "block")).select("src", "dst", "w"), "inner"))
+    new = {base + i: f for base, f0, f1 in halves.values() for i, f in enumerate((f0, f1))}
+    return supersteps.refine(own, start, caps_of(spark, new, total, k, o.eps, g.facts.heaviest), rounds=1, count=2, seed=o.seed)
+
+
+def bisect_blocks(g: SplitGraph, part: DataFrame, blocks: dict[int, int], k: int, o: Options, total: int, stop: int | None = None, task_edges: int = TASK_EDGES) -> tuple[DataFrame, dict[int, int]]:
     """Split each block with a count above 1, each in its own task; with ``stop=1`` all remaining halvings at once.
 
+    Blocks that no task can take are halved together as frames, again and again where ``stop=1``.
     Block names are dense after each step.  ``blocks`` has a row for each block, at most k.
     """
+    large = set(large_blocks(g, part, blocks, task_edges))
     plan, nxt = {}, 0
     for b, f in sorted(blocks.items()):
         if f < 2:
             plan[b] = (nxt, [f])
-        elif stop == 1:
+        elif stop == 1 and b not in large:
             plan[b] = (nxt, [1] * f)
         else:
             plan[b] = (nxt, list(rules.split_count(f)))
         nxt += len(plan[b][1])
-    inner = supersteps.induced(g, part).select("block", F.lit(1).alias("kind"), F.col("src").alias("a"), F.col("dst").alias("b"), "w")
-    rows = g.nodes.join(part, "id").select("block", F.lit(0).alias("kind"), F.col("id").alias("a"), F.lit(0).cast("long").alias("b"), "w").unionByName(inner)
+    halves = {b: (plan[b][0], *plan[b][1]) for b in large}
+    here = part
+    if large:
+        named = small(g.nodes.sparkSession.createDataFrame([(b,) for b in large], "block int"))
+        here = part.join(named, "block", "left_anti").select("id", "block")
+    inner = supersteps.induced(g, here).select("block", F.lit(1).alias("kind"), F.col("src").alias("a"), F.col("dst").alias("b"), "w")
+    rows = g.nodes.join(here, "id").select("block", F.lit(0).alias("kind"), F.col("id").alias("a"), F.lit(0).cast("long").alias("b"), "w").unionByName(inner)
 
     def run(group: pa.Table) -> pa.Table:
         b = int(group.column("block")[0].as_py())
@@ -96,7 +128,13 @@ def bisect_blocks(g: SplitGraph, part: DataFrame, blocks: dict[int, int], k: int
         return pa.table({"id": pa.array(ids), "block": pa.array((base + out).astype(np.int32))})
 
     split = spill(rows.groupBy("block").applyInArrow(run, "id long, block int"), "split")
-    return split, {base + i: f for base, counts in plan.values() for i, f in enumerate(counts)}
+    after = {base + i: f for base, counts in plan.values() for i, f in enumerate(counts)}
+    if large:
+        parts = part.join(named, "block", "left_semi").select("id", "block")
+        split = spill(split.unionByName(halve_large(g, parts, halves, k, o, total)), "split")
+        if stop == 1 and any(f > 1 for f in after.values()):
+            return bisect_blocks(g, split, after, k, o, total, stop, task_edges)
+    return split, after
 
 
 def caps_of(spark, blocks: dict[int, int], total: int, k: int, eps: float, heaviest: int) -> DataFrame:
@@ -166,23 +204,29 @@ def partition(g: SplitGraph, k: int, o: Options | None = None, mode: str | None
         return partition_many(g, [{"scheme": "one_cycle", "k": k, **spec}]).select("id", "block")
     levels, bottom = descend(g, k, o, task_edges, store)
     wanted = rules.level_blocks(bottom.facts.n, o.c, k, finest=not levels)
-    # The bottom graph fits a task: its blocks come from the same scheme there, with each block's final count.
-    part, blocks = _bottom(bottom, k, o, facts.weight, wanted)
+    # A bottom graph that fits a task gets its blocks from the same scheme there, with each block's final count.
+    part, blocks = _bottom(bottom, k, o, facts.weight, wanted, task_edges)
     part = _settle(bottom, part, blocks, k, o, facts.weight)
     for depth, (fine, parent) in reversed(list(enumerate(levels))):
         part = spill(supersteps.project(parent, part), "part")
         wanted = rules.level_blocks(fine.facts.n, o.c, k)
         while len(blocks) < wanted and any(f > 1 for f in blocks.values()):
-            part, blocks = bisect_blocks(fine, part, blocks, k, o, facts.weight)
+            part, blocks = bisect_blocks(fine, part, blocks, k, o, facts.weight, task_edges=task_edges)
         if depth > 0 or o.final_order == "twice" or len(blocks) == k:
             part = _settle(fine, part, blocks, k, o, facts.weight)
     if len(blocks) < k:
-        part, blocks = bisect_blocks(g, part, blocks, k, o, facts.weight, stop=1)
+        part, blocks = bisect_blocks(g, part, blocks, k, o, facts.weight, stop=1, task_edges=task_edges)
         part = _settle(g, part, blocks, k, o, facts.weight)
     return part
 
 
-def _bottom(g: SplitGraph, k: int, o: Options, total: int, wanted: int) -> tuple[DataFrame, dict[int, int]]:
+def _bottom(g: SplitGraph, k: int, o: Options, total: int, wanted: int, task_edges: int) -> tuple[DataFrame, dict[int, int]]:
+    if 2 * g.facts.m + g.facts.n > task_edges:  # coarsening came to a halt early, or C is large
+        part, blocks = spill(g.nodes.select("id", F.lit(0).alias("block")), "part"), {0: k}
+        while len(blocks) < wanted and any(f > 1 for f in blocks.values()):
+            part, blocks = bisect_blocks(g, part, blocks, k, o, total, task_edges=task_edges)
+        return part, blocks
+
     def run(group: pa.Table) -> pa.Table:
         ids, csr = to_csr(group)
         part, blocks = local._bottom(csr, k, Options(**spec), total) if csr.n > 1 else (np.zeros(csr.n, dtype=np.int64), local.Blocks(np.array([k])))
