@@ -381,3 +381,11 @@ def match_heavy_edge(g: SplitGraph, cap: float, rounds: int = 4, seed: int = 0)
             break
         labels = labels.join(into, "id", "left").select("id", "w", F.coalesce("into", "label").alias("label"), (F.col("taken") | F.col("into").isNotNull()).alias("taken"))
     return labels.select("id", "w", "label")
+
+
+def match_two_hop(g: SplitGraph, matched: DataFrame, cap: float, seed: int = 0) -> DataFrame:
+    """(id, w, label): single nodes of a matching (id, w, label) paired if they share their heaviest neighbour."""
+    heaviest = g.edges.groupBy(F.col("src").alias("id")).agg(F.max_by("dst", F.struct("w", mix("dst", seed).alias("t"), "dst")).alias("fav"))
+    # The favourite stays the neighbour itself, whatever cluster it is in, so labels of single nodes are its own.
+    held = matched.join(heaviest, "id", "left").select("id", "w", "label", "fav")
+    return two_hop(held, 0, cap, seed=seed)

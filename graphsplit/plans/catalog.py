@@ -402,6 +402,8 @@ for _g in ("user_next", "doc_lines"):
 register("unbounded_lp", on("doc_lines", lambda g: clustering_facts(g, supersteps.lp_cluster(g, float("inf"), rounds=1, count=2, enforce="soft"), float("inf"))), with_graph("doc_lines", "SELECT (SELECT count(*) FROM v) AS nodes, (SELECT count(*) FROM v) AS weight, CAST(0 AS BIGINT) AS over, CAST(0 AS BIGINT) AS unnamed"))
 register("heavy_edge_matching", on("doc_lines", lambda g: clustering_facts(g, supersteps.match_heavy_edge(g, 2.0, 2), 2)), with_graph("doc_lines", "SELECT (SELECT count(*) FROM v) AS nodes, (SELECT count(*) FROM v) AS weight, CAST(0 AS BIGINT) AS over, CAST(0 AS BIGINT) AS unnamed"))
 
+register("two_hop_matching", on("doc_lines", lambda g: clustering_facts(g, supersteps.match_two_hop(g, supersteps.match_heavy_edge(g, 2.0, 2), 2.0), 2)), with_graph("doc_lines", "SELECT (SELECT count(*) FROM v) AS nodes, (SELECT count(*) FROM v) AS weight, CAST(0 AS BIGINT) AS over, CAST(0 AS BIGINT) AS unnamed"))
+
 
 def coarsen_facts(g: SplitGraph) -> DataFrame:
     """(node_weight, edge_weight): kept by contraction, inner weight counted in."""
@@ -544,6 +546,7 @@ measured("agg_seeds", stats.agg_seeds, "SELECT * FROM s", ("secs", "cut"))
 measured("geo_mean_runs", lambda r: r.groupBy("algo").agg(stats.geo_mean("secs").alias("secs"), stats.geo_mean("cut").alias("cut")), "SELECT algo, exp(avg(ln(secs))) AS secs, exp(avg(ln(cut))) AS cut FROM r GROUP BY algo", ("secs", "cut"))
 measured("harm_mean_speedup", lambda r: stats.speedup(r).groupBy("p").agg(stats.harm_mean("speedup").alias("speedup")), "SELECT p, count(*) / sum(1 / speedup) AS speedup FROM (SELECT a.p, b.t / a.t AS speedup FROM (SELECT graph, k, p, avg(secs) AS t FROM r GROUP BY ALL) a JOIN (SELECT graph, k, avg(secs) AS t FROM r WHERE p = 1 GROUP BY ALL) b USING (graph, k)) GROUP BY p", ("speedup",))
 measured("performance_profile", lambda r: stats.performance_profile(stats.agg_seeds(r), [1.0, 1.1, 1.5, 2.0]), "SELECT algo, tau, avg(CASE WHEN cut <= tau * best THEN 1.0::DOUBLE ELSE 0 END) AS share FROM (SELECT *, min(cut) OVER (PARTITION BY graph, k) AS best FROM s), (VALUES (1.0::DOUBLE), (1.1), (1.5), (2.0)) t(tau) GROUP BY ALL", ("share",))
+measured("profile_tau_grid", lambda r: r.select("algo").distinct().crossJoin(F.broadcast(r.sparkSession.createDataFrame([(1.0,), (1.1,), (1.5,), (2.0,)], "tau double"))), "SELECT algo, tau FROM (SELECT DISTINCT algo FROM r), (VALUES (1.0::DOUBLE), (1.1), (1.5), (2.0)) t(tau)")
 measured("share_best", lambda r: stats.share_best(stats.agg_seeds(r)), "SELECT algo, avg(CASE WHEN cut <= best THEN 1.0::DOUBLE ELSE 0 END) AS share FROM (SELECT *, min(cut) OVER (PARTITION BY graph, k) AS best FROM s) GROUP BY algo", ("share",))
 measured("at_least_twice", lambda r: stats.at_least_twice(stats.agg_seeds(r), "secs"), "SELECT algo, 1 - avg(CASE WHEN secs <= 2 * best THEN 1.0::DOUBLE ELSE 0 END) AS share FROM (SELECT *, min(secs) OVER (PARTITION BY graph, k) AS best FROM s) GROUP BY algo", ("share",))
 measured("rolling_geo_mean", lambda r: stats.rolling_geo_mean(stats.agg_seeds(r), "seeds", "secs").select("algo", "graph", "k", "rolling"), "SELECT algo, graph, k, exp(avg(ln(secs)) OVER (PARTITION BY algo ORDER BY seeds, graph, k ROWS BETWEEN 49 PRECEDING AND CURRENT ROW)) AS rolling FROM s", ("rolling",))

@@ -160,6 +160,24 @@ register("stream_dedup", stream_dedup, "SELECT user_id, count(DISTINCT event_typ
 register("stream_interval_join", stream_interval_join, "SELECT v.event_id AS view_id, b.event_id AS buy_id FROM events v JOIN events b ON v.user_id = b.user_id AND v.event_type = 'view' AND b.event_type = 'purchase' AND b.ts >= v.ts AND b.ts <= v.ts + INTERVAL 30 MINUTE")
 
 
+def stream_late(spark: SparkSession, d: str) -> DataFrame:
+    """(start, event_type, w): views come in the last file, behind the watermark, and are dropped.
+
+    Lateness is judged by the watermark of the batch before, so a batch with one row stands between.
+    """
+    path = _place(spark, "late")
+    e = table(spark, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type")
+    end = e.agg((F.max("ts") + F.expr("interval 4000 days")).alias("ts")).select(F.lit(-1).cast("long").alias("event_id"), "ts", F.lit(-1).cast("long").alias("user_id"), F.lit("end").alias("event_type"))
+    e.where("event_type <> 'view'").unionByName(end).coalesce(1).write.parquet(path)
+    end.write.mode("append").parquet(path)
+    e.where("event_type = 'view'").coalesce(1).write.mode("append").parquet(path)
+    out = interactions.run_to_table(interactions.tumbling(interactions.event_stream(spark, path, e.schema, 1)))
+    return out.where("user_id >= 0").groupBy(F.col("start").cast("timestamp_ntz").alias("start"), "event_type").agg(F.sum("w").alias("w"))
+
+
+register("stream_late", stream_late, "SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS w FROM events WHERE event_type <> 'view' GROUP BY 1, 2")
+
+
 def stream_placement(spark: SparkSession, d: str) -> DataFrame:
     """(placed, over): every third document is new and is placed on a partition of the others."""
     g = tables.load(spark, d, "doc_lines")

@@ -8,6 +8,9 @@ from pyspark.sql import functions as F
 from ..functions.hashing import mix
 from ..storage import shared_folder, small, spill
 
+#: Rounds in which new nodes without neighbours' room are dealt.
+DEALS = 4
+
 
 def event_stream(spark: SparkSession, path: str, schema, files_per_trigger: int = 1) -> DataFrame:
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
@@ -55,23 +58,30 @@ def run_to_table(stream: DataFrame, mode: str = "append") -> DataFrame:
 def place_new_nodes(nodes: DataFrame, edges: DataFrame, part: DataFrame, caps: DataFrame, seed: int = 0) -> DataFrame:
     """(id, block) for new nodes (id, w): the block of most neighbour weight that has room, strict; else a block with room by hash.
 
-    One superstep of refinement, for nodes that have no block yet; what a full block refuses is placed where most room is left.
+    One superstep of refinement, for nodes that have no block yet; the rest is dealt by running weight into running room, and nodes
+    that would pass their block's room try again in ``DEALS`` rounds with other orders.  A node that found no room has a null block.
     """
-    from ..operators.supersteps import admit
+    from pyspark.sql import Window as W
+
+    from ..operators.supersteps import admit, at_positions, running_weight
 
     held = caps.select("block", "cap", "held")
     room = small(held.select("block", (F.col("cap") - F.col("held")).alias("room")))
     near = edges.join(nodes.select(F.col("id").alias("dst")), "dst", "left_semi").join(part.select(F.col("id").alias("src"), "block"), "src").groupBy(F.col("dst").alias("id"), "block").agg(F.sum("w").alias("rate"))
     rated = near.join(room, "block").join(nodes, "id").where("w <= room")
     best = rated.groupBy("id", "w").agg(F.max_by(F.struct("block", "rate", "room"), F.struct("rate", mix("block", seed).alias("t"), "block")).alias("b"))
-    granted = spill(admit(best.select("id", F.col("b.block").cast("long").alias("target"), F.col("b.rate").alias("gain"), "w", F.col("b.room").alias("room")), "strict", seed).select("id", F.col("target").cast("int").alias("block")), "placed")
-    rest = nodes.join(granted.select("id"), "id", "left_anti")
-    used = granted.join(nodes, "id").groupBy("block").agg(F.sum("w").alias("more"))
-    left = held.join(used, "block", "left").select("block", (F.col("cap") - F.col("held") - F.coalesce("more", F.lit(0))).alias("room"))
-    # Running weight of the rest against running room.
-    from pyspark.sql import Window as W
-
-    line = left.where("room >= 1").withColumn("to", F.sum(F.floor("room")).over(W.orderBy("block"))).withColumn("from", F.col("to") - F.floor("room"))
-    queue = rest.withColumn("at", F.sum("w").over(W.orderBy(F.desc("w"), "id").rowsBetween(W.unboundedPreceding, 0)) - F.col("w"))
-    filled = queue.join(small(line.select("block", "from", "to")), (F.col("at") >= F.col("from")) & (F.col("at") + F.col("w") <= F.col("to"))).select("id", "block")
-    return granted.unionByName(filled)
+    placed = spill(admit(best.select("id", F.col("b.block").cast("long").alias("target"), F.col("b.rate").alias("gain"), "w", F.col("b.room").alias("room")), "strict", seed).select("id", F.col("target").cast("int").alias("block")), "placed")
+    for r in range(DEALS):
+        rest = spill(nodes.join(placed.select("id"), "id", "left_anti"), "rest")
+        if not rest.take(1):
+            return placed
+        used = placed.join(nodes, "id").groupBy("block").agg(F.sum("w").alias("more"))
+        line = held.join(used, "block", "left").select("block", F.floor(F.col("cap") - F.col("held") - F.coalesce("more", F.lit(0))).alias("room")).where("room >= 1")
+        line = spill(line.withColumn("to", F.sum("room").over(W.orderBy(mix("block", seed + r), "block"))).withColumn("from", F.col("to") - F.col("room")), "line")
+        length = line.agg(F.max("to")).first()[0]
+        if length is None:
+            break
+        queue = running_weight(rest, seed=seed + r).withColumn("at", F.col("upto") - F.col("w"))
+        more = at_positions(queue, line, float(length)).where(F.col("at") + F.col("w") <= F.col("to")).select("id", "block")
+        placed = spill(placed.unionByName(more), "placed")
+    return placed.unionByName(nodes.join(placed.select("id"), "id", "left_anti").select("id", F.lit(None).cast("int").alias("block")))

@@ -68,3 +68,16 @@ def test_only_blocks_beyond_the_limit_are_large(spark):
     part = g.nodes.select("id", F.when(F.col("id") < 20, 0).when(F.col("id") < 25, 1).otherwise(2).alias("block"))
     assert partitioner.large_blocks(g, part, {0: 2, 1: 2, 2: 1}, 200) == [0]
     assert partitioner.large_blocks(g, part, {0: 2, 1: 2, 2: 1}, 10_000) == []
+
+
+def test_new_nodes_of_any_weight_get_a_block_or_null(spark):
+    from graphsplit.streaming.interactions import place_new_nodes
+
+    new = spark.range(10, 60).select("id", (F.col("id") % 4 + 1).alias("w"))
+    none = spark.createDataFrame([], "src long, dst long, w long")
+    caps = spark.createDataFrame([(b, 40.0, 3) for b in range(4)], "block int, cap double, held long")
+    got = place_new_nodes(new, none, spark.createDataFrame([], "id long, block int"), caps).join(new, "id").toPandas()
+    assert sorted(got["id"]) == list(range(10, 60))
+    assert (got.dropna().groupby("block")["w"].sum() <= 37).all() and len(got.dropna()) >= 45
+    full = spark.createDataFrame([(0, 3.0, 3)], "block int, cap double, held long")
+    assert place_new_nodes(new, none, spark.createDataFrame([], "id long, block int"), full).where("block is null").count() == 50
