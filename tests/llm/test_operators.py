@@ -288,6 +288,25 @@ def test_isolation_forest_sets_outliers_apart(spark, docs, empty):
     assert quality.judge(empty, labels).count() == 0
 
 
+def test_refusal_score_uses_labels_of_both_kinds(spark):
+    good, bad = np.linspace(0.3, 0.7, 1001), np.linspace(0.6, 0.66, 100)
+    at = quality.calibrated(good, bad)
+    assert (bad > at).all() and (good > at).mean() < 0.26
+    assert quality.calibrated(bad, np.zeros(5)) == np.inf and quality.calibrated(good[:0], bad) == np.inf
+    assert (good > quality.calibrated(good, bad[:0])).mean() <= quality.MOST_REFUSED
+    rng, rows = random.Random(4), []
+    for i in range(600):
+        w = [words(rng, 1) for _ in range(rng.randint(30, 300))]
+        if i % 10 == 0:
+            w = [x for y in w for x in (y, "|")]
+        rows.append((i, " ".join(w)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    labels = spark.createDataFrame([(i, int(i % 10 > 0), 0) for i in range(0, 600) if i % 4 < 2], "doc_id long, quality int, toxic int")
+    got = quality.judge(docs, labels).where("not base_failed and doc_id % 4 >= 2").collect()  # none of them labelled
+    junk, rest = [x.kept for x in got if x.doc_id % 10 == 0], [x.kept for x in got if x.doc_id % 10]
+    assert junk and sum(junk) <= 0.2 * len(junk) and sum(rest) >= 0.85 * len(rest)
+
+
 def test_toxicity(spark, empty):
     rng = random.Random(7)
     rows, labels = [], []
