@@ -7,6 +7,7 @@ capacity is granted in order of gain, and neighbours do not move together where
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from heapq import heapify, heappop, heappush, heapreplace
 
 import numpy as np
 
@@ -600,7 +601,7 @@ def recursive_bisection(g: Csr, k: int, o: Options, how: str = "lp") -> np.ndarr
 
 def direct_kway(g: Csr, k: int, o: Options, how: str = "lp", search: str = "lp", rebalance: bool = False) -> np.ndarray:
     """Coarsen to k * C nodes, start there by recursive bisection, refine upwards; no repair of balance unless asked."""
-    levels, now = descend(g, k, o, min(max(k * o.c // 10, 2 * k), max(g.n - 1, 1)), how, o.seed)
+    levels, now = descend(g, k, o, min(max(k * o.c, 2 * k), max(g.n - 1, 1)), how, o.seed)
     part = recursive_bisection(now, k, o)
     for fine, parent in [*reversed(levels)]:
         part = part[parent]
@@ -613,39 +614,95 @@ def direct_kway(g: Csr, k: int, o: Options, how: str = "lp", search: str = "lp",
     return part
 
 
-def kway_fm(g: Csr, part: np.ndarray, caps: np.ndarray, most_moves: int = 300) -> np.ndarray:
-    """Best moves of boundary nodes to any block with room, losses included, back to the best prefix."""
-    part, k = part.copy(), len(caps)
-    weight = g.block_weights(part, k).astype(float)
-    table = np.zeros((g.n, k))
-    np.add.at(table, (g.src, part[g.dst]), g.w)
-    free, every = np.ones(g.n, dtype=bool), np.arange(g.n)
-    total, best, best_at, moves = 0.0, 0.0, 0, []
-    for _ in range(most_moves):
-        gain = table - table[every, part][:, None]
-        gain[(weight[None, :] + g.nw[:, None] > caps[None, :]) | (table == 0)] = -np.inf
-        gain[every, part] = -np.inf
-        gain[~free] = -np.inf
-        at = int(np.argmax(gain))
-        v, t = divmod(at, k)
-        if gain[v, t] == -np.inf:
+def kway_fm(g: Csr, part: np.ndarray, caps: np.ndarray) -> np.ndarray:
+    """Passes of best moves of boundary nodes to any block with room, losses included, each back to its best prefix; until a pass gains nothing."""
+    part = part.copy()
+    while g.n:
+        moves, best_at = _kway_pass(g, part, caps)
+        if not best_at:
             break
-        free[v] = False
-        moves.append((v, part[v]))
-        total += gain[v, t]
-        to, w = g.dst[g.ptr[v] : g.ptr[v + 1]], g.w[g.ptr[v] : g.ptr[v + 1]]
-        table[to, part[v]] -= w
-        table[to, t] += w
-        weight[part[v]] -= g.nw[v]
-        weight[t] += g.nw[v]
-        part[v] = t
+        for v, t in moves[:best_at]:
+            part[v] = t
+    return part
+
+
+def _kway_pass(g: Csr, part: np.ndarray, caps: np.ndarray) -> tuple[list[tuple[int, int]], int]:
+    """Moves (node, block) until no free boundary node fits another block, each node once; and the length of the prefix of most gain.
+
+    Each block has a heap of nodes that could come.  Rising gains are pushed at once and falling ones when they surface, so ``top``
+    is never below the best gain into a block.
+    """
+    k, own, nw = len(caps), part.tolist(), g.nw.tolist()
+    ptr, dst, wgt = g.ptr.tolist(), g.dst.tolist(), g.w.tolist()
+    key, inverse = np.unique(g.src * k + part[g.dst], return_inverse=True)
+    near: list[dict[int, int]] = [{} for _ in range(g.n)]
+    for x, w in zip(key.tolist(), np.bincount(inverse, weights=g.w, minlength=len(key)).astype(np.int64).tolist(), strict=True):
+        near[x // k][x % k] = w
+    room, lightest = (caps - g.block_weights(part, k)).tolist(), min(nw)
+    free, heaps, held, top = [True] * g.n, [[] for _ in range(k)], [[] for _ in range(k)], np.full(k, -np.inf)
+    for v, have in enumerate(near):
+        mine = have.get(own[v], 0)
+        for t, w in have.items():
+            if t != own[v]:
+                heaps[t].append((mine - w, v))
+
+    def settle(t: int) -> None:
+        """The best entry that holds and fits comes to the front of the heap of t; entries too heavy for now are held."""
+        heap = heaps[t]
+        while heap and room[t] >= lightest:
+            loss, v = heap[0]
+            if not free[v] or own[v] == t or not near[v].get(t):
+                heappop(heap)
+            elif (now := near[v].get(own[v], 0) - near[v][t]) != loss:
+                heapreplace(heap, (now, v)) if now > loss else heappop(heap)  # a better entry of v lies elsewhere in the heap
+            elif nw[v] > room[t]:
+                held[t].append(heappop(heap))
+            else:
+                top[t] = -loss
+                return
+        top[t] = -np.inf
+
+    for t in range(k):
+        heapify(heaps[t])
+        settle(t)
+    moves, total, best, best_at = [], 0, 0, 0
+    while True:
+        t = int(np.argmax(top))
+        believed = top[t]
+        if believed == -np.inf:
+            break
+        settle(t)
+        if top[t] < believed:
+            continue
+        loss, v = heappop(heaps[t])
+        a = own[v]
+        free[v], own[v] = False, t
+        room[a] += nw[v]
+        room[t] -= nw[v]
+        moves.append((v, t))
+        total -= loss
         if total > best:
             best, best_at = total, len(moves)
-        if len(moves) - best_at > 60:
-            break
-    for v, old in reversed(moves[best_at:]):
-        part[v] = old
-    return part
+        for u, w in zip(dst[ptr[v] : ptr[v + 1]], wgt[ptr[v] : ptr[v + 1]], strict=True):
+            have = near[u]
+            have[a] -= w
+            have[t] = have.get(t, 0) + w
+            if not have[a]:
+                del have[a]
+            if not free[u] or own[u] == t:
+                continue
+            mine = have.get(own[u], 0)
+            for b in have if own[u] == a else (t,):
+                if b != own[u]:
+                    heappush(heaps[b], (mine - have[b], u))
+                    if have[b] - mine > top[b] and room[b] >= lightest:
+                        top[b] = have[b] - mine
+        for x in held[a]:
+            heappush(heaps[a], x)
+        held[a] = []
+        settle(a)
+        settle(t)
+    return moves, best_at
 
 
 def single_level(g: Csr, k: int, o: Options, init: str = "bfs") -> np.ndarray:

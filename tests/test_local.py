@@ -110,3 +110,52 @@ def test_same_seed_same_result_and_lanes():
     g = grid(12, 12)
     a, b = (local.partition(g, 4, Options(c=20, lanes=4)) for _ in range(2))
     assert (a == b).all() and relaxed(g, a, 4)
+
+
+def test_kway_search_ends_where_no_move_gains():
+    g, k = grid(60, 60), 4
+    start = np.arange(g.n) * 7919 % 1009 % k
+    caps = np.full(k, 1.1 * g.n / k)
+    part = local.kway_fm(g, start, caps)
+    weight = g.block_weights(part, k)
+    assert (weight <= caps).all() and (part != start).sum() > 300
+    node, lab, rate = local.ratings(g, part, np.ones(g.n, dtype=bool))
+    own = np.zeros(g.n, dtype=np.int64)
+    own[node[lab == part[node]]] = rate[lab == part[node]]
+    assert not ((lab != part[node]) & (weight[lab] + g.nw[node] <= caps[lab]) & (rate > own[node])).any()
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_kway_search_takes_the_best_move_each_time(seed):
+    rng = np.random.default_rng(seed)
+    n, k = 40, 5
+    pairs = {(int(a), int(b)) for a, b in rng.integers(0, n, (150, 2)) if a < b}
+    g = graph(n, [(a, b, int(rng.integers(1, 5))) for a, b in sorted(pairs)], rng.integers(1, 4, n))
+    part = rng.integers(0, k, n)
+    caps = g.block_weights(part, k) + rng.integers(0, 4, k).astype(float)
+    moves, best_at = local._kway_pass(g, part, caps)
+    now, free, cuts = part.copy(), np.ones(n, dtype=bool), [g.cut(part)]
+
+    def possible():
+        """Gain of each move to a neighbouring block with room, by the definition."""
+        out, weight = {}, g.block_weights(now, k)
+        for v in np.flatnonzero(free):
+            to, w = g.dst[g.ptr[v] : g.ptr[v + 1]], g.w[g.ptr[v] : g.ptr[v + 1]]
+            for t in set(now[to].tolist()) - {int(now[v])}:
+                if weight[t] + g.nw[v] <= caps[t]:
+                    out[int(v), t] = int(w[now[to] == t].sum() - w[now[to] == now[v]].sum())
+        return out
+
+    for v, t in moves:
+        can = possible()
+        assert can[v, t] == max(can.values())
+        now[v], free[v] = t, False
+        cuts.append(g.cut(now))
+    assert not possible() and cuts[best_at] == min(cuts)
+
+
+def test_direct_kway_coarsens_to_k_times_c_nodes(monkeypatch):
+    asked, descend = [], local.descend
+    monkeypatch.setattr(local, "descend", lambda g, k, o, least, *rest: asked.append(least) or descend(g, k, o, least, *rest))
+    local.direct_kway(grid(30, 30), 4, Options(c=50, tries=1, repeats=1))
+    assert asked == [200]
