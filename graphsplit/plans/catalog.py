@@ -43,6 +43,9 @@ for _name, _build in tables.GRAPHS.items():
     register(f"build_{_name}", _build, tables.SQL[_name])
 register("build_page_links", tables.page_links, tables.SQL["page_links"])
 register("build_conv_words", tables.conv_words, tables.SQL["conv_words"])
+register("build_page_links_whole", lambda s, d: tables.page_links(s, d, None), tables.SQL["page_links_whole"])
+register("build_conv_words_whole", lambda s, d: tables.conv_words(s, d, None), tables.SQL["conv_words_whole"])
+register("build_doc_lines_whole", tables.doc_lines_whole, tables.SQL["doc_lines_whole"])
 register("vec_knn_edges", tables.vec_knn, tables.SQL["vec_knn"])
 for _name, _make in synth.FIXTURES.items():
     register(f"gen_{_name}", lambda spark, d, make=_make: make(spark), synth.SQL[_name])

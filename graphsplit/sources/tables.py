@@ -7,7 +7,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..model import SplitGraph, canonical, from_edges
-from ..storage import table
+from ..storage import spill, table
 
 
 def bipartite(df: DataFrame, left: str, right: str) -> DataFrame:
@@ -68,16 +68,28 @@ def user_next(spark: SparkSession, d: str) -> DataFrame:
     return successor(table(spark, d, "events").select("user_id", "ts", "event_id"), "user_id", ["ts", "event_id"], bucket=F.date_trunc("day", "ts"))
 
 
+def _lines(spark: SparkSession, d: str) -> DataFrame:
+    lines = table(spark, d, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line"))
+    return lines.select("doc_id", F.trim("line").alias("line")).where(F.length("line") >= 20)
+
+
 def document_lines(spark: SparkSession, d: str) -> DataFrame:
     """(doc_id, line): distinct trimmed lines of 20 characters or more."""
-    lines = table(spark, d, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line"))
-    return lines.select("doc_id", F.trim("line").alias("line")).where(F.length("line") >= 20).distinct()
+    return _lines(spark, d).distinct()
 
 
 def doc_lines(spark: SparkSession, d: str) -> DataFrame:
     return cooccurrence(document_lines(spark, d), "doc_id", "line", most=50)
 
 
+def doc_lines_whole(spark: SparkSession, d: str, most: int = 50) -> DataFrame:
+    """Documents 2 * id that share a line, in pairs; a line of more than ``most`` documents is a node of odd id, made of its MD5, tied to each of them."""
+    lines = spill(_lines(spark, d).select("doc_id", F.unhex(F.md5("line")).alias("line")).distinct(), "lines")  # 16 bytes a line are shuffled, not its text
+    often = lines.groupBy("line").count().where(F.col("count") > most).select("line")
+    star = lines.join(often, "line").select((F.col("doc_id") * 2).alias("src"), (F.conv(F.substring(F.hex("line"), 1, 15), 16, 10).cast("long") * 2 + 1).alias("dst"), F.lit(1).cast("long").alias("w"))
+    return canonical(cooccurrence(lines, "doc_id", "line", most).select((F.col("src") * 2).alias("src"), (F.col("dst") * 2).alias("dst"), "w").unionByName(star))
+
+
 def nation_trade(spark: SparkSession, d: str) -> DataFrame:
     li = table(spark, d, "lineitem").select("l_orderkey", "l_suppkey")
     o = table(spark, d, "orders").select(F.col("o_orderkey").alias("l_orderkey"), "o_custkey")
@@ -86,20 +98,21 @@ def nation_trade(spark: SparkSession, d: str) -> DataFrame:
     return canonical(li.join(o, "l_orderkey").join(c, "o_custkey").join(s, "l_suppkey").select("src", "dst", F.lit(1).alias("w")))
 
 
-def _numbered(pairs: DataFrame, left: str, right: str) -> DataFrame:
-    """Left ids and right texts in pairs; a text keeps its name."""
-    counted = pairs.groupBy(right).agg(F.count_distinct(left).alias("n")).where(F.col("n").between(2, 50)).select(right)
-    return pairs.join(counted, right).groupBy(left, right).agg(F.count(F.lit(1)).alias("w"))
+def _numbered(pairs: DataFrame, left: str, right: str, most: int | None = 50) -> DataFrame:
+    """Left ids and right texts in pairs; a text keeps its name.  Texts of one left id, or of more than ``most`` (None: no bound), are left out."""
+    rows = pairs.groupBy(left, right).agg(F.count(F.lit(1)).alias("w"))
+    counted = rows.groupBy(right).agg(F.count(left).alias("n")).where(F.col("n") >= 2 if most is None else F.col("n").between(2, most)).select(right)
+    return rows.join(counted, right)
 
 
-def page_links(spark: SparkSession, d: str) -> DataFrame:
+def page_links(spark: SparkSession, d: str, most: int | None = 50) -> DataFrame:
     words = table(spark, d, "pages").select(F.col("page_id").alias("src"), F.explode(F.regexp_extract_all("html", F.lit('href="/([^"]*)"'), F.lit(1))).alias("word"))
-    return _numbered(words, "src", "word").select("src", "word", "w")
+    return _numbered(words, "src", "word", most).select("src", "word", "w")
 
 
-def conv_words(spark: SparkSession, d: str) -> DataFrame:
+def conv_words(spark: SparkSession, d: str, most: int | None = 50) -> DataFrame:
     words = table(spark, d, "conversations").select(F.col("conv_id").alias("src"), F.explode(F.regexp_extract_all(F.lower("text"), F.lit("([a-z]{3,})"), F.lit(1))).alias("word"))
-    return _numbered(words, "src", "word").select("src", "word", "w")
+    return _numbered(words, "src", "word", most).select("src", "word", "w")
 
 
 def knn(df: DataFrame, key: str, vector: str, k: int = 10, blocks: int = 8) -> DataFrame:
@@ -179,3 +192,11 @@ SQL = {
         t AS (SELECT *, row_number() OVER (PARTITION BY a ORDER BY round(sim, 9) DESC, b) AS r FROM s)
         SELECT least(a, b) AS src, greatest(a, b) AS dst, max(CAST(round(1000 * (1 + sim)) AS BIGINT)) AS w FROM t WHERE r <= 10 GROUP BY 1, 2""",
 }
+
+#: Without a bound on the owners of a line or word.
+SQL |= {f"{name}_whole": SQL[name].replace("BETWEEN 2 AND 50", ">= 2") for name in ("page_links", "conv_words")}
+SQL["doc_lines_whole"] = _ordered("""
+        WITH l AS (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, trim(unnest(string_split(text, chr(10))), ' ') AS line FROM documents) WHERE length(line) >= 20),
+        c AS (SELECT line, count(*) AS n FROM l GROUP BY line), m AS (SELECT doc_id, line, n FROM l JOIN c USING (line))
+        SELECT 2 * a.doc_id AS src, 2 * b.doc_id AS dst, 1 AS w FROM m a JOIN m b ON a.line = b.line AND a.doc_id < b.doc_id WHERE a.n <= 50
+        UNION ALL SELECT 2 * doc_id, 2 * CAST('0x' || substr(md5(line), 1, 15) AS BIGINT) + 1, 1 FROM m WHERE n > 50""")

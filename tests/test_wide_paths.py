@@ -81,3 +81,18 @@ def test_new_nodes_of_any_weight_get_a_block_or_null(spark):
     assert (got.dropna().groupby("block")["w"].sum() <= 37).all() and len(got.dropna()) >= 45
     full = spark.createDataFrame([(0, 3.0, 3)], "block int, cap double, held long")
     assert place_new_nodes(new, none, spark.createDataFrame([], "id long, block int"), full).where("block is null").count() == 50
+
+
+def test_whole_builders_keep_what_many_share(spark, tmp_path):
+    from graphsplit.sources import tables
+
+    line = "a line that all documents share"
+    spark.createDataFrame([(i, f"{line}\nonly document {i} has this line\nshared by two documents, pair {i // 2}") for i in range(60)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(i, f'<a href="/all"><a href="/p{i}"><a href="/all">') for i in range(60)], "page_id long, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    assert tables.page_links(spark, str(tmp_path)).count() == 0
+    assert {tuple(r) for r in tables.page_links(spark, str(tmp_path), None).collect()} == {(i, "all", 2) for i in range(60)}
+    pairs = {(r.src, r.dst, r.w) for r in tables.doc_lines_whole(spark, str(tmp_path)).collect()}
+    star = {dst for _, dst, _ in pairs if dst % 2} | {src for src, _, _ in pairs if src % 2}
+    assert len(star) == 1 and len(pairs) == 90
+    hub = star.pop()
+    assert pairs == {(min(2 * i, hub), max(2 * i, hub), 1) for i in range(60)} | {(4 * i, 4 * i + 2, 1) for i in range(30)}
