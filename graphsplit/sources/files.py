@@ -28,11 +28,18 @@ def read_edge_json(spark: SparkSession, path: str) -> DataFrame:
 
 
 def read_coordinate(spark: SparkSession, path: str) -> DataFrame:
-    """Pairs of a symmetric matrix's entries; ids from 1 become ids from 0."""
+    """Pairs of a symmetric matrix's entries; ids from 1 become ids from 0.
+
+    The header is the first line that is no comment of the file whose name sorts first, whatever order the files are scheduled in;
+    a body with another number of entries than it names raises ``ValueError``.
+    """
     lines = spark.read.text(path).where(~F.col("value").startswith("%") & (F.trim("value") != ""))
-    parts = lines.select(F.split(F.trim("value"), r"\s+").alias("p"), F.monotonically_increasing_id().alias("at"))
-    head = parts.agg(F.min("at").alias("head"))
-    body = parts.crossJoin(F.broadcast(head)).where("at > head")
+    place = F.struct("_metadata.file_path", "_metadata.file_block_start", F.monotonically_increasing_id().alias("row"))
+    parts = lines.select(F.split(F.trim("value"), r"\s+").alias("p"), place.alias("at"))
+    head = parts.agg(F.min_by("p", "at").alias("p"), F.min("at").alias("at"), (F.count(F.lit(1)) - 1).alias("entries")).first()
+    if head.p is None or len(head.p) < 3 or int(head.p[2]) != head.entries:
+        raise ValueError(f"the header {head.p} does not name {head.entries} entries")
+    body = parts.where(~((F.col("at.file_path") == head.at[0]) & (F.col("at.file_block_start") == head.at[1]) & (F.col("at.row") == head.at[2])))
     return canonical(body.select((F.get("p", F.lit(0)).cast("long") - 1).alias("src"), (F.get("p", F.lit(1)).cast("long") - 1).alias("dst"), F.coalesce(F.get("p", F.lit(2)).cast("long"), F.lit(1)).alias("w")))
 
 

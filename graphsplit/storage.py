@@ -4,12 +4,14 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+import warnings
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-#: Most rows that a side of a join may have to be broadcast; its rows are narrow (about 100 bytes).
-BROADCAST_ROWS = 150_000
+#: Most rows, and most bytes of their values, that a side of a join may have to be broadcast.
+BROADCAST_ROWS, BROADCAST_BYTES = 150_000, 24 << 20
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -18,6 +20,7 @@ def shared_folder(spark: SparkSession) -> str:
     if not base:
         base = getattr(spark.sparkContext, "_own_checkpoints", None)
         if base is None:
+            warnings.warn("spark.checkpoint.dir is not set: tables between steps go to a local folder, which other machines cannot read", stacklevel=2)
             base = spark.sparkContext._own_checkpoints = tempfile.mkdtemp(prefix="graphsplit-")
     return base.rstrip("/")
 
@@ -42,9 +45,27 @@ def release(*frames: DataFrame) -> None:
             where.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
 
 
-def small(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
-    """``df`` with a broadcast hint if it has at most ``rows`` rows, else unchanged (the join then shuffles)."""
-    return F.broadcast(df) if len(df.select(F.lit(1)).take(rows + 1)) <= rows else df
+def value_bytes(df: DataFrame):
+    """A column: about how many bytes a row's values take."""
+    total = F.lit(16)
+    for f in df.schema.fields:
+        c = F.col(f"`{f.name}`")
+        if isinstance(f.dataType, T.StringType | T.BinaryType):
+            total = total + F.coalesce(F.octet_length(c), F.lit(0)) + 8
+        elif isinstance(f.dataType, T.ArrayType):
+            total = total + F.greatest(F.coalesce(F.size(c), F.lit(0)), F.lit(0)) * 16 + 8
+        else:
+            total = total + (64 if isinstance(f.dataType, T.StructType | T.MapType) else 8)
+    return total
+
+
+def small(df: DataFrame, rows: int = BROADCAST_ROWS, most_bytes: int = BROADCAST_BYTES) -> DataFrame:
+    """``df`` with a broadcast hint if both its rows and their bytes are few, else unchanged (the join then shuffles).
+
+    One aggregate over ``df`` counts both; so ``df`` should be a written table or cheap to make.
+    """
+    n, size = df.agg(F.count(F.lit(1)), F.coalesce(F.sum(value_bytes(df)), F.lit(0))).first()
+    return F.broadcast(df) if n <= rows and size <= most_bytes else df
 
 
 def width(spark: SparkSession) -> int:

@@ -96,3 +96,16 @@ def test_whole_builders_keep_what_many_share(spark, tmp_path):
     assert len(star) == 1 and len(pairs) == 90
     hub = star.pop()
     assert pairs == {(min(2 * i, hub), max(2 * i, hub), 1) for i in range(60)} | {(4 * i, 4 * i + 2, 1) for i in range(30)}
+
+
+def test_coordinate_header_in_a_small_file(spark, tmp_path):
+    from graphsplit.sources import files
+
+    (tmp_path / "a.txt").write_text("% a comment\n900 900 899\n")
+    (tmp_path / "b.txt").write_text("".join(f"{i} {i + 1} 2\n" for i in range(1, 700)))
+    (tmp_path / "c.txt").write_text("".join(f"{i} {i + 1}\n" for i in range(700, 900)))
+    got = {(r.src, r.dst): r.w for r in files.read_coordinate(spark, str(tmp_path)).collect()}
+    assert got == {(i - 1, i): 2 if i < 700 else 1 for i in range(1, 900)}
+    (tmp_path / "c.txt").unlink()
+    with pytest.raises(ValueError):
+        files.read_coordinate(spark, str(tmp_path))
