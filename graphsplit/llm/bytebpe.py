@@ -18,7 +18,7 @@ import regex
 from pyspark.sql import DataFrame
 
 from . import storage
-from .textkit import encoded, slices, word_chunks, worker_cache
+from .textkit import BoundedCache, encoded, lean, slices, word_chunks, worker_cache
 
 ENCODED = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 
@@ -68,8 +68,6 @@ def sentencepiece_model(ranks: dict[bytes, int]) -> bytes:
 class BytePairCodec:
     """Encode texts to ids and ids to bytes."""
 
-    LIMIT = 400_000
-
     def __init__(self, rank_file: bytes, pattern: str):
         import sentencepiece
 
@@ -79,36 +77,43 @@ class BytePairCodec:
         self.model = sentencepiece.SentencePieceProcessor(model_proto=sentencepiece_model(self.ranks))
         self.pattern = regex.compile(pattern)
         self.table = dict(enumerate(byte_characters()))
-        self.known: dict[str, bytes] = {}
-        self.chunks: dict[str, bytes] = {}
+        self.known, self.chunks = BoundedCache(48 << 20), BoundedCache(80 << 20)
 
-    def _learn(self, pieces: list[str]) -> None:
-        """Ids of pre-tokens that were not met before."""
-        rest = []
+    def _ids(self, pieces: list[str]) -> dict[str, bytes]:
+        """Ids of pre-tokens that are not kept."""
+        out, rest = {}, []
         for p in pieces:
             rank = self.ranks.get(encoded(p))
             if rank is None:
                 rest.append(p)
             else:
-                self.known[p] = struct.pack("<I", rank)
+                out[p] = struct.pack("<I", rank)
         mapped = [encoded(p).decode("latin-1").translate(self.table) for p in rest]
         for p, ids in zip(rest, self.model.encode(mapped, num_threads=1) if mapped else [], strict=True):
-            self.known[p] = self.by_place[np.array(ids) - 1].tobytes()
+            out[p] = self.by_place[np.array(ids) - 1].tobytes()
+        return out
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Ids of each text, four little-endian bytes an id.
 
         What stands between two single blanks, each between two characters that are no white space, is split and encoded
-        once: the pattern starts a match at such a blank, whatever surrounds it.
+        once: the pattern starts a match at such a blank, whatever surrounds it.  Long chunks and pre-tokens are not kept.
         """
-        if len(self.known) > self.LIMIT or len(self.chunks) > self.LIMIT:
-            self.known.clear()
-            self.chunks.clear()
+        known, chunks = self.known, self.chunks
         cut = [word_chunks(t) if t else [] for t in texts]
-        new = {c: self.pattern.findall(c) for c in {c for cs in cut for c in cs} - self.chunks.keys()}
-        self._learn(list({p for ps in new.values() for p in ps} - self.known.keys()))
-        self.chunks.update((c, b"".join(map(self.known.__getitem__, ps))) for c, ps in new.items())
-        return [b"".join(map(self.chunks.__getitem__, cs)) for cs in cut]
+        new = {c: self.pattern.findall(c) for c in {c for cs in cut for c in cs} - chunks.keys()}
+        got = self._ids(list({p for ps in new.values() for p in ps} - known.keys()))
+        known.keep(got.items())
+        long = {p for p in got if len(p) > known.LONGEST}
+        fresh = {}
+        for c, ps in new.items():
+            fresh[c] = b"".join([got[p] if p in got else known[p] for p in ps] if long else map(known.__getitem__, ps))
+        chunks.keep(fresh.items())
+        long = {c for c in fresh if len(c) > chunks.LONGEST}
+        out = [b"".join(map(chunks.__getitem__, cs) if not long or long.isdisjoint(cs) else [fresh[c] if c in fresh else chunks[c] for c in cs]) for cs in cut]
+        known.tidy()
+        chunks.tidy()
+        return out
 
     def decode(self, ids: bytes) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, np.frombuffer(ids, dtype="<u4").tolist()))
@@ -117,11 +122,12 @@ class BytePairCodec:
 def encode_documents(docs: DataFrame, rank_file: bytes, pattern: str) -> DataFrame:
     """doc_id, the number of ids, and digests of the ids and of the text decoded from them; nothing is shuffled."""
 
+    @lean
     def run(batches):
-        cache = worker_cache()
-        if "byte_codec" not in cache:
-            cache["byte_codec"] = BytePairCodec(rank_file, pattern)
-        codec = cache["byte_codec"]
+        cache = worker_cache("codec")
+        if "codec" not in cache:
+            cache["codec"] = BytePairCodec(rank_file, pattern)
+        codec = cache["codec"]
         for ids, texts in slices(batches, ["doc_id", "text"]):
             codes = codec.encode([t or "" for t in texts])
             sha = [hashlib.sha256(c).hexdigest() for c in codes]

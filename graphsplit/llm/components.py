@@ -14,14 +14,12 @@ from pyspark.sql import functions as F
 from . import storage
 
 
-def connected(edges: DataFrame, rounds: int = 60) -> DataFrame:
+def connected(edges: DataFrame) -> DataFrame:
     """(node, component): the least node that can be reached, for all nodes with an edge to another; input columns a, b (long)."""
     pairs = edges.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     pairs = storage.spill(pairs, "edges")
     total = None
-    for _ in range(rounds):
-        if not pairs.take(1):
-            break
+    while pairs.take(1):
         both = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
         up = storage.spill(both.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("p")).withColumnRenamed("a", "v"), "hooks")
         # Follow pointers to the roots; each step halves the trees' depth, and most trees are stars.

@@ -24,29 +24,63 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import repeats, storage
-from .textkit import BASE_A, BASE_B, U64, encoded, mix, powers, runs_to_spans, slices, unpack
+from .textkit import BASE_A, BASE_B, U64, encoded, lean, mix, powers, runs_to_spans, slices, unpack_all
 
 LENGTH = 200
 #: A perfect difference set; each residue but 0 is one difference of two of them.
 PERIOD, COVER = 133, (0, 1, 3, 12, 20, 34, 38, 81, 88, 94, 104, 109)
 
 
+#: Bytes of texts that are hashed at once; a longer text is taken in overlapping stretches.
+STRETCH = 1 << 19
+
+
 class Bytes:
-    """Texts as one run of bytes, with hashes of any substrings of one length."""
+    """A stretch of bytes with hashes of any substrings of one length."""
 
-    def __init__(self, texts: list):
-        raw = [encoded(t) for t in texts]
-        self.begins = np.r_[0, np.cumsum([len(b) for b in raw])].astype(np.int64)
-        self.data = np.frombuffer(b"".join(raw), dtype=np.uint8)
-        self.doc = np.repeat(np.arange(len(raw)), np.diff(self.begins))
+    def __init__(self, data: bytes):
+        self.data = np.frombuffer(data, dtype=np.uint8)
 
     def hashes(self, at: np.ndarray, length: int, base: int) -> np.ndarray:
         """Hashes of the ``length`` bytes from each of ``at`` on."""
         n = len(self.data)
         code = mix(np.arange(256, dtype=U64) * U64(base) + U64(length))
-        total = np.zeros(n + 1, dtype=U64)
-        np.cumsum(code[self.data] * powers(base, n), out=total[1:])
-        return mix((total[at + length] - total[at]) * powers(pow(base, -1, 1 << 64), n)[at])
+        total = np.empty(n + 1, dtype=U64)
+        total[0] = 0
+        codes = code[self.data]
+        codes *= powers(base, n)
+        np.cumsum(codes, out=total[1:])
+        out = total[at + length]
+        out -= total[at]
+        out *= powers(pow(base, -1, 1 << 64), n)[at]
+        return mix(out)
+
+
+def stretches(texts: list, overlap: int):
+    """Runs of whole short texts, and overlapping stretches of long ones: (number of the first text, begins, bytes, start inside the text).
+
+    ``begins`` has where each text begins, and the end.  Places from ``STRETCH`` on belong to the next stretch.
+    """
+    first, held, size = 0, [], 0
+
+    def run():
+        return first, np.r_[0, np.cumsum([len(b) for b in held])].astype(np.int64), b"".join(held), 0
+
+    for d, text in enumerate(texts):
+        raw = encoded(text)
+        if held and size + len(raw) > STRETCH:
+            yield run()
+            first, held, size = d, [], 0
+        if len(raw) <= STRETCH:
+            held.append(raw)
+            size += len(raw)
+            continue
+        for at in range(0, len(raw), STRETCH):
+            part = raw[at : at + STRETCH + overlap]
+            yield d, np.array([0, len(part)]), part, at
+        first = d + 1
+    if held:
+        yield run()
 
 
 def cover_emitter(length: int, period: int, cover: tuple[int, ...]):
@@ -56,11 +90,14 @@ def cover_emitter(length: int, period: int, cover: tuple[int, ...]):
     chosen[list(cover)] = True
 
     def emit(texts):
-        b = Bytes(texts)
-        place = np.arange(len(b.data)) - b.begins[b.doc]
-        room = np.diff(b.begins)[b.doc]
-        at = np.flatnonzero(chosen[place % period] & (place + own <= room) & (room >= length))
-        return b.doc[at], place[at], b.hashes(at, own, BASE_A), b.hashes(at, own, BASE_B)
+        sizes = np.array([len(encoded(t)) for t in texts], dtype=np.int64)
+        for first, begins, data, start in stretches(texts, own - 1):
+            doc = np.repeat(np.arange(len(begins) - 1, dtype=np.int32), np.diff(begins))
+            place = np.arange(len(data)) - begins[doc] + start
+            at = np.flatnonzero(chosen[place % period] & (place < start + STRETCH))
+            at = at[(place[at] + own <= sizes[first + doc[at]]) & (sizes[first + doc[at]] >= length)]
+            b = Bytes(data)
+            yield first + doc[at], place[at], b.hashes(at, own, BASE_A), b.hashes(at, own, BASE_B)
 
     return emit
 
@@ -69,16 +106,20 @@ def suffix_emitter(length: int, period: int):
     """Starts of strings with a repeated cover place at some shift below the period."""
 
     def emit(places, texts):
-        b = Bytes(texts)
-        change = np.zeros(len(b.data) + 1, dtype=np.int32)
-        for d, packed in enumerate(places):
-            at = b.begins[d] + unpack(packed)
-            np.add.at(change, np.maximum(at - period + 1, b.begins[d]), 1)
-            np.add.at(change, at + 1, -1)
-        near = np.cumsum(change)[:-1] > 0
-        at = np.flatnonzero(near)
-        at = at[at + length <= b.begins[b.doc[at] + 1]]
-        return b.doc[at], at - b.begins[b.doc[at]], b.hashes(at, length, BASE_A), b.hashes(at, length, BASE_B)
+        for first, begins, data, start in stretches(texts, length - 1):
+            change = np.zeros(len(data) + 1, dtype=np.int32)
+            for d in range(len(begins) - 1):
+                at = begins[d] + unpack_all(places[first + d]) - start
+                low = np.maximum(at - period + 1, begins[d])
+                near = (at >= begins[d]) & (low < begins[d + 1])
+                np.add.at(change, low[near], 1)
+                np.add.at(change, np.minimum(at[near] + 1, begins[d + 1]), -1)
+            at = np.flatnonzero(np.cumsum(change)[:-1] > 0)
+            doc = np.searchsorted(begins, at, side="right") - 1
+            fits = (at + length <= begins[doc + 1]) & (at - begins[doc] < STRETCH)
+            at, doc = at[fits], doc[fits]
+            b = Bytes(data)
+            yield first + doc, at - begins[doc] + start, b.hashes(at, length, BASE_A), b.hashes(at, length, BASE_B)
 
     return emit
 
@@ -88,9 +129,10 @@ def repeated_strings(docs: DataFrame, length: int = LENGTH, period: int = PERIOD
     spark = docs.sparkSession
     marked = repeats.with_copies_marked(docs)
     own = marked.where(~F.col("spare"))
-    ranked = storage.spill(repeats.repeated_places(own, cover_emitter(length, period, cover), key_bytes=5), "cover")
+    size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    ranked = storage.spill(repeats.repeated_places(own, cover_emitter(length, period, cover), key_bytes=5, most_entries=size * len(cover) // period), "cover")
     repeats.forget_shuffles(spark)
-    found = storage.spill(repeats.repeated_places(repeats.with_places(own, ranked, "inner"), suffix_emitter(length, period), ("places", "text")), "suffixes")
+    found = storage.spill(repeats.repeated_places(repeats.with_places(own, ranked, "inner"), suffix_emitter(length, period), ("places", "text"), most_entries=size), "suffixes")
     storage.release(ranked)
     repeats.forget_shuffles(spark)
     return marked, found
@@ -110,12 +152,13 @@ def op6_suffixes(spark, sf_dir: str) -> DataFrame:
     marked, found = repeated_strings(storage.table(spark, sf_dir, "documents"))
     joined = repeats.with_places(marked, storage.small(found), "left")
 
+    @lean
     def run(batches):
         for ids, copied, places, texts in slices(batches, ["doc_id", "copied", "places", "text"]):
             rows = []
             for text, starts, all_ in zip(texts, places, copied, strict=True):
                 raw = encoded(text)
-                spans = removed_spans(len(raw), unpack(starts) if starts else np.zeros(0, dtype=np.int64), all_, LENGTH)
+                spans = removed_spans(len(raw), unpack_all(starts), all_, LENGTH)
                 digest, at = hashlib.sha256(), 0
                 for x, y in spans.tolist():
                     digest.update(raw[at:x])

@@ -12,6 +12,7 @@ closing id.  Ties are ordered by length, doc_id, piece.  An empty table gives an
 from __future__ import annotations
 
 import bisect
+import json
 import zlib
 from array import array
 
@@ -24,7 +25,7 @@ from pyspark.sql import types as T
 
 from . import storage
 from .bytebpe import byte_characters
-from .textkit import slices, word_chunks, worker_cache
+from .textkit import BoundedCache, lean, slices, word_chunks, worker_cache
 
 SEQUENCE = 2048
 #: Pieces in one partition of the packing step; a partition is one task's work.
@@ -40,29 +41,53 @@ PIECES = T.StructType([
 
 # ---------------------------------------------------------------- tokenising
 
+#: Fixed value: the pattern that the library's byte-level pre-tokenizer splits by.
+BYTE_LEVEL = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+
+
+def merges_by_rank(blob: bytes, pattern: str) -> bool:
+    """Whether merging the pair of lowest id first gives the library's ids on every text.
+
+    The library merges listed pairs in the order of the list; a rank encoder merges any two neighbours whose string is a token.  If ids
+    rise along the list and the library's model makes each token's string into that token alone, then no unlisted pair can ever be the next
+    one: where two neighbours spell a token and nothing of lower rank is left, the same steps happen inside that token's own string,
+    and there they end in its listed pair.
+    """
+    from tokenizers import Tokenizer
+
+    spec, library = json.loads(blob), Tokenizer.from_str(blob.decode())
+    model, split = spec["model"], spec.get("pre_tokenizer") or {}
+    plain = model["type"] == "BPE" and not any(model.get(x) for x in ("dropout", "unk_token", "continuing_subword_prefix", "end_of_word_suffix", "byte_fallback", "ignore_merges"))
+    if not plain or spec.get("normalizer") or split.get("type") != "ByteLevel" or split.get("add_prefix_space") or not split.get("use_regex", True) or pattern != BYTE_LEVEL:
+        return False
+    vocab = model["vocab"]
+    made = [vocab.get("".join(m if isinstance(m, list) else m.split(" "))) for m in model["merges"]]
+    if None in made or any(a >= b for a, b in zip(made, made[1:], strict=False)) or not set(byte_characters()) <= vocab.keys():
+        return False
+    return all([t.id for t in library.model.tokenize(token)] == [i] for token, i in vocab.items())
+
+
 class ChunkEncoder:
     """Ids of texts by a ``tokenizers`` file, four little-endian bytes an id.
 
     A byte-level pre-tokenizer starts a new piece at each single blank between two other characters, so what
-    stands between two such blanks is encoded once and kept.  New chunks go through a rank encoder built from the same file's
-    vocabulary, whose ids of byte pairs rise in merge order; the first ``TRIED`` chunks of a worker go through the library too, and if any
-    differs, the library encodes all.  Texts with an added token's string always go through the library.
+    stands between two such blanks is encoded once and kept.  Where ``merges_by_rank`` holds for the file, new chunks go through a rank
+    encoder built from the same vocabulary, which gives the same ids faster; else, and for texts with an added token's string, the library encodes.
     """
 
-    LIMIT, TRIED = 600_000, 2_000
-
-    def __init__(self, blob: bytes, pattern: str):
+    def __init__(self, blob: bytes, pattern: str, by_rank: bool):
         import tiktoken
         from tokenizers import Tokenizer
 
         self.model = Tokenizer.from_str(blob.decode())
         added = {t.content for t in self.model.get_added_tokens_decoder().values()}
         self.special = sorted(added)
-        to_byte = {c: b for b, c in enumerate(byte_characters())}
-        ranks = {bytes(to_byte[c] for c in token): i for token, i in self.model.get_vocab(with_added_tokens=False).items() if token not in added}
-        self.ranked = tiktoken.Encoding("ranked", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
-        self.left_to_try = self.TRIED
-        self.known: dict[str, bytes] = {}
+        self.ranked = None
+        if by_rank:
+            to_byte = {c: b for b, c in enumerate(byte_characters())}
+            ranks = {bytes(to_byte[c] for c in token): i for token, i in self.model.get_vocab(with_added_tokens=False).items() if token not in added}
+            self.ranked = tiktoken.Encoding("ranked", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
+        self.known = BoundedCache(96 << 20)
 
     def library(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, dtype="<u4").tobytes() for e in self.model.encode_batch_fast(texts, add_special_tokens=False)]
@@ -70,24 +95,25 @@ class ChunkEncoder:
     def _new(self, chunks: list[str]) -> list[bytes]:
         if self.ranked is None:
             return self.library(chunks)
-        one = self.ranked.encode_ordinary
-        out = [array("I", one(c)).tobytes() for c in chunks]
-        if self.left_to_try > 0:
-            some = slice(0, self.left_to_try)
-            self.left_to_try -= len(chunks)
-            if self.library(chunks[some]) != out[some]:
-                self.ranked = None
-                return self.library(chunks)
-        return out
+        return [array("I", ids).tobytes() for ids in map(self.ranked.encode_ordinary, chunks)]
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        if len(self.known) > self.LIMIT:
-            self.known.clear()
         cut = [None if any(s in t for s in self.special) else word_chunks(t) for t in texts]
         known = self.known
         missing = list({c for cs in cut if cs is not None for c in cs if c not in known})
-        known.update(zip(missing, self._new(missing), strict=True))
-        return [self.library([t])[0] if cs is None else b"".join(map(known.__getitem__, cs)) for t, cs in zip(texts, cut, strict=True)]
+        fresh = dict(zip(missing, self._new(missing), strict=True))
+        known.keep(fresh.items())
+        long = {c for c in missing if len(c) > known.LONGEST}
+        out = []
+        for t, cs in zip(texts, cut, strict=True):
+            if cs is None:
+                out.append(self.library([t])[0])
+            elif long and not long.isdisjoint(cs):
+                out.append(b"".join([fresh[c] if c in fresh else known[c] for c in cs]))
+            else:
+                out.append(b"".join(map(known.__getitem__, cs)))
+        known.tidy()
+        return out
 
 
 def cut_lengths(n: int, most: int) -> list[int]:
@@ -99,11 +125,14 @@ def cut_lengths(n: int, most: int) -> list[int]:
 def token_pieces(docs: DataFrame, vocabulary: bytes, pattern: str, end_id: int = 0, most: int = SEQUENCE) -> DataFrame:
     """Rows of PIECES from doc_id and text; one task reads and encodes its own rows, nothing is shuffled."""
 
+    by_rank = merges_by_rank(vocabulary, pattern)
+
+    @lean
     def run(batches):
-        cache = worker_cache()
-        if "chunk_encoder" not in cache:
-            cache["chunk_encoder"] = ChunkEncoder(vocabulary, pattern)
-        encoder, end = cache["chunk_encoder"], np.array([end_id], dtype="<u4").tobytes()
+        cache = worker_cache("packing")
+        if "encoder" not in cache:
+            cache["encoder"] = ChunkEncoder(vocabulary, pattern, by_rank)
+        encoder, end = cache["encoder"], np.array([end_id], dtype="<u4").tobytes()
         for ids, texts in slices(batches, ["doc_id", "text"]):
             rows = []
             for doc, code in zip(ids, encoder.encode([t or "" for t in texts]), strict=True):
@@ -189,7 +218,7 @@ def pack_pieces(pieces: DataFrame, most: int = SEQUENCE, partition_pieces: int =
     """``pieces`` with sequence_id, offset and the certificate columns round, gap (of the last round's partition).
 
     Pieces that fill a sequence alone are placed without any shuffle.  A partition holds about ``partition_pieces``
-    pieces, dealt by hash, so no key can make one large.
+    pieces, dealt by a hash of their row in the written table, so equal rows are spread like any others.
     """
     cols = PIECES.names
     schema = T.StructType([*PIECES.fields, T.StructField("part", T.LongType()), *[T.StructField(c, T.LongType()) for c in ("bin", "offset", "room", "gap")]])
@@ -205,7 +234,7 @@ def pack_pieces(pieces: DataFrame, most: int = SEQUENCE, partition_pieces: int =
         if not n:
             break
         parts = max(1, round(n / partition_pieces))
-        dealt = pool.withColumn("part", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32", F.lit(r)), F.lit(parts)))
+        dealt = pool.withColumn("part", F.pmod(F.xxhash64(F.monotonically_increasing_id(), F.lit(r)), F.lit(parts)))
         packed = storage.spill(dealt.groupBy("part").applyInArrow(run, schema), f"packed{r}")
         spent.append(packed)
         # What stays: all bins of certified partitions, and filled bins of the others.

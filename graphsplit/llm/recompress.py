@@ -24,10 +24,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import repeats, storage
-from .textkit import BASE_A, BASE_B, U64, mix, runs_to_spans, slices, unpack, window_hash, word_codes, words_of
+from .textkit import BASE_A, BASE_B, U64, encoded, lean, mix, runs_to_spans, slices, unpack_all, window_hash, word_codes, words_of
 
 WINDOW, ROUNDS = 35, 5
+BLANKS = frozenset(b" \t\n\x0b\x0c\r")
 FAR = 1 << 40
+#: Words that are named at once, and bytes that are split at once; a longer text is taken in overlapping stretches.
+STRETCH, SPLIT = 100_000, 1 << 20
 WINDOW_MARK = U64(0x5BD1E995A7C3F00D)
 
 
@@ -68,12 +71,46 @@ class Names:
         self.name, self.doc, self.low, self.high = name[stay], self.doc[stay], low[stay], high[stay]
 
 
-def coded(texts: list) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Codes of all words, the document of each, and where each document's words begin."""
-    words = [words_of(t) for t in texts]
-    counts = np.array([len(w) for w in words], dtype=np.int64)
-    codes = word_codes([w for ws in words for w in ws])
-    return codes, np.repeat(np.arange(len(texts)), counts), np.r_[0, np.cumsum(counts)]
+def codes_of(text: str | None) -> np.ndarray:
+    """Codes of all words; a long text is split piece by piece, so that its words are never all strings at once."""
+    raw = encoded(text)
+    if len(raw) <= SPLIT:
+        return word_codes(raw.split())
+    out, at = [], 0
+    while at < len(raw):
+        end = min(at + SPLIT, len(raw))
+        while end < len(raw) and raw[end] not in BLANKS:  # never inside a word
+            end += 1
+        out.append(word_codes(raw[at:end].split()))
+        at = end
+    return np.concatenate(out)
+
+
+def coded(texts: list, overlap: int):
+    """Runs of whole short texts, and overlapping stretches of long ones: (number of the first text, begins, codes, start).
+
+    ``begins`` has where each text's words begin, and the end.  Words from ``STRETCH`` on belong to the next stretch.
+    """
+    first, held, size = 0, [], 0
+
+    def run():
+        return first, np.r_[0, np.cumsum([len(c) for c in held])].astype(np.int64), np.concatenate(held), 0
+
+    for d, text in enumerate(texts):
+        codes = codes_of(text)
+        if held and size + len(codes) > STRETCH:
+            yield run()
+            first, held, size = d, [], 0
+        if len(codes) <= STRETCH:
+            held.append(codes)
+            size += len(codes)
+            continue
+        for at in range(0, len(codes), STRETCH):
+            part = codes[at : at + STRETCH + overlap]
+            yield d, np.array([0, len(part)]), part, at
+        first = d + 1
+    if held:
+        yield run()
 
 
 def windows(codes: np.ndarray, begins: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -94,21 +131,31 @@ def anchors_over(names: Names, some: np.ndarray, n: int, length: int) -> np.ndar
     return np.cumsum(change)[:n]
 
 
+def _owned(at: np.ndarray, begins: np.ndarray) -> np.ndarray:
+    """Of window starts, those that the next stretch does not have too."""
+    return at[at - begins[np.searchsorted(begins, at, side="right") - 1] < STRETCH]
+
+
 def anchor_emitter(length: int):
-    """Places 2 * number of an anchor among a document's names, and 2 * start + 1 of a window without anchors."""
+    """Places 2 * number of an anchor among a text's names, and 2 * start + 1 of a window without anchors.
+
+    Names of a stretch are numbered from its start on, with room for the overlap.  A window's anchors are decided by its own words, so
+    it has the same ones in any stretch; anchors in an overlap are met twice, which rules out less and loses nothing.
+    """
 
     def emit(texts):
-        codes, doc, begins = coded(texts)
-        names = Names(codes[:, 0], doc)
-        fit = names.high - names.low <= length
-        a, b, inside = windows(codes, begins, length)
-        bare = np.flatnonzero(inside & (anchors_over(names, fit, len(codes), length)[: len(a)] == 0))
-        number = np.arange(len(names.doc)) - np.searchsorted(names.doc, names.doc)
-        at = np.flatnonzero(fit & (np.diff(begins)[names.doc] >= length))
-        return (
-            np.concatenate([names.doc[at], doc[bare]]), np.concatenate([2 * number[at], 2 * (bare - begins[doc[bare]]) + 1]),
-            np.concatenate([mix(names.name[at]), a[bare] ^ WINDOW_MARK]), np.concatenate([mix(names.name[at] ^ WINDOW_MARK), b[bare]]),
-        )
+        for first, begins, codes, start in coded(texts, length - 1):
+            doc = np.repeat(np.arange(len(begins) - 1), np.diff(begins))
+            names = Names(codes[:, 0], doc)
+            fit = names.high - names.low <= length
+            a, b, inside = windows(codes, begins, length)
+            bare = _owned(np.flatnonzero(inside & (anchors_over(names, fit, len(codes), length)[: len(a)] == 0)), begins)
+            number = np.arange(len(names.doc)) - np.searchsorted(names.doc, names.doc) + start // STRETCH * (STRETCH + length)
+            at = np.flatnonzero(fit & (np.diff(begins)[names.doc] >= length))
+            yield (
+                first + np.concatenate([names.doc[at], doc[bare]]), np.concatenate([2 * number[at], 2 * (bare - begins[doc[bare]] + start) + 1]),
+                np.concatenate([mix(names.name[at]), a[bare] ^ WINDOW_MARK]), np.concatenate([mix(names.name[at] ^ WINDOW_MARK), b[bare]]),
+            )
 
     return emit
 
@@ -117,18 +164,22 @@ def window_emitter(length: int):
     """Starts of the windows that the anchors do not rule out."""
 
     def emit(places, texts):
-        codes, doc, begins = coded(texts)
-        names = Names(codes[:, 0], doc)
-        fit = names.high - names.low <= length
-        again, bare = np.zeros(len(names.doc), dtype=bool), np.zeros(len(codes), dtype=bool)
-        for d, packed in enumerate(places):
-            p = unpack(packed)
-            again[np.searchsorted(names.doc, d) + p[p % 2 == 0] // 2] = True
-            bare[begins[d] + p[p % 2 == 1] // 2] = True
-        a, b, inside = windows(codes, begins, length)
-        total, known = (anchors_over(names, x, len(codes), length)[: len(a)] for x in (fit, fit & again))
-        at = np.flatnonzero(inside & np.where(total > 0, total == known, bare[: len(a)]))
-        return doc[at], at - begins[doc[at]], a[at], b[at]
+        for first, begins, codes, start in coded(texts, length - 1):
+            doc = np.repeat(np.arange(len(begins) - 1), np.diff(begins))
+            names = Names(codes[:, 0], doc)
+            fit = names.high - names.low <= length
+            again, bare = np.zeros(len(names.doc) + 1, dtype=bool), np.zeros(len(codes) + 1, dtype=bool)
+            for d in range(len(begins) - 1):
+                p = unpack_all(places[first + d])
+                number = p[p % 2 == 0] // 2 - start // STRETCH * (STRETCH + length)
+                low, high = np.searchsorted(names.doc, [d, d + 1])
+                again[low + number[(number >= 0) & (number < high - low)]] = True
+                at = p[p % 2 == 1] // 2 - start
+                bare[begins[d] + at[(at >= 0) & (at < begins[d + 1] - begins[d])]] = True
+            a, b, inside = windows(codes, begins, length)
+            total, known = (anchors_over(names, x, len(codes), length)[: len(a)] for x in (fit, fit & again[:-1]))
+            at = _owned(np.flatnonzero(inside & np.where(total > 0, total == known, bare[: len(a)])), begins)
+            yield first + doc[at], at - begins[doc[at]] + start, a[at], b[at]
 
     return emit
 
@@ -138,9 +189,10 @@ def repeated_windows(docs: DataFrame, length: int = WINDOW) -> tuple[DataFrame,
     spark = docs.sparkSession
     marked = repeats.with_copies_marked(docs)
     own = marked.where(~F.col("spare"))
-    anchors = storage.spill(repeats.repeated_places(own, anchor_emitter(length), key_bytes=5), "anchors")
+    size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    anchors = storage.spill(repeats.repeated_places(own, anchor_emitter(length), key_bytes=5, most_entries=size // 12), "anchors")
     repeats.forget_shuffles(spark)
-    found = storage.spill(repeats.repeated_places(repeats.with_places(own, anchors, "inner"), window_emitter(length), ("places", "text")), "windows")
+    found = storage.spill(repeats.repeated_places(repeats.with_places(own, anchors, "inner"), window_emitter(length), ("places", "text"), most_entries=size // 2), "windows")
     storage.release(anchors)
     repeats.forget_shuffles(spark)
     return marked, found
@@ -171,17 +223,18 @@ def remove_repeats(docs: DataFrame, length: int = WINDOW) -> DataFrame:
     joined = repeats.with_places(keyed, storage.small(found), "left")
     joined = joined.join(whole, joined["doc_id"].eqNullSafe(whole["_of"]) & (joined["mark"] == whole["_mark"]), "left").select("doc_id", "rest", "text", "places", "copied")
 
+    @lean
     def run(batches):
-        for batch in batches:
+        for ids, others, places_in, all_in, texts_in in slices(batches, ["doc_id", "rest", "places", "copied", "text"], as_lists=("places", "copied", "text")):
             texts = []
-            for text, places, all_ in zip(batch.column("text").to_pylist(), batch.column("places").to_pylist(), batch.column("copied").to_pylist(), strict=True):
+            for text, places, all_ in zip(texts_in, places_in, all_in, strict=True):
                 if places is None and not all_:
                     texts.append(text)
                     continue
                 words = words_of(text)
-                kept = kept_words(words, unpack(places) if places else np.zeros(0, dtype=np.int64), bool(all_), length)
+                kept = kept_words(words, unpack_all(places), bool(all_), length)
                 texts.append(text if len(kept) == len(words) else b" ".join(kept).decode("utf-8", "surrogatepass"))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("rest"), pa.array(texts, pa.string())], ["doc_id", "rest", "text"])
+            yield pa.RecordBatch.from_arrays([ids, others, pa.array(texts, pa.string())], ["doc_id", "rest", "text"])
 
     out = joined.mapInArrow(run, joined.select("doc_id", "rest", "text").schema)
     chars = F.length("text").cast("long")
@@ -195,12 +248,13 @@ def op5_substrings(spark, sf_dir: str) -> DataFrame:
     marked, found = repeated_windows(storage.table(spark, sf_dir, "documents"))
     joined = repeats.with_places(marked, storage.small(found), "left")
 
+    @lean
     def run(batches):
         for ids, copied, places, texts in slices(batches, ["doc_id", "copied", "places", "text"]):
             rows = []
             for text, starts, all_ in zip(texts, places, copied, strict=True):
                 words = words_of(text)
-                kept = kept_words(words, unpack(starts) if starts else np.zeros(0, dtype=np.int64), all_, WINDOW)
+                kept = kept_words(words, unpack_all(starts), all_, WINDOW)
                 rows.append((len(words), len(words) - len(kept), hashlib.sha256(b" ".join(kept)).hexdigest()))
             cols = list(zip(*rows, strict=True))
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2])], [x.split()[0] for x in DIGESTS.split(", ")])

@@ -9,7 +9,7 @@ entry, and no task holds more than its bucket or its batch.
 from __future__ import annotations
 
 import gc
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -18,19 +18,20 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import storage
-from .textkit import U64, pack, slices, unpack
+from .textkit import U64, give_back, lean, pack, slices, unpack
 
-#: Entries that a map task gathers before it sends them.
-BATCH_ENTRIES = 700_000
+#: Entries that a map task gathers before it sends them, and those that one bucket is to get.
+BATCH_ENTRIES, BUCKET_ENTRIES = 500_000, 4_000_000
 ROWS = pa.schema([("bucket", pa.int32()), ("uid", pa.int64()), ("kind", pa.int8()), ("keys", pa.binary()), ("many", pa.binary()), ("places", pa.binary())])
 ROWS_SQL = "bucket int, uid long, kind byte, keys binary, many binary, places binary"
 #: Kinds of rows: a batch's documents; where its entries lie; entries known to be repeated; hashes sent to a bucket.
 DOCUMENTS, ENTRIES, REPEATED, SENT = 0, 1, 2, 3
 
 
-def bucket_count(spark) -> int:
-    """A power of two, two or more buckets for each shuffle partition."""
-    return 1 << (2 * storage.width(spark) - 1).bit_length()
+def bucket_count(spark, most_entries: int = 0) -> int:
+    """A power of two: two or more buckets for each shuffle partition, and as many as ``most_entries`` ask for."""
+    wanted = max(2 * storage.width(spark), -(-most_entries // BUCKET_ENTRIES))
+    return 1 << (wanted - 1).bit_length()
 
 
 def _send(uid: int, docs: list, keys: np.ndarray, seconds: np.ndarray, doc: np.ndarray, place: np.ndarray, buckets: int, key_bytes: int) -> list[tuple]:
@@ -124,38 +125,50 @@ def _gather(table: pa.Table) -> pa.Table:
     return pa.table([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.binary()), strict=True)], names=["doc_id", "mark", "places"])
 
 
-def repeated_places(docs: DataFrame, emit: Callable, columns: tuple[str, ...] = ("text",), slice_bytes: int = 1_000_000, key_bytes: int = 8) -> DataFrame:
-    """doc_id, mark, places (packed, ascending) of documents with places whose content is met at any other place.
+def repeated_places(docs: DataFrame, emit: Callable[..., Iterator[tuple]], columns: tuple[str, ...] = ("text",), slice_bytes: int = 500_000, key_bytes: int = 8, most_entries: int = 0) -> DataFrame:
+    """doc_id, mark, places (packed arrays that together hold them) of documents with places whose content is met at any other place.
 
     ``docs`` has doc_id, mark (a hash of the text; both name a row) and ``columns``, the text last.  ``emit`` gets
-    lists of these columns' values and returns (doc, place, key, second key) arrays: two independent 64-bit hashes an entry.
-    A bucket is a range of the first, and entries are told apart there by ``key_bytes`` of the second; fewer bytes than 8 suit
-    a step whose result another one verifies, as equal keys of different content then only cost work.
+    lists of these columns' values and yields (doc, place, key, second key) arrays, a long text in several: two independent
+    64-bit hashes an entry.  A bucket is a range of the first, and entries are told apart there by ``key_bytes`` of the second;
+    fewer bytes than 8 suit a step whose result another one verifies, as equal keys of different content then only cost work.
+    ``most_entries`` bounds the entries from above, so that the buckets' number grows with the data.
     """
-    buckets = bucket_count(docs.sparkSession)
+    buckets = bucket_count(docs.sparkSession, most_entries)
 
+    @lean
     def run(batches):
         uid = TaskContext.get().partitionId() << 24
         docs_in, parts, n = [], [], 0
+
+        def rows() -> pa.RecordBatch:
+            doc, place, key, second = (np.concatenate(x) for x in zip(*parts, strict=True))
+            parts.clear()
+            return _record(_send(uid, docs_in, key, second, doc, place, buckets, key_bytes))
+
         for ids, marks, *values in slices(batches, ["doc_id", "mark", *columns], slice_bytes):
-            doc, place, key, second = emit(*values)
-            parts.append(((doc + len(docs_in)).astype(np.int32), place.astype(np.int64), key, second))
-            docs_in += zip(ids, marks, strict=True)
-            n += len(key)
-            if n >= BATCH_ENTRIES:
-                doc, place, key, second = (np.concatenate(x) for x in zip(*parts, strict=True))
-                yield _record(_send(uid, docs_in, key, second, doc, place, buckets, key_bytes))
-                docs_in, parts, n, uid = [], [], 0, uid + 1
+            base, here = len(docs_in), list(zip(ids, marks, strict=True))
+            docs_in = docs_in + here
+            for doc, place, key, second in emit(*values):
+                parts.append(((doc + base).astype(np.int32), place.astype(np.int64), key, second))
+                n += len(key)
+                if n >= BATCH_ENTRIES:  # what is left of this slice's documents goes on in the next batch
+                    yield rows()
+                    docs_in, base, n, uid = here, 0, 0, uid + 1
+            if not n:
+                docs_in = []
         if n:
-            doc, place, key, second = (np.concatenate(x) for x in zip(*parts, strict=True))
-            yield _record(_send(uid, docs_in, key, second, doc, place, buckets, key_bytes))
+            yield rows()
 
     def meet(table: pa.Table) -> pa.Table:
-        return _meet(table, key_bytes)
+        out = _meet(table, key_bytes)
+        give_back()
+        return out
 
     sent = docs.select("doc_id", "mark", *columns).mapInArrow(run, ROWS_SQL)
     met = sent.groupBy("bucket").applyInArrow(meet, ROWS_SQL)
-    return met.groupBy("uid").applyInArrow(_gather, "doc_id long, mark long, places binary").dropDuplicates(["doc_id", "mark"])
+    found = met.groupBy("uid").applyInArrow(_gather, "doc_id long, mark long, places binary")
+    return found.groupBy("doc_id", "mark").agg(F.collect_set("places").alias("places"))
 
 
 def with_copies_marked(docs: DataFrame) -> DataFrame:
@@ -182,6 +195,6 @@ def with_places(docs: DataFrame, places: DataFrame, how: str) -> DataFrame:
 
 
 def forget_shuffles(spark) -> None:
-    """Let the driver notice that shuffles of finished steps are not needed any more, so that their files go."""
+    """Let the driver notice that shuffles of finished steps are not needed any more, so that their files go before the next step writes its own."""
     gc.collect()
     spark._jvm.System.gc()

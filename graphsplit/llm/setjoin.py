@@ -6,15 +6,18 @@ A document is its set of word shingles, as 64-bit hashes.  Two documents link if
 2. All tokens have a global order, from rare to frequent by a counting sketch of fixed size, then by hash.  If two sets
    link, their first tokens in that order (``prefix``) share at least ``shared`` tokens.  So a document of whose first
    tokens fewer are met anywhere else links with nothing; most end here.
-3. The others are put into groups of similar documents, by the most frequent of their repeated first tokens.  The token-group
-   matrix is kept sparse, as (token, group) rows; a join by token counts, for each query and group, how many of the query's
-   first tokens the group holds.  Only groups that reach the bound are opened.
-4. An opened group's union of whole sets bounds the query's overlap once more; then members are counted exactly.
-   Large groups are dealt in blocks of members and of queries, so no task holds a group.
-5. Links become components; a task gives only a spanning forest of its links.
+3. The others are partitioned into groups of similar documents, by the most frequent of their repeated first tokens.  The
+   token-group matrix stores each group's union of these tokens, sparse, as (token, group) rows.
+4. A join with the matrix bounds, for each query and group, how many tokens the query shares with any member; only groups that reach the
+   bound are opened, and of two groups the one with the smaller name.
+5. An opened group is first met through its leader, a member of median size.  What links with the leader is one component, and needs no
+   more tests against it; so a large family of copies costs each of them one test.  The other queries are counted against all
+   members, and those that link with the leader against the members that do not.  Both are dealt in blocks, so no task holds a group.
+6. Links become components; a task gives only a spanning forest of its links.
 
 Null and empty texts have empty sets and link with nothing.  Rows with a null id are kept, link with nothing and have a null
-component.  Rows that share an id are one node.  Repeated rows are one class.  An empty table gives an empty result.
+component.  Rows that share an id are one node.  Repeated rows are one class.  Of a long text its set is held, 8 bytes a word.
+An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -23,17 +26,18 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 import zstandard
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import repeats, storage
 from .components import connected
-from .textkit import BASE_A, U64, encoded, mix, slices, unpack, window_hash, word_hashes
+from .textkit import BASE_A, U64, encoded, give_back, lean, mix, slices, unpack_all, window_hash, word_hashes
 
 #: Counters of the frequency sketch (a power of two; its size does not depend on the data) and its slices.
 COUNTERS, SLICES = 1 << 22, 64
-#: Members and queries in one block of a group.
-BLOCK = 1500
+#: Members and queries in one block of a group; partial sketches that one task adds up.
+BLOCK, ADDED = 1500, 256
 
 
 class Rule:
@@ -74,31 +78,42 @@ class Rule:
 # ---------------------------------------------------------------- sets and the sketch
 
 def sets_and_sketch(docs: DataFrame, rule: Rule) -> tuple[DataFrame, bytes]:
-    """(doc_id, n_shingles, digest) of each row, and how frequent each counter's tokens are, one byte a counter."""
+    """(doc_id, n_shingles, digest) of each row, and how frequent each counter's tokens are, one byte a counter.
+
+    Partial sketches are added up in a tree, ``ADDED`` at a time, so no task's work grows with the number of tasks.
+    """
     per = COUNTERS // SLICES
 
+    @lean
     def run(batches):
         counts = np.zeros(COUNTERS, dtype=np.int32)
-        for ids, texts in slices(batches, ["doc_id", "text"]):
+        for ids, texts in slices(batches, ["doc_id", "text"], 1_000_000):
             sets = [rule.tokens(t) for t in texts]
             slot, times = np.unique((np.concatenate(sets) & U64(COUNTERS - 1)).astype(np.int32), return_counts=True)
             counts[slot] += times.astype(np.int32)
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary()), pa.nulls(len(ids), pa.int32())], ["doc_id", "n_shingles", "digest", "slice"])
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary()), pa.nulls(len(ids), pa.int32()), pa.nulls(len(ids), pa.int64())], ["doc_id", "n_shingles", "digest", "slice", "part"])
         if counts.any():
-            blobs = [zstandard.compress(counts[k * per : (k + 1) * per].tobytes(), 1) for k in range(SLICES)]
-            yield pa.RecordBatch.from_arrays([pa.nulls(SLICES, pa.int64()), pa.nulls(SLICES, pa.int64()), pa.array(blobs, pa.binary()), pa.array(range(SLICES), pa.int32())], ["doc_id", "n_shingles", "digest", "slice"])
+            blobs = [zstandard.compress(counts[k * per : (k + 1) * per].astype(np.int64).tobytes(), 1) for k in range(SLICES)]
+            yield pa.RecordBatch.from_arrays([pa.nulls(SLICES, pa.int64()), pa.nulls(SLICES, pa.int64()), pa.array(blobs, pa.binary()), pa.array(range(SLICES), pa.int32()), pa.array([TaskContext.get().partitionId()] * SLICES, pa.int64())], ["doc_id", "n_shingles", "digest", "slice", "part"])
 
-    both = storage.spill(docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_shingles long, digest binary, slice int"), "sets")
+    both = storage.spill(docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_shingles long, digest binary, slice int, part long"), "sets")
 
     def add(table: pa.Table) -> pa.Table:
         total = np.zeros(per, dtype=np.int64)
         for blob in table.column("digest").to_pylist():
-            total += np.frombuffer(zstandard.decompress(blob), dtype=np.int32)
-        level = np.minimum(255, 4 * np.log2(1 + total)).astype(np.uint8)
-        return pa.table({"slice": table.column("slice").slice(0, 1), "level": pa.array([level.tobytes()], pa.binary())})
+            total += np.frombuffer(zstandard.decompress(blob), dtype=np.int64)
+        return pa.table({"slice": table.column("slice").slice(0, 1), "part": table.column("part").slice(0, 1), "digest": pa.array([zstandard.compress(total.tobytes(), 1)], pa.binary())})
 
-    parts = {r["slice"]: bytes(r["level"]) for r in both.where("slice is not null").groupBy("slice").applyInArrow(add, "slice int, level binary").collect()}
-    return both.where("slice is null").drop("slice"), b"".join(parts.get(k, bytes(per)) for k in range(SLICES))
+    partial = both.where("slice is not null").select("slice", "part", "digest")
+    parts = (partial.agg(F.max("part")).first()[0] or 0) + 1
+    while True:
+        partial = partial.withColumn("part", F.expr(f"part div {ADDED}")).groupBy("slice", "part").applyInArrow(add, "slice int, part long, digest binary")
+        parts = -(-parts // ADDED)
+        if parts == 1:
+            break
+    found = {r["slice"]: np.frombuffer(zstandard.decompress(bytes(r["digest"])), dtype=np.int64) for r in partial.collect()}
+    level = lambda k: np.minimum(255, 4 * np.log2(1 + found[k])).astype(np.uint8).tobytes() if k in found else bytes(per)
+    return both.where("slice is null").drop("slice", "part"), b"".join(map(level, range(SLICES)))
 
 
 # ---------------------------------------------------------------- first tokens
@@ -116,7 +131,7 @@ def key_emitter(sketch: bytes, rule: Rule):
         size = np.array([len(k) for k in keys], dtype=np.int64)
         every = np.concatenate(keys) if keys else np.zeros(0, dtype=U64)
         place = np.arange(len(every)) - np.repeat(np.cumsum(size) - size, size)
-        return np.repeat(np.arange(len(keys)), size), place, mix(every + U64(1)), mix(every ^ U64(0xA0761D6478BD642F))
+        yield np.repeat(np.arange(len(keys)), size), place, mix(every + U64(1)), mix(every ^ U64(0xA0761D6478BD642F))
 
     return emit
 
@@ -125,13 +140,14 @@ def survivors(docs: DataFrame, places: DataFrame, sketch: bytes, rule: Rule) ->
     """doc_id, n, keys (repeated first tokens), grp and the whole set of documents that may link."""
     schema = "doc_id long, n long, keys array<long>, grp long, tokens binary"
 
+    @lean
     def run(batches):
         levels = np.frombuffer(sketch, dtype=np.uint8)
         for ids, packed, texts in slices(batches, ["doc_id", "places", "text"]):
             rows = []
             for doc, p, text in zip(ids, packed, texts, strict=True):
                 tokens = rule.tokens(text)
-                again = unpack(p)
+                again = unpack_all(p)
                 if len(again) >= rule.needed(len(tokens)):
                     keys = first_tokens(tokens, levels, rule)[again].astype(np.int64)
                     rows.append((doc, len(tokens), keys, int(keys[-1]), tokens.tobytes()))
@@ -143,14 +159,44 @@ def survivors(docs: DataFrame, places: DataFrame, sketch: bytes, rule: Rule) ->
 
 # ---------------------------------------------------------------- the matrix and the groups
 
-def opened(found: DataFrame, rule: Rule) -> DataFrame:
-    """(doc_id, grp): groups that hold enough of the query's first tokens."""
+def token_groups(found: DataFrame) -> DataFrame:
+    """The token-group matrix: (token, of), each group's union of its members' repeated first tokens."""
+    return found.select(F.col("grp").alias("of"), F.explode("keys").alias("token")).groupBy("token", "of").agg(F.count(F.lit(1)).alias("members")).select("token", "of")
+
+
+def opened(found: DataFrame, matrix: DataFrame, rule: Rule) -> DataFrame:
+    """(doc_id, grp): of the groups named before the query's own, those whose union holds enough of the query's first tokens."""
     entries = found.select("doc_id", "n", "grp", F.explode("keys").alias("token"))
-    matrix = entries.select("token", F.col("grp").alias("of")).distinct()
     # The threshold as an expression: shared(overlap(n)).
     least = F.ceil(F.col("n") * rule.num / rule.den)
     needed = F.floor((least - F.ceil(least * rule.num / rule.den)) / 2) + 1
-    return entries.join(matrix, "token").groupBy("doc_id", "n", F.col("of").alias("grp")).agg(F.count(F.lit(1)).alias("held")).where(F.col("held") >= needed).select("doc_id", "grp")
+    met = entries.join(matrix, "token").where("of < grp")
+    return met.groupBy("doc_id", "n", F.col("of").alias("grp")).agg(F.count(F.lit(1)).alias("held")).where(F.col("held") >= needed).select("doc_id", "grp").distinct()
+
+
+def leaders(found: DataFrame) -> DataFrame:
+    """(grp, lead, lead_set): a member of median size of each group that may be asked."""
+    mid = found.groupBy("grp").agg(F.percentile_approx("n", 0.5).alias("mid"))
+    near = F.struct(F.abs(F.col("n") - F.col("mid")), "doc_id")
+    lead = found.select("doc_id", "n", "grp").join(storage.small(storage.spill(mid, "mid")), "grp").groupBy("grp").agg(F.min_by("doc_id", near).alias("lead"))
+    sets = found.select(F.col("doc_id").alias("lead"), "grp", F.col("tokens").alias("lead_set"))
+    return sets.join(storage.small(storage.spill(lead, "lead")), ["grp", "lead"]).dropDuplicates(["grp"])
+
+
+def against_leaders(pairs: DataFrame, rule: Rule) -> DataFrame:
+    """(doc_id, grp, home, lead, linked) of queries (doc_id, grp, home, tokens, lead, lead_set)."""
+
+    @lean
+    def run(batches):
+        for batch in batches:
+            linked = []
+            for own, lead in zip(batch.column("tokens").to_pylist(), batch.column("lead_set").to_pylist(), strict=True):
+                a, b = np.frombuffer(own, dtype=U64), np.frombuffer(lead, dtype=U64)
+                least = min(len(a), len(b)) * rule.den >= rule.num * max(len(a), len(b))
+                linked.append(bool(least and rule.links(len(np.intersect1d(a, b, assume_unique=True)), len(a), len(b))))
+            yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in ("doc_id", "grp", "home", "lead")], pa.array(linked)], ["doc_id", "grp", "home", "lead", "linked"])
+
+    return pairs.select("doc_id", "grp", "home", "lead", "tokens", "lead_set").mapInArrow(run, "doc_id long, grp long, home boolean, lead long, linked boolean")
 
 
 def _verify(table: pa.Table, rule: Rule) -> pa.Table:
@@ -192,18 +238,35 @@ def _verify(table: pa.Table, rule: Rule) -> pa.Table:
 
 def links(found: DataFrame, rule: Rule) -> DataFrame:
     """Edges (a, b) that span what is linked among the survivors."""
-    asked = storage.spill(opened(found.select("doc_id", "n", "keys", "grp"), rule), "opened")
+    slim = found.select("doc_id", "n", "keys", "grp")
+    matrix = storage.spill(token_groups(slim), "matrix")
+    asked = storage.spill(opened(slim, matrix, rule), "opened")
+    lead = storage.small(storage.spill(leaders(found), "leaders"))
+    sets = found.select("doc_id", "tokens")
+    foreign = sets.join(storage.small(asked), "doc_id").select("doc_id", "grp", F.lit(False).alias("home"), "tokens")
+    pairs = found.select("doc_id", "grp", F.lit(True).alias("home"), "tokens").unionByName(foreign).join(lead, "grp")
+    tried = storage.spill(against_leaders(pairs, rule), "tried")
+    storage.release(matrix, asked)
+    near = tried.where("linked and doc_id <> lead").select(F.col("doc_id").alias("a"), F.col("lead").alias("b"))
+    # Side 0 of a group: members that link with its leader; side 1: the others.  Who links with the leader need not meet side 0.
+    every = F.explode(F.array(F.lit(0), F.lit(1)))
+    queries = tried.where("not linked").select("doc_id", "grp", every.alias("side")).unionByName(tried.where("linked and not home").select("doc_id", "grp", F.lit(1).alias("side")))
+    members = tried.where("home").select("doc_id", "grp", (~F.col("linked")).cast("int").alias("side"))
     blocks = lambda n: F.greatest(F.lit(1), F.ceil(n / F.lit(BLOCK))).cast("int")
-    size = found.groupBy("grp").agg(blocks(F.count(F.lit(1))).alias("mb")).join(asked.groupBy("grp").agg(blocks(F.count(F.lit(1))).alias("qb")), "grp")
+    size = members.groupBy("grp", "side").agg(blocks(F.count(F.lit(1))).alias("mb")).join(queries.groupBy("grp", "side").agg(blocks(F.count(F.lit(1))).alias("qb")), ["grp", "side"])
+    size = storage.small(storage.spill(size, "sides"))
     deal = lambda n: F.pmod(F.xxhash64("doc_id"), n).cast("int")
-    every = lambda n: F.explode(F.sequence(F.lit(0), n - 1))
-    members = found.select("doc_id", "grp", "tokens").join(size, "grp").select("grp", "doc_id", "tokens", deal(F.col("mb")).alias("mblock"), every(F.col("qb")).alias("qblock"), F.lit(0).alias("role"))
-    queries = asked.join(found.select("doc_id", "tokens"), "doc_id").join(size, "grp").select("grp", "doc_id", "tokens", every(F.col("mb")).alias("mblock"), deal(F.col("qb")).alias("qblock"), F.lit(1).alias("role"))
+    spread = lambda n: F.explode(F.sequence(F.lit(0), n - 1))
+    both = members.join(size, ["grp", "side"]).select("doc_id", "grp", "side", deal(F.col("mb")).alias("mblock"), spread(F.col("qb")).alias("qblock"), F.lit(0).alias("role"))
+    both = both.unionByName(queries.join(size, ["grp", "side"]).select("doc_id", "grp", "side", spread(F.col("mb")).alias("mblock"), deal(F.col("qb")).alias("qblock"), F.lit(1).alias("role")))
+    both = sets.join(storage.small(storage.spill(both, "dealt")), "doc_id")
 
     def run(table: pa.Table) -> pa.Table:
-        return _verify(table, rule)
+        out = _verify(table, rule)
+        give_back()
+        return out
 
-    return members.unionByName(queries).groupBy("grp", "mblock", "qblock").applyInArrow(run, "a long, b long")
+    return near.unionByName(both.groupBy("grp", "side", "mblock", "qblock").applyInArrow(run, "a long, b long"))
 
 
 def components(docs: DataFrame, rule: Rule) -> DataFrame:

@@ -1,7 +1,9 @@
-"""Helpers that run inside Python workers: slicing Arrow batches, words, rolling hashes, packed arrays."""
+"""Helpers that run inside Python workers: slicing Arrow batches, words, rolling hashes, packed arrays, memory given back."""
 
 from __future__ import annotations
 
+import ctypes
+import functools
 import sys
 
 import numpy as np
@@ -14,9 +16,54 @@ U64 = np.uint64
 MIX_A, MIX_B, BASE_A, BASE_B = 0xFF51AFD7ED558CCD, 0xC4CEB9FE1A85EC53, 0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93
 
 
-def worker_cache() -> dict:
-    """A dictionary that lives as long as the Python worker, so that models load once for many tasks."""
-    return sys.__dict__.setdefault("_graphsplit_cache", {})
+def worker_cache(kind: str) -> dict:
+    """What this Python worker keeps for tasks of one kind, so that a model loads once; a task of another kind starts with an empty one."""
+    slot = sys.__dict__.setdefault("_graphsplit_cache", {})
+    if slot.get("kind") != kind:
+        slot.clear()
+        slot["kind"] = kind
+    return slot
+
+
+def give_back() -> None:
+    """Return freed memory to the system: workers are reused, and what one step needed at its peak would stay with the next ones."""
+    pa.default_memory_pool().release_unused()
+    if sys.platform.startswith("linux"):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def lean(run):
+    """``run`` (batches -> batches) that gives memory back when its task ends."""
+
+    @functools.wraps(run)
+    def wrapped(batches):
+        try:
+            yield from run(batches)
+        finally:
+            give_back()
+
+    return wrapped
+
+
+class BoundedCache(dict):
+    """A dictionary that is emptied once its keys and values hold more than ``most`` bytes; long keys are not kept."""
+
+    OVERHEAD, LONGEST = 180, 256
+
+    def __init__(self, most: int = 32 << 20):
+        super().__init__()
+        self.most, self.held = most, 0
+
+    def keep(self, items) -> None:
+        for k, v in items:
+            if len(k) <= self.LONGEST:
+                self[k] = v
+                self.held += len(k) + len(v) + self.OVERHEAD
+
+    def tidy(self) -> None:
+        if self.held > self.most:
+            self.clear()
+            self.held = 0
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -30,8 +77,12 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def slices(batches, columns, most_bytes: int = 4_000_000):
-    """From Arrow batches, lists of the named columns whose texts (the last column) hold about ``most_bytes`` together."""
+def slices(batches, columns, most_bytes: int = 4_000_000, as_lists: tuple[str, ...] | None = None):
+    """From Arrow batches, the named columns of runs of rows whose texts (the last column) hold about ``most_bytes`` together.
+
+    Columns come as lists, those that ``as_lists`` leaves out as Arrow arrays.
+    """
+    lists = [as_lists is None or c in as_lists for c in columns]
     for batch in batches:
         cols = [batch.column(c) for c in columns]
         text = cols[-1]
@@ -40,7 +91,7 @@ def slices(batches, columns, most_bytes: int = 4_000_000):
         edges = [0, *(np.flatnonzero(np.diff(cut)) + 1).tolist(), len(sizes)]
         for a, b in zip(edges, edges[1:], strict=False):
             if a < b:
-                yield [c.slice(a, b - a).to_pylist() for c in cols]
+                yield [c.slice(a, b - a).to_pylist() if as_list else c.slice(a, b - a) for c, as_list in zip(cols, lists, strict=True)]
 
 
 def encoded(text: str | None) -> bytes:
@@ -80,16 +131,20 @@ def word_hashes(words: list[bytes]) -> np.ndarray:
     return np.fromiter(map(xxhash.xxh3_64_intdigest, words), dtype=U64, count=len(words))
 
 
+_POWERS: dict[int, np.ndarray] = {}
+#: Powers that are kept for the worker's life; longer runs are made when needed.
+KEPT_POWERS = 1 << 18
+
+
 def powers(base: int, n: int) -> np.ndarray:
-    """base ** 0 .. base ** (n - 1) modulo 2 ** 64, kept for the worker's life."""
-    cache = worker_cache()
-    have = cache.get(("pow", base))
+    """base ** 0 .. base ** (n - 1) modulo 2 ** 64."""
+    have = _POWERS.get(base)
     if have is None or len(have) < n:
-        size = 1 << max(16, (n - 1).bit_length())
-        have = np.full(size, base, dtype=U64)
+        have = np.full(max(n, KEPT_POWERS), base, dtype=U64)
         have[0] = 1
         np.multiply.accumulate(have, out=have)
-        cache[("pow", base)] = have
+        if n <= KEPT_POWERS:
+            _POWERS[base] = have
     return have[:n]
 
 
@@ -117,6 +172,13 @@ def unpack(b: bytes) -> np.ndarray:
     return np.cumsum(np.frombuffer(zstandard.decompress(b[1:]), dtype=kind).astype(np.int64))
 
 
+def unpack_all(parts: list[bytes] | None) -> np.ndarray:
+    """The integers of several packed arrays together, ascending, each once."""
+    if not parts:
+        return np.zeros(0, dtype=np.int64)
+    return unpack(parts[0]) if len(parts) == 1 else np.unique(np.concatenate([unpack(p) for p in parts]))
+
+
 def runs_to_spans(starts: np.ndarray, length: int) -> np.ndarray:
     """Union of [s, s + length) for ascending starts, as an (n, 2) array of disjoint spans that do not touch."""
     if not len(starts):

@@ -11,6 +11,7 @@ both kinds the lexicon is empty and every text gets the lowest score.  An empty
 from __future__ import annotations
 
 import unicodedata
+from bisect import bisect_right
 from collections import Counter
 from dataclasses import dataclass, field
 
@@ -20,12 +21,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import storage
-from .textkit import slices, worker_cache
+from .textkit import lean, slices
 
 #: Labelled rows that the lexicon and the scores are fitted on, toxic and other, at most.
 TOXIC_ROWS, OTHER_ROWS = 1500, 3500
-#: Shortest and longest word beginning; least evidence (log-likelihood ratio) for one; most of them.
-SHORTEST, LONGEST, EVIDENCE, MOST_TERMS = 4, 12, 14.0, 4000
+#: Shortest and longest word beginning; least evidence (log-likelihood ratio) for one.
+SHORTEST, LONGEST, EVIDENCE = 4, 12, 14.0
 THRESHOLD = 0.3
 
 #: Letters of other scripts that look like Latin ones, and signs written for letters.
@@ -33,25 +34,25 @@ LOOKALIKES = dict(zip("авекмнорстухіјѕԁԛԝһҽɡαεικνορ
 SIGNS = dict(zip("0134578@$!|€", "oieastbasiie", strict=True))
 
 
-def folding() -> dict[int, str]:
-    """Translation table: every character below U+2000 and the full-width forms, by rule; the rest stay."""
-    table = {}
-    for cp in [*range(0x2000), *range(0xFF01, 0xFF5F)]:
+class Folding(dict):
+    """Translation table of all code points by one rule, each worked out when it is first met: compatibility form, lower case, without
+    marks and format characters, look-alikes and signs as letters, anything else that is no letter as a blank."""
+
+    def __missing__(self, cp: int) -> str:
         ch = unicodedata.normalize("NFKC", chr(cp)).lower()
-        plain = "".join(x for x in unicodedata.normalize("NFD", ch) if not unicodedata.combining(x))
+        plain = "".join(x for x in unicodedata.normalize("NFD", ch) if not unicodedata.combining(x) and unicodedata.category(x) != "Cf")
         plain = SIGNS.get(plain, "".join(LOOKALIKES.get(x, x) for x in plain))
-        out = plain if plain.isalpha() or plain == "" else " "
-        if out != chr(cp):
-            table[cp] = out
-    return table
+        out = self[cp] = plain if plain.isalpha() or plain == "" else " "
+        return out
+
+
+#: At most one entry for each code point.
+FOLDING = Folding()
 
 
 def fold(text: str | None) -> str:
     """Folded words, each after one blank; the start of a word is then a blank in a pattern."""
-    cache = worker_cache()
-    if "folding" not in cache:
-        cache["folding"] = folding()
-    words = (text or "").translate(cache["folding"]).split()
+    words = (text or "").translate(FOLDING).split()
     return " " + " ".join(words) if words else ""
 
 
@@ -85,13 +86,18 @@ class Lexicon:
                 excused.append((start, end))
             elif n >= size.get(start, 0):
                 best[start], size[start] = weight, n
-        return sum(w for s, w in best.items() if not any(a <= s and s + size[s] - 1 <= b for a, b in excused))
-
-    def inputs(self, texts: list[str | None]) -> np.ndarray:
+        if not excused:
+            return sum(best.values())
+        # A hit is excused if a phrase that begins no later ends no earlier: the farthest end of those beginnings tells.
+        excused.sort()
+        begins, ends = [a for a, _ in excused], np.maximum.accumulate([b for _, b in excused]).tolist()
+        return sum(w for s, w in best.items() if (k := bisect_right(begins, s)) == 0 or ends[k - 1] < s + size[s] - 1)
+
+    def inputs(self, texts: list[str | None], automaton=None) -> np.ndarray:
         """The weighted sum, damped, and its rate by length."""
         if not self.terms:
             return np.zeros((len(texts), 2))
-        automaton = self.automaton()
+        automaton = automaton or self.automaton()
         out = []
         for t in texts:
             folded = fold(t)
@@ -132,12 +138,14 @@ def find_terms(toxic: list[str], other: list[str]) -> dict[str, float]:
         return {}
     gain, odds = _gain(k1, n1, k0, n0), np.log((k1 + 0.5) / n1) - np.log((k0 + 0.5) / n0)
     out: dict[str, float] = {}
+    begun: set[str] = set()
     for i in np.lexsort((-np.array([len(w) for w in names]), -gain)):
         w = names[i]
-        if gain[i] < EVIDENCE or len(out) >= MOST_TERMS:
+        if gain[i] < EVIDENCE:
             break
-        if odds[i] > 2 and not any(w[:k] in out for k in range(SHORTEST, len(w))) and not any(o.startswith(w) for o in out):
+        if odds[i] > 2 and not any(w[:k] in out for k in range(SHORTEST, len(w))) and w not in begun:
             out[w] = float(min(odds[i], 6.0)) / 6.0
+            begun.update(w[:k] for k in range(SHORTEST, len(w) + 1))
     return out
 
 
@@ -193,12 +201,16 @@ def learn(texts: list[str | None], toxic: list[int], exceptions: list[str] = ())
 
 
 def train(docs: DataFrame, labels: DataFrame) -> Lexicon:
-    """Learn from labelled rows outside the held-out quarter; of either kind a bounded number reaches the driver, chosen by hash of doc_id."""
+    """Learn from labelled rows outside the held-out quarter; of either kind a bounded number reaches the driver, chosen by hash of doc_id.
+
+    Of rows that share an id one text is taken.
+    """
     marked = labels.where(F.col("toxic").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id", "toxic")
     rows = []
     for kind, most in ((1, TOXIC_ROWS), (0, OTHER_ROWS)):
         chosen = marked.where(F.col("toxic") == kind).dropDuplicates(["doc_id"]).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-        rows += docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").orderBy("doc_id", "text").select("text", "toxic").collect()
+        one = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "toxic").agg(F.min_by("text", F.xxhash64("text")).alias("text"))
+        rows += one.orderBy("doc_id").select("text", "toxic").collect()
     return learn([r.text for r in rows], [r.toxic for r in rows])
 
 
@@ -212,10 +224,12 @@ def score_documents(docs: DataFrame, lexicon: Lexicon) -> DataFrame:
     docs = docs.drop("toxic_score")
     out = docs.schema.fieldNames()
 
+    @lean
     def run(batches):
-        for batch in batches:
-            x = lexicon.inputs(batch.column("text").to_pylist())
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lexicon.score(x))], [*out, "toxic_score"])
+        automaton = lexicon.automaton() if lexicon.terms else None
+        for *columns, texts in slices(batches, [*out, "text"], as_lists=("",)):
+            x = lexicon.inputs(texts.to_pylist(), automaton)
+            yield pa.RecordBatch.from_arrays([*columns, pa.array(lexicon.score(x))], [*out, "toxic_score"])
 
     return docs.mapInArrow(run, docs.select("*", F.lit(0.0).alias("toxic_score")).schema)
 

@@ -12,7 +12,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from graphsplit.llm import bytebpe, chat, components, covers, packing, pivots, quality, recompress, secrets, setjoin, toxicity
+from graphsplit.llm import bytebpe, chat, components, covers, packing, pivots, quality, recompress, secrets, setjoin, textkit, toxicity
 
 SCHEMA = "doc_id long, text string, mark string, rows long, places string"  # extra columns with names that steps use themselves
 
@@ -230,7 +230,7 @@ def test_bytes(docs, empty):
         b = (r.text or "").encode()
         count.update(b[i : i + 200] for i in range(len(b) - 199))
     marked, found = covers.repeated_strings(docs)
-    places = {(r.doc_id, r.mark): covers.unpack(r.places).tolist() for r in found.collect()}
+    places = {(r.doc_id, r.mark): textkit.unpack_all(r.places).tolist() for r in found.collect()}
     for r in marked.collect():
         if r.copied or r.spare:
             continue
@@ -334,3 +334,67 @@ def test_exception_phrases_void_hits():
     lexicon = toxicity.Lexicon({"trash": 1.0}, ["trash can"])
     a = lexicon.automaton()
     assert lexicon.hits(toxicity.fold("put it in the trash can"), a) == 0 and lexicon.hits(toxicity.fold("you trash"), a) == 1.0
+
+
+# ---------------------------------------------------------------- long texts, in stretches
+
+def emitted(parts):
+    out = {}
+    for doc, place, key, second in parts:
+        for d, p, a, b in zip(doc.tolist(), place.tolist(), key.tolist(), second.tolist(), strict=True):
+            assert (d, p) not in out
+            out[d, p] = a, b
+    return out
+
+
+SIZES = (5, 0, None, 30, 250, 99, 100, 101, 40, 350, 20)
+
+
+def test_bytes_in_stretches_are_as_whole(monkeypatch):
+    rng, length, period, cover = random.Random(1), 20, 7, (0, 1, 3)
+    texts = [None if n is None else "".join(rng.choice("abc") for _ in range(n)) for n in SIZES]
+    whole = emitted(covers.cover_emitter(length, period, cover)(texts))
+    monkeypatch.setattr(covers, "STRETCH", 100)
+    parts = emitted(covers.cover_emitter(length, period, cover)(texts))
+    own = length - period + 1
+    want = {(d, p): t[p : p + own] for d, t in enumerate(texts) if t and len(t) >= length for p in range(len(t) - own + 1) if p % period in cover}
+    assert parts == whole and parts.keys() == want.keys()
+    assert len({(want[x], parts[x]) for x in want}) == len(set(want.values()))
+    places = [[textkit.pack(np.array(sorted(p for d, p in want if d == i)))] if t and len(t) >= length else None for i, t in enumerate(texts)]
+    starts = emitted(covers.suffix_emitter(length, period)(places, texts))
+    assert starts.keys() == {(d, p) for d, t in enumerate(texts) if t for p in range(len(t) - length + 1) if any((d, q) in want for q in range(p, p + period))}
+
+
+def test_words_in_stretches_keep_every_repeated_window(monkeypatch):
+    rng, length = random.Random(2), 7
+    texts = [None if n is None else " ".join(rng.choice("abcdefgh") for _ in range(n)) for n in SIZES]
+    passage = " ".join(rng.choice("abcdefgh") for _ in range(30))
+    texts += [texts[9] + " " + passage + " " + texts[4], passage]
+    windows = [(d, i, tuple(w[i : i + length])) for d, w in enumerate(map(split, texts)) for i in range(len(w) - length + 1)]
+    count = collections.Counter(x for _, _, x in windows)
+    want = {(d, i) for d, i, x in windows if count[x] > 1}
+    for stretch, piece in ((100_000, 1 << 20), (40, 16)):
+        monkeypatch.setattr(recompress, "STRETCH", stretch)
+        monkeypatch.setattr(recompress, "SPLIT", piece)
+        anchors = collections.defaultdict(list)
+        for (d, p), key in (found := emitted(recompress.anchor_emitter(length)(texts))).items():
+            anchors[key].append((d, p))
+        again = collections.defaultdict(list)
+        for who in anchors.values():
+            for d, p in who if len(who) > 1 else ():
+                again[d].append(p)
+        places = [[textkit.pack(np.array(sorted(again[d])))] if d in again else None for d in range(len(texts))]
+        left = emitted(recompress.window_emitter(length)(places, texts))
+        assert want <= left.keys() and len(found) > 0
+        assert len(set(left.values())) == len({tuple(split(texts[d])[i : i + length]) for d, i in left})
+
+
+def test_a_text_of_twenty_megabytes():
+    import resource
+
+    text = "".join(f"word{i * 7919 % 100_003} " for i in range(1_900_000))
+    assert len(text) > 20_000_000 - 2_000_000
+    for emit in (recompress.anchor_emitter(35), covers.cover_emitter(200, covers.PERIOD, covers.COVER)):
+        assert sum(len(place) for _, place, _, _ in emit([text])) > 10_000
+    assert len(setjoin.Rule(3, 90, 100).tokens(text)) > 90_000
+    assert resource.getrusage(resource.RUSAGE_SELF).ru_maxrss < 3_000_000
