@@ -159,19 +159,30 @@ def survivors(docs: DataFrame, places: DataFrame, sketch: bytes, rule: Rule) ->
 
 # ---------------------------------------------------------------- the matrix and the groups
 
-def token_groups(found: DataFrame) -> DataFrame:
-    """The token-group matrix: (token, of), each group's union of its members' repeated first tokens."""
-    return found.select(F.col("grp").alias("of"), F.explode("keys").alias("token")).groupBy("token", "of").agg(F.count(F.lit(1)).alias("members")).select("token", "of")
+def sized(found: DataFrame) -> DataFrame:
+    """(doc_id, n, keys, grp, members) of survivors; members is the size of the group."""
+    slim = found.select("doc_id", "n", "keys", "grp")
+    sizes = storage.spill(slim.groupBy("grp").agg(F.count(F.lit(1)).alias("members")), "sizes")
+    return slim.join(storage.small(sizes), "grp")
+
+
+def token_groups(slim: DataFrame) -> DataFrame:
+    """The token-group matrix: (token, of, of_members), each group's union of its members' repeated first tokens."""
+    return slim.select(F.col("grp").alias("of"), F.col("members").alias("of_members"), F.explode("keys").alias("token")).distinct()
 
 
-def opened(found: DataFrame, matrix: DataFrame, rule: Rule) -> DataFrame:
-    """(doc_id, grp): of the groups named before the query's own, those whose union holds enough of the query's first tokens."""
-    entries = found.select("doc_id", "n", "grp", F.explode("keys").alias("token"))
+def opened(slim: DataFrame, matrix: DataFrame, rule: Rule) -> DataFrame:
+    """(doc_id, grp, of_members): of the groups larger than the query's own, those whose union holds enough of the query's first tokens.
+
+    Groups are ordered by size, then by name: few queries go from small groups to large ones, not the other way.
+    """
+    entries = slim.select("doc_id", "n", "grp", "members", F.explode("keys").alias("token"))
     # The threshold as an expression: shared(overlap(n)).
     least = F.ceil(F.col("n") * rule.num / rule.den)
     needed = F.floor((least - F.ceil(least * rule.num / rule.den)) / 2) + 1
-    met = entries.join(matrix, "token").where("of < grp")
-    return met.groupBy("doc_id", "n", F.col("of").alias("grp")).agg(F.count(F.lit(1)).alias("held")).where(F.col("held") >= needed).select("doc_id", "grp").distinct()
+    met = entries.join(matrix, "token").where(F.struct(F.col("of_members"), F.col("of")) > F.struct(F.col("members"), F.col("grp")))
+    held = met.groupBy("doc_id", "n", F.col("of").alias("grp"), "of_members").agg(F.count(F.lit(1)).alias("held"))
+    return held.where(F.col("held") >= needed).select("doc_id", "grp", "of_members").distinct()
 
 
 def leaders(found: DataFrame) -> DataFrame:
@@ -238,16 +249,23 @@ def _verify(table: pa.Table, rule: Rule) -> pa.Table:
 
 def links(found: DataFrame, rule: Rule) -> DataFrame:
     """Edges (a, b) that span what is linked among the survivors."""
-    slim = found.select("doc_id", "n", "keys", "grp")
+    slim = storage.spill(sized(found), "sized")
     matrix = storage.spill(token_groups(slim), "matrix")
     asked = storage.spill(opened(slim, matrix, rule), "opened")
-    lead = storage.small(storage.spill(leaders(found), "leaders"))
+    several = slim.where("members > 1").select("doc_id", "grp")
+    wanted = storage.small(storage.spill(several.select("grp").unionByName(asked.select("grp")).distinct(), "wanted"))
+    lead = storage.spill(leaders(found.join(wanted, "grp", "left_semi")), "leaders")
     sets = found.select("doc_id", "tokens")
-    foreign = sets.join(storage.small(asked), "doc_id").select("doc_id", "grp", F.lit(False).alias("home"), "tokens")
-    pairs = found.select("doc_id", "grp", F.lit(True).alias("home"), "tokens").unionByName(foreign).join(lead, "grp")
-    tried = storage.spill(against_leaders(pairs, rule), "tried")
-    storage.release(matrix, asked)
+    queries = several.select("doc_id", "grp", F.lit(True).alias("home")).unionByName(asked.select("doc_id", "grp", F.lit(False).alias("home")))
+    led = queries.join(storage.small(lead.select("grp", "lead")), "grp")
+    itself = F.col("home") & (F.col("doc_id") == F.col("lead"))
+    pairs = sets.join(storage.small(storage.spill(led.where(~itself), "asks")), "doc_id").join(storage.small(lead.select("grp", "lead_set")), "grp")
+    tried = against_leaders(pairs, rule).unionByName(led.where(itself).select("doc_id", "grp", "home", "lead", F.lit(True).alias("linked")))
+    tried = storage.spill(tried, "tried")
+    single = asked.where("of_members = 1").select("doc_id", "grp", F.lit(False).alias("home"))  # their leader was all of the group
+    storage.release(slim, matrix, lead)
     near = tried.where("linked and doc_id <> lead").select(F.col("doc_id").alias("a"), F.col("lead").alias("b"))
+    tried = tried.join(storage.small(single), ["doc_id", "grp", "home"], "left_anti")
     # Side 0 of a group: members that link with its leader; side 1: the others.  Who links with the leader need not meet side 0.
     every = F.explode(F.array(F.lit(0), F.lit(1)))
     queries = tried.where("not linked").select("doc_id", "grp", every.alias("side")).unionByName(tried.where("linked and not home").select("doc_id", "grp", F.lit(1).alias("side")))
@@ -276,17 +294,24 @@ def components(docs: DataFrame, rule: Rule) -> DataFrame:
     classes = sets.where("n_shingles > 0 and doc_id is not null").groupBy("digest").agg(F.min("doc_id").alias("rep"))
     classes = storage.spill(classes, "classes")
     reps = storage.small(classes.select("rep").distinct(), 2 * storage.BROADCAST_ROWS)
+    size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     own = docs.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("mark"))
     own = own.join(reps, own["doc_id"] == reps["rep"], "left_semi")
-    places = storage.spill(repeats.repeated_places(own, key_emitter(sketch, rule)), "keys")
+    places = storage.spill(repeats.repeated_places(own, key_emitter(sketch, rule), key_bytes=5, most_entries=size // 12), "keys")
     repeats.forget_shuffles(spark)
-    found = storage.spill(survivors(own, places, sketch, rule).dropDuplicates(["doc_id", "tokens"]), "survivors")
+    # Ids of several rows; their sets are kept once each.
+    valid = sets.where("n_shingles > 0 and doc_id is not null")
+    ids = storage.spill(valid.groupBy("doc_id").agg(F.count(F.lit(1)).alias("rows"), F.count_distinct("digest").alias("k")).where("rows > 1"), "ids")
+    found = survivors(own, places, sketch, rule)
+    if ids.take(1):
+        several = storage.small(ids.select("doc_id"))
+        found = found.join(several, "doc_id", "left_anti").unionByName(found.join(several, "doc_id", "left_semi").dropDuplicates(["doc_id", "tokens"]))
+    found = storage.spill(found, "survivors")
     storage.release(places)
     edges = storage.spill(links(found, rule), "links")
     # Rows that share an id are one node: tie the classes they are in.
-    shared = sets.where("n_shingles > 0 and doc_id is not null").join(classes, "digest").where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
-    ids = sets.where("n_shingles > 0 and doc_id is not null").groupBy("doc_id").agg(F.count_distinct("digest").alias("k")).where("k > 1").select(F.col("doc_id").alias("a"))
-    tied = shared.join(ids, "a", "left_semi")
+    shared = valid.join(classes, "digest").where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
+    tied = shared.join(storage.small(ids.where("k > 1").select(F.col("doc_id").alias("a"))), "a", "left_semi")
     label = connected(edges.unionByName(tied))
     storage.release(found, edges)
     out = sets.join(classes, "digest", "left")
