@@ -1,17 +1,19 @@
 """Embedding near-duplicates with a pivot-permutation index.
 
 1. Equal vectors are one class with a count; its least id stands for it.
-2. Pivots are reference vectors from a bounded sample, no two of them close.  A vector's permutation is its ``NEAREST`` pivots
-   in order of nearness.  The inverted index has a list for each two pivots: the vectors that have both among their nearest.
-   So two vectors meet if they share at least two of them.
-3. Lists are verified by exact cosines in double precision.  Vectors that share more pivots stand together in several
-   lists; a pair is looked at only in the list of its two least common pivots, so counts need no pair table.
+2. Pivots are reference vectors from a bounded sample, no two of them close; their number grows with the square root of the vectors'.
+   A vector's permutation is its ``NEAREST`` pivots in order of nearness.  The inverted index has a list for each two pivots:
+   the vectors that have both among their nearest.  With so many pivots the lists stay short, however many vectors there are.
+3. Lists hold permutations only, no vectors.  Inside a list, shared pivots are counted with weights that fall with their place in
+   either order, and a pair is a candidate if the count reaches ``SHARED`` of what equal permutations give.  A pair that stands together
+   in several lists is looked at in the list of its two least common pivots only, so counts need no pair table.
+4. Vectors go only to lists in which they have a candidate, and candidates are verified there by exact cosines in double precision.
    Long lists are dealt in pairs of blocks; a task gives sums a vector and a spanning forest, never pairs.
 
-Every vector is indexed; only what shares fewer than two nearest pivots is missed (``recall_against_brute_force`` measures it).
-Vectors that are null, empty, zero, or hold null or non-finite components link with nothing; shorter vectors count as padded
-with zeros.  Rows of a null id link with nothing and have a null component.  Repeated rows are one class, each with its own row in
-the result; rows that share an id are one node.  An empty table gives an empty result.
+Every vector is indexed; what shares fewer than two nearest pivots, or in too different an order, is missed
+(``recall_against_brute_force`` measures it).  Vectors that are null, empty, zero, or hold null or non-finite components link with
+nothing; shorter vectors count as padded with zeros.  Rows of a null id link with nothing and have a null component.  Repeated rows are
+one class, each with its own row in the result; rows that share an id are one node.  An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -25,10 +27,13 @@ from pyspark.sql import functions as F
 
 from . import storage
 from .components import connected
+from .textkit import give_back, lean
 
-#: Reference vectors, nearest ones that describe a vector, rows they are chosen from, cosine above which two are too close.
-PIVOTS, NEAREST, SAMPLE_ROWS, APART = 256, 7, 4096, 0.6
-BLOCK = 2000
+#: Reference vectors: at least, and for each square root of a vector; nearest ones that describe a vector; sampled rows for each
+#: reference vector; cosine above which two are too close; share of the weighted count of equal permutations that a candidate has.
+PIVOTS, PIVOTS_PER_ROOT, NEAREST, SAMPLED, APART, SHARED = 256, 4, 7, 8, 0.6, 0.3
+#: Members in one block of a list, members compared at once, and postings in one bucket of lists.
+BLOCK, TILE, BUCKET = 2000, 400, 250_000
 LINK = 0.95
 
 
@@ -44,9 +49,13 @@ def choose_pivots(sample: np.ndarray, most: int = PIVOTS, apart: float = APART)
 
 
 def units(rows: list, dim: int) -> np.ndarray:
-    out = np.zeros((len(rows), dim))
-    for i, r in enumerate(rows):
-        out[i, : len(r)] = r
+    """Unit rows of vectors that are padded with zeros."""
+    if all(len(r) == dim for r in rows):
+        out = np.array(rows, dtype=float).reshape(-1, dim)
+    else:
+        out = np.zeros((len(rows), dim))
+        for i, r in enumerate(rows):
+            out[i, : len(r)] = r
     # Scaled first, so that squares of very large or small components stay finite.
     out /= np.abs(out).max(axis=1, keepdims=True)
     return out / np.linalg.norm(out, axis=1, keepdims=True)
@@ -60,15 +69,6 @@ def permutations(vectors: np.ndarray, pivots: np.ndarray, nearest: int = NEAREST
     return np.take_along_axis(part, np.argsort(np.take_along_axis(near, part, axis=1), axis=1, kind="stable"), axis=1)
 
 
-def masks(tops: np.ndarray, one: int, two: int, width: int) -> np.ndarray:
-    """As bits, a vector's pivots that would make an earlier list the common one of a pair: those below ``two`` but ``one``."""
-    out = np.zeros((len(tops), width), dtype=np.uint64)
-    for column in tops.T:
-        use = (column < two) & (column != one)
-        np.bitwise_or.at(out, (np.flatnonzero(use), column[use] // 64), np.uint64(1) << (column[use] % 64).astype(np.uint64))
-    return out
-
-
 class Forest:
     def __init__(self):
         self.up: dict[int, int] = {}
@@ -84,84 +84,75 @@ class Forest:
             self.up[max(a, b)] = min(a, b)
 
 
-def _verify_list(ids, copies, vectors, tops, left, right, one, two, width, link, sums, forest) -> None:
-    """Pairs of ``left`` rows with ``right`` rows (the same rows, or two blocks) whose first common list is this one."""
-    bits = masks(tops, one, two, width)
-    same = left is right
-    # Rows of one signature are compared at once; signatures that share a bit belong to an earlier list.
-    sign, which = np.unique(bits, axis=0, return_inverse=True)
-    which = which.ravel()
-    if len(sign) == 1 and sign.any():
-        return
-
-    def look(a: np.ndarray, b: np.ndarray, mirrored: bool) -> None:
-        hit = vectors[a] @ vectors[b].T >= link
-        if len(sign) > 1:
-            hit &= ~(bits[a][:, None, :] & bits[b][None, :, :]).any(axis=2)
-        if mirrored:
-            np.fill_diagonal(hit, False)
-        if hit.any():
-            np.add.at(sums, a, hit @ copies[b])
-            if not mirrored:
-                np.add.at(sums, b, copies[a] @ hit)
-            for i in np.flatnonzero(hit.any(axis=1)).tolist():
-                x = int(ids[a[i]])
-                for y in ids[b[hit[i]]].tolist():
-                    forest.join(x, y)
-
-    if len(left) * len(right) <= 160_000 or len(sign) == 1:
-        for k in range(0, len(left), 400):
-            a = left[k : k + 400]
-            if same:
-                look(a, a, True)
-                for j in range(k + 400, len(left), 400):
-                    look(a, left[j : j + 400], False)
-            else:
-                for j in range(0, len(right), 400):
-                    look(a, right[j : j + 400], False)
-        return
-    by_left = [left[which[left] == s] for s in range(len(sign))]
-    by_right = by_left if same else [right[which[right] == s] for s in range(len(sign))]
-    for s in range(len(sign)):
-        others = np.flatnonzero(~(sign & sign[s]).any(axis=1))
-        if same:
-            others = others[others >= s]
-        for a in (by_left[s][k : k + 400] for k in range(0, len(by_left[s]), 400)):
-            apart = [by_right[o] for o in others if not (same and o == s)]
-            rest = np.concatenate(apart) if apart else np.zeros(0, dtype=np.int64)
-            for j in range(0, len(rest), 2000):
-                look(a, rest[j : j + 2000], False)
-        if same and s in others:
-            own = by_left[s]
-            for k in range(0, len(own), 400):
-                look(own[k : k + 400], own[k : k + 400], True)
-                for j in range(k + 400, len(own), 400):
-                    look(own[k : k + 400], own[j : j + 400], False)
-
-
-def _verify_bucket(table: pa.Table, dim: int, width: int, link: float) -> pa.Table:
-    ids = table.column("rep").to_numpy()
-    copies = table.column("copies").to_numpy().astype(float)
+def candidate_tiles(tops: np.ndarray, left: np.ndarray, right: np.ndarray, one: int, two: int, shared: float):
+    """(a, b, hit): tiles of a list's rows, and which pairs are candidates whose two least common pivots are ``one`` and ``two``.
+
+    ``left`` and ``right`` are the same rows, which gives every pair once and none with itself, or two blocks.
+    """
+    near, local = np.unique(tops, return_inverse=True)
+    local = local.reshape(tops.shape)
+    k = tops.shape[1]
+    weight = np.zeros((len(tops), len(near)), dtype=np.float32)
+    weight[np.arange(len(tops))[:, None], local] = np.arange(k, 0, -1)
+    earlier = ((weight > 0) & (near < two) & (near != one)).astype(np.float32)
+    least = shared * (np.arange(1, k + 1) ** 2).sum()
+    for i in range(0, len(left), TILE):
+        a = left[i : i + TILE]
+        for j in range(i if left is right else 0, len(right), TILE):
+            b = right[j : j + TILE]
+            hit = (weight[a] @ weight[b].T >= least) & (earlier[a] @ earlier[b].T == 0)
+            if left is right and i == j:
+                hit = np.triu(hit, 1)
+            if hit.any():
+                yield a, b, hit
+
+
+def _lists(table: pa.Table):
+    """(rows, left, right, one, two) of each list and pair of blocks in a bucket; positions in left and right are among ``rows``."""
     lists = table.column("list").to_numpy()
     blocks = np.stack([table.column(c).to_numpy() for c in ("own", "first", "second")], axis=1)
-    vectors = np.frombuffer(b"".join(table.column("vector").to_pylist()), dtype=np.float64).reshape(-1, dim)
-    tops = np.stack(table.column("tops").to_numpy())
-    order = np.lexsort((ids, blocks[:, 2], blocks[:, 1], lists))
+    order = np.lexsort((table.column("rep").to_numpy(), blocks[:, 2], blocks[:, 1], lists))
     key = np.c_[lists, blocks[:, 1:]][order]
     edges = np.r_[0, np.flatnonzero((key[1:] != key[:-1]).any(axis=1)) + 1, len(order)]
-    sums, forest = np.zeros(len(ids)), Forest()
     for x, y in zip(edges, edges[1:], strict=False):
         rows = order[x:y]
-        if len(rows) < 2:
-            continue
-        one, two = divmod(int(lists[rows[0]]), 1 << 16)
-        first, second = blocks[rows[0], 1:]
-        local = np.arange(len(rows))
-        left = local if first == second else local[blocks[rows, 0] == first]
-        right = left if first == second else local[blocks[rows, 0] == second]
-        part = np.zeros(len(rows))
-        _verify_list(ids[rows], copies[rows], vectors[rows], tops[rows], left, right, one, two, width, link, part, forest)
-        sums[rows] += part
+        if len(rows) > 1:
+            first, second = blocks[rows[0], 1:]
+            local = np.arange(len(rows))
+            left = local if first == second else local[blocks[rows, 0] == first]
+            yield rows, left, left if first == second else local[blocks[rows, 0] == second], *divmod(int(lists[rows[0]]), 1 << 32)
+
+
+def _permutations_of(table: pa.Table) -> np.ndarray:
+    return np.frombuffer(b"".join(table.column("tops").to_pylist()), dtype=np.int32).reshape(len(table), -1)
+
+
+def _retrieve(table: pa.Table, shared: float) -> pa.Table:
+    """The postings of a bucket that have a candidate in their list."""
+    tops, found = _permutations_of(table), np.zeros(len(table), dtype=bool)
+    for rows, left, right, one, two in _lists(table):
+        for a, b, hit in candidate_tiles(tops[rows], left, right, one, two, shared):
+            found[rows[a[hit.any(axis=1)]]] = True
+            found[rows[b[hit.any(axis=0)]]] = True
+    return table.filter(pa.array(found))
+
+
+def _verify(table: pa.Table, dim: int, link: float, shared: float) -> pa.Table:
+    """Links of a bucket's candidates: a sum a vector, and a forest."""
+    ids, copies = table.column("rep").to_numpy(), table.column("copies").to_numpy().astype(float)
+    tops, vectors = _permutations_of(table), units(table.column("embedding").to_pylist(), dim)
+    sums, forest = np.zeros(len(ids)), Forest()
+    for rows, left, right, one, two in _lists(table):
+        own = vectors[rows]
+        for a, b, hit in candidate_tiles(tops[rows], left, right, one, two, shared):
+            hit &= own[a] @ own[b].T >= link
+            if hit.any():
+                np.add.at(sums, rows[a], hit @ copies[rows[b]])
+                np.add.at(sums, rows[b], copies[rows[a]] @ hit)
+                for i in np.flatnonzero(hit.any(axis=1)).tolist():
+                    x = int(ids[rows[a[i]]])
+                    for y in ids[rows[b[hit[i]]]].tolist():
+                        forest.join(x, y)
     who, inverse = np.unique(ids, return_inverse=True)
     total = np.bincount(inverse, weights=sums, minlength=len(who)).astype(np.int64)
     root = [forest.find(int(w)) for w in who]
@@ -169,51 +160,67 @@ def _verify_bucket(table: pa.Table, dim: int, width: int, link: float) -> pa.Tab
     return pa.table([pa.array(who[keep], pa.int64()), pa.array(total[keep], pa.int64()), pa.array([root[i] for i in keep], pa.int64())], names=["rep", "links", "root"])
 
 
-def near_duplicates(vectors: DataFrame, link: float = LINK, pivot_count: int = PIVOTS, nearest: int = NEAREST) -> DataFrame:
-    """vec_id, n_links, component_id, kept for each row of ``vectors`` (vec_id, embedding)."""
-    spark = vectors.sparkSession
-    rows = vectors.select("vec_id", F.col("embedding").cast("array<double>").alias("embedding"))
-    finite = F.forall("embedding", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists("embedding", lambda x: x != 0)
-    valid = F.coalesce(finite, F.lit(False)) & F.col("vec_id").isNotNull()
-    rows = rows.withColumn("digest", F.when(valid, F.unhex(F.md5(F.to_json(F.struct("embedding")).cast("binary")))))
-    groups = rows.where("digest is not null").groupBy("digest").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.first("embedding").alias("embedding"))
-    groups = storage.spill(groups, "vectors")
-    facts = groups.agg(F.max(F.size("embedding"))).first()
-    dim = facts[0] or 1
-    sample = [r.embedding for r in groups.orderBy(F.xxhash64("rep"), "digest").limit(SAMPLE_ROWS).select("embedding").collect()]
-    pivots = choose_pivots(units(sample, dim), pivot_count) if sample else np.zeros((1, dim))
-    width = -(-max(len(pivots), 1) // 64)
+def indexed(groups: DataFrame, dim: int, pivots: np.ndarray, nearest: int) -> DataFrame:
+    """(rep, tops, lists) of classes of vectors: the permutation, packed, and the names of the lists that hold the class."""
 
-    def index(batches):
+    @lean
+    def run(batches):
         for batch in batches:
             if not len(batch):
                 continue
-            x = units(batch.column("embedding").to_pylist(), dim)
-            tops = permutations(x, pivots, nearest)
-            low = np.sort(tops, axis=1)
+            tops = permutations(units(batch.column("embedding").to_pylist(), dim), pivots, nearest)
+            low = np.sort(tops, axis=1).astype(np.int64)
             if low.shape[1] > 1:
-                keys = np.stack([low[:, a].astype(np.int64) << 16 | low[:, b] for a, b in combinations(range(low.shape[1]), 2)], axis=1)
+                keys = np.stack([low[:, a] << 32 | low[:, b] for a, b in combinations(range(low.shape[1]), 2)], axis=1)
             else:
-                keys = low.astype(np.int64) << 16 | 0xFFFF
-            yield pa.RecordBatch.from_arrays([batch.column("rep"), batch.column("copies"), pa.array(list(tops.astype(np.int32)), pa.list_(pa.int32())), pa.array(list(keys), pa.list_(pa.int64())), pa.array([v.tobytes() for v in x], pa.binary())], ["rep", "copies", "tops", "lists", "vector"])
-
-    entries = storage.spill(groups.select("rep", "copies", "embedding").mapInArrow(index, "rep long, copies long, tops array<int>, lists array<long>, vector binary"), "permutations")
-    posted = entries.select("rep", "copies", "tops", "vector", F.explode("lists").alias("list"))
-    # One row for each two pivots: at most PIVOTS * (PIVOTS - 1) / 2 rows, whatever the data.
-    sizes = F.broadcast(entries.select(F.explode("lists").alias("list")).groupBy("list").agg(F.ceil(F.count(F.lit(1)) / F.lit(BLOCK)).cast("int").alias("blocks")))
-    dealt = posted.join(sizes, "list").withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
-    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("first", F.least("own", "other")).withColumn("second", F.greatest("own", "other"))
-    dealt = dealt.withColumn("bucket", F.pmod(F.xxhash64("list", "first", "second"), F.lit(4 * storage.width(spark))))
+                keys = low << 32 | 0xFFFFFFFF
+            yield pa.RecordBatch.from_arrays([batch.column("rep"), pa.array([t.tobytes() for t in tops.astype(np.int32)], pa.binary()), pa.array(list(keys), pa.list_(pa.int64()))], ["rep", "tops", "lists"])
 
-    def run(table: pa.Table) -> pa.Table:
-        return _verify_bucket(table, dim, width, link)
+    return groups.select("rep", "embedding").mapInArrow(run, "rep long, tops binary, lists array<long>")
 
-    met = storage.spill(dealt.select("bucket", "list", "own", "first", "second", "rep", "copies", "tops", "vector").groupBy("bucket").applyInArrow(run, "rep long, links long, root long"), "met")
-    counts = met.groupBy("rep").agg(F.sum("links").alias("links"))
+
+def near_duplicates(vectors: DataFrame, link: float = LINK, pivot_count: int | None = None, nearest: int = NEAREST, shared: float = SHARED) -> DataFrame:
+    """vec_id, n_links, component_id, kept for each row of ``vectors`` (vec_id, embedding)."""
+    spark = vectors.sparkSession
+    given = vectors.schema["embedding"].dataType.simpleString()
+    rows = vectors.select("vec_id", F.col("embedding").cast("array<float>" if given == "array<float>" else "array<double>").alias("embedding"))
+    finite = F.forall("embedding", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists("embedding", lambda x: x != 0)
+    valid = F.coalesce(finite, F.lit(False)) & F.col("vec_id").isNotNull()
+    rows = rows.withColumn("digest", F.when(valid, F.unhex(F.md5(F.to_json(F.struct(F.col("embedding").cast("array<double>").alias("embedding"))).cast("binary")))))
+    groups = rows.where("digest is not null").groupBy("digest").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.first("embedding").alias("embedding"))
+    groups = storage.spill(groups, "vectors")
+    dim, n = groups.agg(F.max(F.size("embedding")), F.count(F.lit(1))).first()
+    dim, most = dim or 1, pivot_count or max(PIVOTS, int(PIVOTS_PER_ROOT * n**0.5))
+    sample = [r.embedding for r in groups.orderBy(F.xxhash64("rep"), "digest").limit(SAMPLED * most).select("embedding").collect()]
+    pivots = choose_pivots(units(sample, dim), most) if sample else np.zeros((1, dim))
+
+    entries = storage.spill(indexed(groups, dim, pivots, nearest), "permutations")
+    posted = entries.select("rep", "tops", F.explode("lists").alias("list"))
+    sizes = storage.spill(posted.groupBy("list").agg(F.count(F.lit(1)).alias("size")).where("size > 1"), "lists")
+    blocks = F.ceil(F.col("size") / F.lit(BLOCK)).cast("int")
+    dealt = posted.join(storage.small(sizes.select("list", blocks.alias("blocks"))), "list").withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("first", F.least("own", "other")).withColumn("second", F.greatest("own", "other"))
+    work = sizes.agg(F.sum(F.col("size") * blocks)).first()[0] or 0
+    bucket = lambda entries: F.pmod(F.xxhash64("list", "first", "second"), F.lit(max(4 * storage.width(spark), -(-entries // BUCKET))))
+
+    def retrieve(table: pa.Table) -> pa.Table:
+        return _retrieve(table, shared)
+
+    def verify(table: pa.Table) -> pa.Table:
+        out = _verify(table, dim, link, shared)
+        give_back()
+        return out
+
+    postings = dealt.select(bucket(work).alias("bucket"), "list", "own", "first", "second", "rep", "tops")
+    met = storage.spill(postings.groupBy("bucket").applyInArrow(retrieve, postings.schema).drop("bucket"), "candidates")
+    asked = met.join(groups.select("rep", "copies", "embedding"), "rep").withColumn("bucket", bucket(20 * met.count()))
+    linked = storage.spill(asked.groupBy("bucket").applyInArrow(verify, "rep long, links long, root long"), "links")
+    storage.release(entries, sizes, met)
+    counts = linked.groupBy("rep").agg(F.sum("links").alias("links"))
     members = rows.join(groups.select("digest", "rep", "copies"), "digest", "left")
     # Rows that share an id but not a vector tie their classes.
     tied = members.where("rep is not null and vec_id <> rep").select(F.col("vec_id").alias("a"), F.col("rep").alias("b"))
-    label = connected(met.where("rep <> root").select(F.col("rep").alias("a"), F.col("root").alias("b")).unionByName(tied))
+    label = connected(linked.where("rep <> root").select(F.col("rep").alias("a"), F.col("root").alias("b")).unionByName(tied))
     out = members.join(counts, "rep", "left").join(label, members["vec_id"] == label["node"], "left")
     component = F.coalesce("component", "vec_id")
     n_links = F.when(F.col("copies").isNull(), F.lit(0)).otherwise(F.coalesce("links", F.lit(0)) + F.col("copies") - 1).cast("long")
@@ -221,19 +228,25 @@ def near_duplicates(vectors: DataFrame, link: float = LINK, pivot_count: int = P
 
 
 def recall_against_brute_force(vectors: DataFrame, every: int = 50, link: float = LINK) -> float:
-    """Share of the true links of the rows whose id ``every`` divides that n_links counts; the queries go to all rows in blocks."""
+    """Share of the true links of the rows whose id ``every`` divides that n_links counts; the queries go to all rows in blocks.
+
+    Rows without a valid vector are left out on both sides.
+    """
     found = near_duplicates(vectors, link).where(F.col("vec_id") % every == 0).agg(F.sum("n_links")).first()[0] or 0
-    queries = np.array([r.embedding for r in vectors.where(F.col("vec_id") % every == 0).select("embedding").collect() if r.embedding], dtype=float)
-    if not len(queries):
+    valid = lambda v: bool(v) and all(x is not None and np.isfinite(x) for x in v) and any(v)
+    queries = [r.embedding for r in vectors.where(F.col("vec_id") % every == 0).select("embedding").collect() if valid(r.embedding)]
+    if not queries:
         return 1.0
-    queries = units(list(queries), queries.shape[1])
+    dim = vectors.agg(F.max(F.size("embedding"))).first()[0]
+    queries = units(queries, dim)
 
     def count(batches):
         for batch in batches:
-            n = int((units(batch.column("embedding").to_pylist(), queries.shape[1]) @ queries.T >= link).sum()) if len(batch) else 0
+            rows = [v for v in batch.column("embedding").to_pylist() if valid(v)]
+            n = int((units(rows, dim) @ queries.T >= link).sum()) if rows else 0
             yield pa.RecordBatch.from_arrays([pa.array([n], pa.int64())], ["n"])
 
-    total = vectors.select("embedding").mapInArrow(count, "n long").agg(F.sum("n")).first()[0] - len(queries)
+    total = vectors.where("vec_id is not null").select("embedding").mapInArrow(count, "n long").agg(F.sum("n")).first()[0] - len(queries)
     return found / total if total else 1.0
 
 

@@ -264,6 +264,34 @@ def test_pivots(spark):
     assert pivots.near_duplicates(df.limit(0)).count() == 0
 
 
+def test_pivots_recall_at_the_production_parameters(spark):
+    rng = np.random.default_rng(3)
+    base = rng.normal(size=(600, 64)) + 2 * np.repeat(rng.normal(size=(6, 64)), 100, axis=0)
+    base /= np.linalg.norm(base, axis=1, keepdims=True)
+    side = rng.normal(size=base.shape)
+    side -= (side * base).sum(axis=1, keepdims=True) * base
+    side /= np.linalg.norm(side, axis=1, keepdims=True)
+    cosine = rng.uniform(0.95, 1.0, size=(600, 1))
+    every = np.concatenate([base, cosine * base + np.sqrt(1 - cosine**2) * side])
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(every)], "vec_id long, embedding array<double>")
+    assert pivots.recall_against_brute_force(df, every=1) >= 0.9
+    assert pivots.recall_against_brute_force(df.limit(0)) == 1.0
+
+
+@pytest.mark.parametrize("pair", [(0, 1), (2, 5)])
+def test_a_pair_is_looked_at_in_one_list(pair):
+    tops = np.array([[0, 1, 2, 5], [1, 0, 5, 7], [2, 5, 6, 7]])
+    seen = []
+    for one in range(8):
+        for two in range(one + 1, 8):
+            rows = np.flatnonzero((tops == one).any(axis=1) & (tops == two).any(axis=1))
+            local = np.arange(len(rows))
+            for a, b, hit in pivots.candidate_tiles(tops[rows], local, local, one, two, 0.1) if len(rows) > 1 else ():
+                seen += [(int(rows[a[i]]), int(rows[b[j]]), one, two) for i, j in zip(*np.nonzero(hit), strict=True)]
+    assert len({(x, y) for x, y, _, _ in seen}) == len(seen) and {(0, 1, 0, 1), (0, 2, 2, 5)} <= set(seen)
+    assert any((one, two) == pair for _, _, one, two in seen)
+
+
 # ---------------------------------------------------------------- 8 quality, 10 toxicity
 
 def test_rule_statistics(docs, empty):
