@@ -2,13 +2,15 @@
 
 1. ``trigram_query`` derives from a rule's regex, on the driver, which trigrams any match must hold: a union of
    conjunctions, over text in lower case.  A rule with an alternative that has none scans every text.
-2. ``build_index`` writes postings (trigram, doc_id) of the trigrams that some rule asks for, a sorted segment a task.
-3. ``candidates`` intersects the postings of each conjunction: one aggregate by doc_id gathers a document's trigrams as
-   bits, and a conjunction holds if all its bits are there.
+2. ``build_index`` writes postings (trigram, doc_id), a sorted segment a task: of all trigrams, for an index that serves any rules, or of
+   chosen ones, for a single scan.
+3. ``candidates`` intersects the postings of each conjunction: a document stands in all of its lists if it is met as often
+   as the conjunction has trigrams.  Any number of rules and trigrams will do.
 4. ``scan`` verifies candidates with the regex; the others are not touched by it.
 
 Postings are by doc_id, so rows that share an id, or have none, are candidates together; verification is by row, so every row gets
-its own spans.  Null texts are empty.  Extra columns stay where ``scan`` is asked to keep them.  An empty table gives an empty result.
+its own spans.  Null texts are empty.  Extra columns stay where ``scan`` is asked to keep them.  Long texts are indexed in stretches and
+verified whole; spans are gathered in runs, so their number costs no squares.  An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -114,37 +116,44 @@ def trigram_query(regex: str) -> list[frozenset[str]] | None:
 # ---------------------------------------------------------------- index
 
 def asked_trigrams(rules=RULES) -> list[str]:
-    grams = sorted({g for r in rules for conjunction in trigram_query(r.regex) or [] for g in conjunction})
-    if len(grams) > 62:
-        raise ValueError("more trigrams than bits; split the rules into several scans")
-    return grams
+    return sorted({g for r in rules for conjunction in trigram_query(r.regex) or [] for g in conjunction})
 
 
-def build_index(docs: DataFrame, grams: list[str]) -> DataFrame:
-    """Postings (trigram, doc_id); trigram is the place in ``grams``.  Each task writes a segment sorted by trigram."""
-    low = docs.select("doc_id", F.lower(F.col("text")).alias("low"))
-    held = F.array_compact(F.array(*[F.when(F.contains("low", F.lit(g)), F.lit(i)) for i, g in enumerate(grams)]))
-    return storage.spill(low.select("doc_id", F.explode(held).alias("trigram")).select("trigram", "doc_id").sortWithinPartitions("trigram", "doc_id"), "trigrams")
+#: Characters of a long text whose trigrams are listed at once.
+STRETCH = 1 << 16
 
 
-def candidates(index: DataFrame, grams: list[str], rules=RULES) -> DataFrame:
-    """doc_id and, as bits by rule, which conjunctions' postings all hold it."""
-    place = {g: i for i, g in enumerate(grams)}
-    bits = index.groupBy("doc_id").agg(F.expr("bit_or(shiftleft(1L, trigram))").alias("bits"))
-    mask = F.lit(0)
+def build_index(docs: DataFrame, grams: list[str] | None = None) -> DataFrame:
+    """Postings (trigram, doc_id), those of one text once each; of ``grams`` only, if given.  Each task writes a segment sorted by trigram."""
+    low = docs.select("doc_id", F.lower(F.col("text")).alias("low"))
+    if grams is None:
+        # Stretches overlap by two characters; a lookahead lists every trigram in one pass.
+        parts = low.select("doc_id", F.monotonically_increasing_id().alias("row"), F.explode(F.regexp_extract_all("low", F.lit(f"(?s)(?=(.{{1,{STRETCH + 2}}})).{{1,{STRETCH}}}"), F.lit(1))).alias("part"))
+        found = parts.select("doc_id", F.explode(F.array_distinct(F.regexp_extract_all("part", F.lit("(?s)(?=(...))"), F.lit(1)))).alias("trigram"))
+    else:
+        held = F.array_compact(F.array(*[F.when(F.contains("low", F.lit(g)), F.lit(g)) for g in grams]))
+        found = low.select("doc_id", F.explode(held).alias("trigram"))
+    return storage.spill(found.select("trigram", "doc_id").sortWithinPartitions("trigram", "doc_id"), "trigrams")
+
+
+def candidates(index: DataFrame, rules=RULES) -> DataFrame:
+    """(doc_id, rules): the rules of which some conjunction's postings all hold the document."""
+    wanted = []
     for r, rule in enumerate(rules):
-        query = trigram_query(rule.regex)
-        if query is not None:
-            wanted = [sum(1 << place[g] for g in conjunction) for conjunction in query]
-            holds = F.lit(False)
-            for w in wanted:
-                holds = holds | (F.col("bits").bitwiseAND(F.lit(w)) == F.lit(w))
-            mask = mask + F.when(holds, F.lit(1 << r)).otherwise(F.lit(0))
-    return bits.select("doc_id", mask.alias("rules")).where(F.col("rules") > 0)
+        for c, conjunction in enumerate(trigram_query(rule.regex) or []):
+            wanted += [(gram, r, c, len(conjunction)) for gram in sorted(conjunction)]
+    # One row for each trigram of each rule's query: its size depends on the rules alone.
+    lists = F.broadcast(index.sparkSession.createDataFrame(wanted, "trigram string, rule int, conjunction int, need int"))
+    met = index.join(lists, "trigram").groupBy("doc_id", "rule", "conjunction", "need").agg(F.size(F.collect_set("trigram")).alias("held"))
+    return met.where("held = need").groupBy("doc_id").agg(F.collect_set("rule").alias("rules"))
 
 
 # ---------------------------------------------------------------- verification
 
+#: Spans of one rule, and how many are gathered before they are set aside.
+SPANS, RUN = "array<struct<start:int,rule:int,end:int>>", 256
+
+
 def _java(regex: str) -> str:
     return regex.replace('\\"', '"')
 
@@ -159,28 +168,32 @@ def rule_spans(text: Column, r: int, rule: Rule) -> Column:
     gap, hit = (F.regexp_extract_all(text, F.lit(whole), F.lit(g)) for g in (1, 2))
     size = F.regexp_extract_all(text, F.lit(whole), F.lit(2 + rule.size_of)) if rule.size_of else hit
     found = F.arrays_zip(gap.alias("gap"), hit.alias("hit"), size.alias("size"))
-    kind = "struct<at:int,spans:array<struct<start:int,rule:int,end:int>>>"
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,rule:int,end:int>>").alias("spans")).cast(kind)
+    kind = f"struct<at:int,full:array<{SPANS}>,spans:{SPANS}>"
+    none = F.array().cast(SPANS)
+    start = F.struct(F.lit(0).alias("at"), F.array().cast(f"array<{SPANS}>").alias("full"), none.alias("spans")).cast(kind)
 
     def add(state, m):
         begin = state["at"] + F.length(m["gap"])
         end = begin + F.length(m["hit"])
         span = F.array(F.struct(begin.alias("start"), F.lit(r).alias("rule"), end.alias("end")))
-        return F.struct(end.alias("at"), F.when(F.length(m["size"]) >= rule.least, F.concat(state["spans"], span)).otherwise(state["spans"]).alias("spans")).cast(kind)
+        long = F.size(state["spans"]) >= RUN
+        full = F.when(long, F.concat(state["full"], F.array(state["spans"]))).otherwise(state["full"])
+        spans = F.when(long, none).otherwise(state["spans"])
+        return F.struct(end.alias("at"), full.alias("full"), F.when(F.length(m["size"]) >= rule.least, F.concat(spans, span)).otherwise(spans).alias("spans")).cast(kind)
 
-    return F.aggregate(found, start, add, lambda s: s["spans"])
+    return F.aggregate(found, start, add, lambda s: F.concat(F.flatten(s["full"]), s["spans"]))
 
 
 def scan(docs: DataFrame, rules=RULES) -> DataFrame:
     """All columns of ``docs`` and secret_spans: array<struct<start, rule, end>>, sorted."""
-    grams = asked_trigrams(rules)
-    hits = storage.small(candidates(build_index(docs, grams), grams, rules).withColumnRenamed("doc_id", "_secret_of").withColumnRenamed("rules", "_secret_rules"))
+    index = build_index(docs, asked_trigrams(rules))
+    hits = storage.small(storage.spill(candidates(index, rules), "hits").withColumnRenamed("doc_id", "_secret_of").withColumnRenamed("rules", "_secret_rules"))
     marked = docs.join(hits, docs["doc_id"].eqNullSafe(hits["_secret_of"]), "left").drop("_secret_of")
-    text, none = F.coalesce(F.col("text"), F.lit("")), F.array().cast("array<struct<start:int,rule:int,end:int>>")
+    text, none = F.coalesce(F.col("text"), F.lit("")), F.array().cast(SPANS)
     every = []
     for r, rule in enumerate(rules):
         spans = rule_spans(text, r, rule)
-        every.append(spans if trigram_query(rule.regex) is None else F.when(F.coalesce(F.col("_secret_rules"), F.lit(0)).bitwiseAND(F.lit(1 << r)) > 0, spans).otherwise(none))
+        every.append(spans if trigram_query(rule.regex) is None else F.when(F.array_contains("_secret_rules", r), spans).otherwise(none))
     return marked.withColumn("secret_spans", F.array_sort(F.concat(*every))).drop("_secret_rules")
 
 

@@ -72,6 +72,25 @@ def test_trigram_queries():
     assert frozenset({"tok", "oke", "ken"}) in secrets.trigram_query(secrets.RULES[0].regex)
 
 
+def test_index_of_all_trigrams_finds_the_same_candidates(docs, monkeypatch):
+    rules = [*secrets.RULES, *(secrets.Rule(f"more{i}", f"word{i:03d}x?y") for i in range(80)), secrets.Rule("alpha", "alpha1[0-9] beta")]
+    assert len(secrets.asked_trigrams(rules)) > 62
+    chosen = {r.doc_id: sorted(r.rules) for r in secrets.candidates(secrets.build_index(docs, secrets.asked_trigrams(rules)), rules).collect()}
+    monkeypatch.setattr(secrets, "STRETCH", 50)
+    index = secrets.build_index(docs)
+    assert {r.doc_id: sorted(r.rules) for r in secrets.candidates(index, rules).collect()} == chosen and chosen
+    held = {(r.doc_id, r.trigram) for r in index.collect()}
+    for r in docs.select("doc_id", "text").collect():
+        low = (r.text or "").lower()
+        assert {(r.doc_id, low[i : i + 3]) for i in range(len(low) - 2)} <= held
+
+
+def test_many_matches_in_one_text(spark):
+    text = " ".join(f"{i:016x}" for i in range(3000))
+    df = spark.createDataFrame([(1, text)], "doc_id long, text string")
+    assert [(s.start, s.end) for s in secrets.scan(df).first().secret_spans] == [(17 * i, 17 * i + 16) for i in range(3000)]
+
+
 def test_no_python_in_the_scan(docs):
     plan = secrets.scan(docs)._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Pandas|Arrow", plan.replace("PythonRDD", ""))
