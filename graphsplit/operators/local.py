@@ -6,6 +6,8 @@ capacity is granted in order of gain, and neighbours do not move together where
 
 from __future__ import annotations
 
+import time
+from contextlib import contextmanager
 from dataclasses import dataclass, field
 from heapq import heapify, heappop, heappush, heapreplace
 
@@ -36,8 +38,22 @@ class Options:
     slack: str = "adaptive"  # adaptive, fixed
     min_shrink: float = 0.05
     lanes: int = 1
+    cores: int = 1  # counts in the attribution of phases only
     seed: int = 0
     log: list = field(default_factory=list)
+    phases: dict = field(default_factory=dict)
+
+    def spec(self) -> dict:
+        """What varies, without what a run writes."""
+        return {f: getattr(self, f) for f in self.__dataclass_fields__ if f not in ("log", "phases")}
+
+    @contextmanager
+    def timed(self, phase: str, n: int | None = None):
+        """Add seconds to a phase; splits and refinement of graphs of at most 2 * cores * C nodes count as the bottom."""
+        start = time.perf_counter()
+        yield
+        name = "bottom" if n is not None and n <= 2 * self.cores * self.c else phase
+        self.phases[name] = self.phases.get(name, 0.0) + time.perf_counter() - start
 
 
 class Csr:
@@ -540,13 +556,15 @@ def descend(g: Csr, k: int, o: Options, least: int, how: str = "lp", seed: int =
 
 
 def _level(g: Csr, part: np.ndarray, blocks: Blocks, wanted: int, k: int, o: Options, total: int, seed: int, do_refine: bool = True) -> tuple[np.ndarray, Blocks]:
-    while len(blocks.f) < wanted and (blocks.f > 1).any():
-        part, blocks = bisect_blocks(g, part, blocks, k, o, total, seed + len(blocks.f))
-    caps = blocks.caps(g, k, o.eps)
-    if (g.block_weights(part, len(caps)) > caps).any():
-        part = balance(g, part, caps, blocks.f / k, o, seed)
-    if do_refine:
-        part = refine(g, part, caps, o, seed)
+    with o.timed("initial", g.n):
+        while len(blocks.f) < wanted and (blocks.f > 1).any():
+            part, blocks = bisect_blocks(g, part, blocks, k, o, total, seed + len(blocks.f))
+    with o.timed("refinement", g.n):
+        caps = blocks.caps(g, k, o.eps)
+        if (g.block_weights(part, len(caps)) > caps).any():
+            part = balance(g, part, caps, blocks.f / k, o, seed)
+        if do_refine:
+            part = refine(g, part, caps, o, seed)
     return part, blocks
 
 
@@ -558,7 +576,8 @@ def partition(g: Csr, k: int, o: Options) -> np.ndarray:
         return np.zeros(g.n, dtype=np.int64)
     if k == g.n:
         return np.arange(g.n)
-    levels, now = descend(g, k, o, 2 * o.c, seed=o.seed)
+    with o.timed("coarsening"):
+        levels, now = descend(g, k, o, 2 * o.c, seed=o.seed)
     part, blocks = _bottom(now, k, o, g.total)
     for depth, (fine, parent) in reversed(list(enumerate(levels))):
         part = part[parent]
@@ -579,7 +598,7 @@ def _bottom(g: Csr, k: int, o: Options, total: int) -> tuple[np.ndarray, Blocks]
         return _level(g, *start, rules.level_blocks(g.n, o.c, k), k, o, total, o.seed)
     found = []
     for lane in range(2):
-        own = Options(**{**o.__dict__, "lanes": o.lanes // 2, "seed": 2 * o.seed + 1 + lane, "log": []})
+        own = Options(**{**o.spec(), "lanes": o.lanes // 2, "seed": 2 * o.seed + 1 + lane})
         coarse, parent = coarsen(g, max(rules.cluster_cap(o.eps, total, k, o.c, g.n, g.n), 1), own, own.seed)
         part, blocks = _bottom(coarse, k, own, total) if coarse.n >= 2 else _level(g, *start, 2, k, own, total, own.seed)
         part = part[parent] if coarse.n >= 2 else part

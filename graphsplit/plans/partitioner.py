@@ -6,6 +6,9 @@ side), larger ones in supersteps until a level is small enough for a task.  Leve
 
 from __future__ import annotations
 
+import signal
+import time
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -43,24 +46,66 @@ def to_csr(table: pa.Table) -> tuple[np.ndarray, local.Csr]:
     return ids, local.Csr(w[nodes][order], np.searchsorted(ids, a[e]), np.searchsorted(ids, b[e]), w[e])
 
 
-def partition_many(g: SplitGraph, instances: list[dict]) -> DataFrame:
-    """(inst, id, block, cut): one row for each node and instance; an instance is a dict with scheme, k, and any of Options' fields.
+class TimeUp(Exception):
+    """A run's time limit is over."""
+
+
+def run_many(g: SplitGraph, instances: list[dict], limit: float | None = None, task_edges: int = TASK_EDGES) -> DataFrame:
+    """(inst, id, block, secs, status, phase): one row for each node and instance, and one of null id with the run's seconds, status and phases.
 
-    Each instance is a group of its own, so instances run on as many cores as there are.
+    An instance is a dict with scheme, k, and any of Options' fields; each is a group of its own, so instances run on as many cores
+    as there are.  A run that fails or that takes more than ``limit`` seconds has no rows of nodes.  Graphs that no task can take raise ``ValueError``.
     """
-    spark = g.nodes.sparkSession
-    table = spark.createDataFrame([(i,) for i in range(len(instances))], "inst int")
+    if 2 * g.facts.m + g.facts.n > task_edges:
+        raise ValueError(f"{2 * g.facts.m} directed edges are more than a task takes; use partition or partition_wide")
+    table = g.nodes.sparkSession.createDataFrame([(i,) for i in range(len(instances))], "inst int")
     rows = rows_of(g).crossJoin(F.broadcast(table))
 
+    def stop(*_) -> None:
+        raise TimeUp
+
     def run(group: pa.Table) -> pa.Table:
         inst = int(group.column("inst")[0].as_py())
         spec = dict(instances[inst])
         scheme, k = spec.pop("scheme", "one_cycle"), spec.pop("k")
         ids, csr = to_csr(group)
-        part = local.SCHEMES[scheme](csr, min(k, max(csr.n, 1)), Options(**spec))
-        return pa.table({"inst": pa.array(np.full(len(ids), inst, dtype=np.int32)), "id": pa.array(ids), "block": pa.array(part.astype(np.int32))})
-
-    return rows.groupBy("inst").applyInArrow(run, "inst int, id long, block int")
+        options, status, part = Options(**spec), "ok", None
+        start = time.perf_counter()
+        if limit:
+            signal.signal(signal.SIGALRM, stop)
+            signal.setitimer(signal.ITIMER_REAL, limit)
+        try:
+            part = local.SCHEMES[scheme](csr, min(k, max(csr.n, 1)), options)
+        except TimeUp:
+            status = "timeout"
+        except Exception:
+            if limit is None:
+                raise
+            status = "crash"
+        finally:
+            if limit:
+                signal.setitimer(signal.ITIMER_REAL, 0)
+        secs, n = time.perf_counter() - start, len(ids) if part is not None else 0
+        phase = [("total", secs), *options.phases.items()]
+        return pa.table({
+            "inst": pa.array([inst] * (n + 1), pa.int32()), "id": pa.array([None, *ids[:n].tolist()], pa.int64()), "block": pa.array([None, *(part.tolist() if n else [])], pa.int32()),
+            "secs": pa.array([secs] + [None] * n, pa.float64()), "status": pa.array([status] + [None] * n), "phase": pa.array([phase] + [None] * n, pa.map_(pa.string(), pa.float64())),
+        })
+
+    return rows.groupBy("inst").applyInArrow(run, "inst int, id long, block int, secs double, status string, phase map<string,double>")
+
+
+def partition_many(g: SplitGraph, instances: list[dict], task_edges: int = TASK_EDGES) -> DataFrame:
+    """(inst, id, block): one row for each node and instance of ``run_many``; graphs that no task can take go through ``partition_wide``, one instance after the other."""
+    if 2 * g.facts.m + g.facts.n <= task_edges:
+        return run_many(g, instances, None, task_edges).where("id is not null").select("inst", "id", "block")
+    out = None
+    for i, spec in enumerate(instances):
+        spec = dict(spec)
+        part = partition_wide(g, spec.pop("k"), spec.pop("scheme", "one_cycle"), Options(**spec), task_edges)
+        one = part.select(F.lit(i).alias("inst"), "id", "block")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 # ---------------------------------------------------------------- supersteps
@@ -199,21 +244,25 @@ def partition(g: SplitGraph, k: int, o: Options | None = None, mode: str | None
     if k == 1 or facts.n == 0:
         return g.nodes.select("id", F.lit(0).alias("block"))
     mode = mode or mode_for(2 * facts.m, task_edges)
-    spec = {f: getattr(o, f) for f in o.__dataclass_fields__ if f != "log"}
     if mode == "task":
-        return partition_many(g, [{"scheme": "one_cycle", "k": k, **spec}]).select("id", "block")
-    levels, bottom = descend(g, k, o, task_edges, store)
+        return run_many(g, [{"scheme": "one_cycle", "k": k, **o.spec()}], None, max(task_edges, TASK_EDGES)).where("id is not null").select("id", "block")
+    with o.timed("coarsening"):
+        levels, bottom = descend(g, k, o, task_edges, store)
     wanted = rules.level_blocks(bottom.facts.n, o.c, k, finest=not levels)
     # A bottom graph that fits a task gets its blocks from the same scheme there, with each block's final count.
-    part, blocks = _bottom(bottom, k, o, facts.weight, wanted, task_edges)
-    part = _settle(bottom, part, blocks, k, o, facts.weight)
+    with o.timed("initial", bottom.facts.n):
+        part, blocks = _bottom(bottom, k, o, facts.weight, wanted, task_edges)
+    with o.timed("refinement", bottom.facts.n):
+        part = _settle(bottom, part, blocks, k, o, facts.weight)
     for depth, (fine, parent) in reversed(list(enumerate(levels))):
         part = spill(supersteps.project(parent, part), "part")
         wanted = rules.level_blocks(fine.facts.n, o.c, k)
-        while len(blocks) < wanted and any(f > 1 for f in blocks.values()):
-            part, blocks = bisect_blocks(fine, part, blocks, k, o, facts.weight, task_edges=task_edges)
+        with o.timed("initial", fine.facts.n):
+            while len(blocks) < wanted and any(f > 1 for f in blocks.values()):
+                part, blocks = bisect_blocks(fine, part, blocks, k, o, facts.weight, task_edges=task_edges)
         if depth > 0 or o.final_order == "twice" or len(blocks) == k:
-            part = _settle(fine, part, blocks, k, o, facts.weight)
+            with o.timed("refinement", fine.facts.n):
+                part = _settle(fine, part, blocks, k, o, facts.weight)
     if len(blocks) < k:
         part, blocks = bisect_blocks(g, part, blocks, k, o, facts.weight, stop=1, task_edges=task_edges)
         part = _settle(g, part, blocks, k, o, facts.weight)
@@ -228,18 +277,104 @@ def _bottom(g: SplitGraph, k: int, o: Options, total: int, wanted: int, task_edg
         return part, blocks
 
     def run(group: pa.Table) -> pa.Table:
+        lane = int(group.column("lane")[0].as_py())
         ids, csr = to_csr(group)
-        part, blocks = local._bottom(csr, k, Options(**spec), total) if csr.n > 1 else (np.zeros(csr.n, dtype=np.int64), local.Blocks(np.array([k])))
+        own = Options(**{**spec, "lanes": 1, "seed": spec["seed"] if lanes == 1 else lanes * spec["seed"] + 1 + lane})
+        part, blocks = _copy(csr, k, own, total, lanes) if csr.n > 1 else (np.zeros(csr.n, dtype=np.int64), local.Blocks(np.array([k])))
         while len(blocks.f) < wanted and (blocks.f > 1).any():
-            part, blocks = local.bisect_blocks(csr, part, blocks, k, Options(**spec), total, spec["seed"] + len(blocks.f))
-        return pa.table({"id": pa.array(ids), "block": pa.array(part.astype(np.int32)), "f": pa.array(blocks.f[part].astype(np.int32))})
-
-    spec = {f: getattr(o, f) for f in o.__dataclass_fields__ if f != "log"}
-    found = spill(rows_of(g).withColumn("one", F.lit(1)).groupBy("one").applyInArrow(run, "id long, block int, f int"), "bottom")
+            part, blocks = local.bisect_blocks(csr, part, blocks, k, own, total, own.seed + len(blocks.f))
+        over = int((csr.block_weights(part, len(blocks.f)) > blocks.caps(csr, k, own.eps)).sum())
+        same = lambda x: pa.array([x] * len(ids), pa.int64())
+        return pa.table({"lane": same(lane), "id": pa.array(ids), "block": pa.array(part.astype(np.int32)), "f": pa.array(blocks.f[part].astype(np.int32)), "over": same(over), "cut": same(csr.cut(part))})
+
+    spec, lanes = o.spec(), max(1, o.lanes)
+    # Each lane is a copy of the smallest graph in a task of its own; the best copy goes on.
+    copies = rows_of(g).crossJoin(F.broadcast(g.nodes.sparkSession.range(lanes).withColumnRenamed("id", "lane")))
+    found = spill(copies.groupBy("lane").applyInArrow(run, "lane long, id long, block int, f int, over long, cut long"), "bottom")
+    best = found.select("over", "cut", "lane").distinct().orderBy("over", "cut", "lane").first()
+    found = found.where(F.col("lane") == best.lane)
     blocks = {r.block: r.f for r in found.select("block", "f").distinct().collect()}
     return found.select("id", "block"), blocks
 
 
+def _copy(g: local.Csr, k: int, o: Options, total: int, lanes: int) -> tuple[np.ndarray, local.Blocks]:
+    """One lane: coarsen on from the common graph with the lane's own seed, once for each doubling of lanes, split, and come back."""
+    levels = []
+    now = g
+    for depth in range((lanes - 1).bit_length()):
+        coarse, parent = local.coarsen(now, max(rules.cluster_cap(o.eps, total, k, o.c, g.n, now.n), 1), o, o.seed + depth)
+        if coarse.n < 2:
+            break
+        levels.append((now, parent))
+        now = coarse
+    part, blocks = local._bottom(now, k, o, total)
+    for fine, parent in reversed(levels):
+        part, blocks = local._level(fine, part[parent], blocks, rules.level_blocks(fine.n, o.c, k), k, o, total, o.seed)
+    return part, blocks
+
+
+# ---------------------------------------------------------------- rivals over frames
+
+def descend_direct(g: SplitGraph, k: int, o: Options, how: str, least: int) -> tuple[list[tuple[SplitGraph, DataFrame]], SplitGraph]:
+    """Levels down to ``least`` nodes, by label propagation or by heavy-edge matching with two-hop pairs."""
+    levels, now, n0 = [], g, g.facts.n
+    while now.facts.n > least:
+        cap = max(rules.cluster_cap(o.eps, g.facts.weight, k, o.c, n0, now.facts.n), 1)
+        if how == "match":
+            cap = max(cap, 2.0 * now.facts.heaviest)
+            labels = supersteps.match_two_hop(now, supersteps.match_heavy_edge(now, cap, 2, o.seed + len(levels)), cap, o.seed)
+            coarse, parent = supersteps.contract(now, spill(labels, "clusters"))
+        else:
+            coarse, parent = coarsen(now, cap, o, o.seed + len(levels))
+        if coarse.facts.n > (1 - o.min_shrink) * now.facts.n:
+            break
+        levels.append((now, parent))
+        now = coarse
+    return levels, now
+
+
+def recursive_wide(g: SplitGraph, k: int, o: Options, task_edges: int = TASK_EDGES) -> DataFrame:
+    """Every block split in two, again and again; blocks that a task can take are split there, the others as frames."""
+    part, blocks = spill(g.nodes.select("id", F.lit(0).alias("block")), "part"), {0: k}
+    while any(f > 1 for f in blocks.values()):
+        part, blocks = bisect_blocks(g, part, blocks, k, o, g.facts.weight, task_edges=task_edges)
+    return part
+
+
+def direct_wide(g: SplitGraph, k: int, o: Options, how: str, search: int = 0, rebalance: bool = False, task_edges: int = TASK_EDGES) -> DataFrame:
+    """Coarsen to k * C nodes, start there by recursive bisection, refine upwards; ``search`` more rounds of moves of best gain a level."""
+    levels, now = descend_direct(g, k, o, how, min(max(k * o.c, 2 * k), max(g.facts.n - 1, 1)))
+    part, one = recursive_wide(now, k, o, task_edges), {b: 1 for b in range(k)}
+    for fine, parent in reversed(levels):
+        part = spill(supersteps.project(parent, part), "part")
+        heavy = fine.facts.heaviest if rebalance else 0
+        caps = caps_of(g.nodes.sparkSession, one, g.facts.weight, k, o.eps, heavy)
+        part = supersteps.refine(fine, part, caps, o.rounds + search, max(2, o.classes // 2), seed=o.seed)
+        if rebalance:
+            part = supersteps.balance(fine, part, caps, seed=o.seed)
+    return part
+
+
+def single_wide(g: SplitGraph, k: int, o: Options) -> DataFrame:
+    """Blocks on the input graph only: dealt by running weight in hashed order, then repair and propagation in turn."""
+    total = max(g.facts.weight, 1)
+    start = supersteps.running_weight(g.nodes, seed=o.seed).select("id", F.least(F.lit(k - 1), F.floor((F.col("upto") - F.col("w")) * k / F.lit(total))).cast("int").alias("block"))
+    caps = caps_of(g.nodes.sparkSession, {b: 1 for b in range(k)}, g.facts.weight, k, o.eps, g.facts.heaviest)
+    return supersteps.refine(g, supersteps.balance(g, start, caps, seed=o.seed), caps, o.rounds, max(2, o.classes // 2), seed=o.seed)
+
+
+def partition_wide(g: SplitGraph, k: int, scheme: str, o: Options, task_edges: int = TASK_EDGES) -> DataFrame:
+    """(id, block) by any scheme as frames: no step gathers more than ``task_edges`` rows in a task."""
+    if scheme == "one_cycle":
+        return partition(g, k, o, "distributed", task_edges)
+    if scheme in ("recursive_fixed", "recursive_adaptive"):
+        return recursive_wide(g, k, Options(**{**o.spec(), "slack": scheme.removeprefix("recursive_")}), task_edges)
+    if scheme == "single_level_lp":
+        return single_wide(g, k, o)
+    how = "match" if scheme in ("direct_kway", "local_matching") else "lp"
+    return direct_wide(g, k, o, how, o.rounds if scheme == "kway_fm" else 0, scheme.startswith("local_"), task_edges)
+
+
 def bisect_distributed(g: SplitGraph, f0: int, f1: int, eps: float, seed: int = 0) -> DataFrame:
     """(id, block) with two sides near f0 : f1 of a graph that no task can take: a start by running weight, repair, refinement."""
     share = f0 / (f0 + f1)
