@@ -40,3 +40,19 @@ def test_stages(spark):
     assert (clean.text.str.len() == clean.n_chars).all() and len(clean) == len(kept)
     packed = seen["best_fit_packing"]
     assert set(packed.doc_id) == set(kept.doc_id) and packed.groupby("sequence_id").length.sum().max() <= 2048
+
+
+def test_nulls_repeats_clashing_columns_and_an_empty_table(spark):
+    long = " ".join(f"word{i}" for i in range(60))
+    rows = [(1, None, None, None, None), (2, "", "en", "a", 0), (3, long, "en", "a", 9), (3, long, "en", "a", 9), (4, long, None, None, None), (None, "a text without an id", "en", "b", 20), (5, "password = hunter2hunter2hunter2", "en", "b", 1)]
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    docs = spark.createDataFrame([(*r, "x", 1.0) for r in rows], schema + ", mark string, toxic_score double")
+    for name, stage in corpus_pipeline.STAGES:
+        docs = storage.spill(stage(spark, docs, DIR), name)
+        if name != corpus_pipeline.STAGES[-1][0]:
+            assert docs.columns == list(corpus_pipeline.COLUMNS)
+    found = {r.doc_id for r in docs.collect()}
+    assert found == {1, 2, 3, 5, None}
+    empty = spark.createDataFrame([], schema)
+    for _, stage in corpus_pipeline.STAGES:
+        assert stage(spark, empty, DIR).count() == 0
