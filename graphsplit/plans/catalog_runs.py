@@ -78,7 +78,6 @@ def imbalance_of_failing(spark: SparkSession, d: str) -> DataFrame:
 
 
 register("w2b_imbalance", imbalance_of_failing)
-register("w3_scaling", lambda s, d: stats.speedup_by_phase(workloads.run_scaling(s, d, ps=(1, 4))))
 register("w4_predicted", lambda s, d: workloads.run_theory(s, d, ("doc_lines", "user_next"), options=FAST))
 register("w5_ablation", workloads.run_ablation)
 
