@@ -8,7 +8,8 @@ whose deciding words fit in a window is an anchor of all windows around them.
 
 1. Anchors are counted over the corpus; those that occur once rule out every window that holds them.  Windows
    without any anchor are counted directly.
-2. What is left is verified: a window counts as repeated if the 128-bit code of its words occurs anywhere else.
+2. What is left is verified: a window counts as repeated if the code of its words occurs anywhere else: the bucket bits of one
+   64-bit hash and all of another.
 
 Null texts have no words; texts shorter than a window lose nothing; whole copies are counted once.  Repeated rows are copies.
 Null ids are kept.  Extra columns stay in ``remove_repeats``.  An empty table gives an empty result.
