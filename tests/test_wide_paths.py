@@ -109,3 +109,15 @@ def test_coordinate_header_in_a_small_file(spark, tmp_path):
     (tmp_path / "c.txt").unlink()
     with pytest.raises(ValueError):
         files.read_coordinate(spark, str(tmp_path))
+
+
+def test_batches_have_a_time_limit_and_a_size_limit(spark):
+    g = from_edges(synth.planted(spark))
+    with pytest.raises(ValueError):
+        partitioner.run_many(g, [{"k": 2}], task_edges=100)
+    runs = partitioner.run_many(g, [{"k": 8, "c": 50, "tries": 1, "repeats": 1}, {"k": 64, "c": 10, "tries": 40, "repeats": 40}, {"k": 8, "c": 50, "tries": 1, "repeats": 1, "cores": 4}], limit=6.0)
+    found = {r.inst: (r.status, r.n) for r in runs.groupBy("inst").agg(F.max("status").alias("status"), F.count("id").alias("n")).collect()}
+    assert found == {0: ("ok", 400), 1: ("timeout", 0), 2: ("ok", 400)}
+    # With four cores no graph here has more than 2 * 4 * 50 nodes, so all splits and refinement count as the bottom.
+    phases = {r.inst: set(r.phase) for r in runs.where("id is null and inst <> 1").collect()}
+    assert "initial" in phases[0] and phases[2] == {"total", "coarsening", "bottom"}
