@@ -14,13 +14,15 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import PRIME, mix
 from ..model import SplitGraph
-from ..storage import release, small, spill
+from ..storage import release, small, spill, width
 
 BINS = 64
 #: Slices of ids that running sums go through, and bins of a hash that a quota is cut from.
 SLICES = 1024
 #: Nodes of one favourite that one window pairs up.
 PAIRED_AT_ONCE = 4096
+#: The favourite of nodes without edges; no id is that small.
+NO_NEIGHBOUR = -(1 << 63)
 
 
 def running_weight(rows: DataFrame, by: tuple[str, ...] = (), seed: int = 0, slices: int = SLICES) -> DataFrame:
@@ -35,6 +37,18 @@ def running_weight(rows: DataFrame, by: tuple[str, ...] = (), seed: int = 0, sli
     return cut.join(small(bases), [*by, "_s"]).withColumn("upto", F.col("_base") + F.sum("w").over(inside)).drop("_s", "_base")
 
 
+def in_order(rows: DataFrame, order: list[Column], w: str = "w") -> DataFrame:
+    """``rows`` with before: the weight of all rows that come earlier in ``order``, which must tell rows apart.
+
+    Rows are dealt to ranges of the whole order, so equal values of its first columns are no hot key; a window holds one range.
+    """
+    cut = spill(rows.repartitionByRange(width(rows.sparkSession), *order).withColumn("_p", F.spark_partition_id()), "ranges")
+    sums = cut.groupBy("_p").agg(F.sum(w).alias("_s"))
+    bases = sums.select("_p", (F.sum("_s").over(W.orderBy("_p")) - F.col("_s")).alias("_base"))
+    inside = W.partitionBy("_p").orderBy(*order).rowsBetween(W.unboundedPreceding, 0)
+    return cut.join(small(bases), "_p").withColumn("before", F.col("_base") + F.sum(w).over(inside) - F.col(w)).drop("_p", "_base")
+
+
 def at_positions(rows: DataFrame, spans: DataFrame, length: float) -> DataFrame:
     """``rows`` (at, ...) joined with the span (from, to, ...) that holds their position; an equi-join on cells of the line of ``length``."""
     cell = max(length / SLICES, 1e-9)
@@ -177,15 +191,22 @@ def lp_cluster(g: SplitGraph, cap: float, rounds: int = 5, count: int = 4, order
     return labels.drop("cls")
 
 
-def two_hop(clustering: DataFrame, n: int, cap: float, degrees: DataFrame | None = None, mode: str = "pairs", seed: int = 0) -> DataFrame:
-    """(id, w, label): clusters of one node with one favourite merged until half the nodes are left."""
+def two_hop(clustering: DataFrame, n: int, cap: float, edges: DataFrame | None = None, mode: str = "pairs", seed: int = 0) -> DataFrame:
+    """(id, w, label): clusters of one node with one favourite merged until half the nodes are left.
+
+    With ``edges``, nodes that have none share a favourite of their own, so that they shrink too.
+    """
     sizes = clustering.groupBy("label").agg(F.count(F.lit(1)).alias("size"))
     quota = sizes.count() - n // 2
     plain = clustering.select("id", "w", "label")
     if quota <= 0:
         return plain
     lookup = clustering.select(F.col("id").alias("fav"), F.col("label").alias("fav_now"))
-    lone = clustering.join(sizes.where("size = 1"), "label").where("fav is not null").join(lookup, "fav", "left").select("id", "w", "label", F.coalesce("fav_now", "fav").alias("fav"))
+    single = clustering.join(sizes.where("size = 1"), "label")
+    lone = single.where("fav is not null").join(lookup, "fav", "left").select("id", "w", "label", F.coalesce("fav_now", "fav").alias("fav"))
+    if edges is not None:
+        apart = single.where("fav is null").join(edges.select(F.col("src").alias("id")), "id", "left_anti")
+        lone = lone.unionByName(apart.select("id", "w", "label", F.lit(NO_NEIGHBOUR).alias("fav")))
     # A hub may be the favourite of a third of all nodes: its nodes are paired in parts.
     lone = spill(lone, "lone")
     parts = lone.groupBy("fav").agg((F.count(F.lit(1)) / F.lit(PAIRED_AT_ONCE)).cast("long").alias("parts")).where("parts > 0")
@@ -209,7 +230,7 @@ def two_hop(clustering: DataFrame, n: int, cap: float, degrees: DataFrame | None
 def contract(g: SplitGraph, labels: DataFrame) -> tuple[SplitGraph, DataFrame]:
     """The graph of clusters, each named by its least member, and parent (id, coarse)."""
     names = labels.groupBy("label").agg(F.min("id").alias("coarse"), F.sum("w").alias("cw"))
-    parent = spill(labels.join(names, "label").select("id", "coarse"), "parent")
+    parent = spill(labels.join(names, "label").select("id", "coarse"), "parent", moved=F.count_if(F.col("id") != F.col("coarse")), rows=F.count(F.lit(1)))
     nodes = spill(names.select(F.col("coarse").alias("id"), F.col("cw").alias("w")), "nodes")
     a, b = parent.select(F.col("id").alias("src"), F.col("coarse").alias("a")), parent.select(F.col("id").alias("dst"), F.col("coarse").alias("b"))
     edges = g.edges.join(a, "src").join(b, "dst").where("a <> b").groupBy(F.col("a").alias("src"), F.col("b").alias("dst")).agg(F.sum("w").alias("w"))
@@ -305,11 +326,11 @@ def candidates(g: SplitGraph, part: DataFrame, state: DataFrame, tried: DataFram
 
 
 def prefix(rows: DataFrame, seed: int) -> DataFrame:
-    """Best rows of each overloaded block whose weight just covers its overload; a partial prefix in each of 16 salts comes first."""
-    salted = rows.withColumn("salt", (mix("id", seed + 5) % 16).cast("int"))
-    order = [F.desc("key"), mix("id", seed), F.col("id")]
-    first = salted.withColumn("before", F.sum("w").over(W.partitionBy("block", "salt").orderBy(*order).rowsBetween(W.unboundedPreceding, 0)) - F.col("w")).where("before < over").drop("before", "salt")
-    return first.withColumn("before", F.sum("w").over(W.partitionBy("block").orderBy(*order).rowsBetween(W.unboundedPreceding, 0)) - F.col("w")).where("before < over").drop("before")
+    """Best rows of each overloaded block whose weight just covers its overload."""
+    ordered = in_order(rows, [F.col("block"), F.desc("key"), mix("id", seed), F.col("id")])
+    sums = rows.groupBy("block").agg(F.sum("w").alias("_s"))
+    start = sums.select("block", (F.sum("_s").over(W.orderBy("block")) - F.col("_s")).alias("_start"))
+    return ordered.join(small(start), "block").where(F.col("before") - F.col("_start") < F.col("over")).drop("before", "_start")
 
 
 def balance(g: SplitGraph, part: DataFrame, caps: DataFrame, rounds: int = 8, seed: int = 0) -> DataFrame:
@@ -347,12 +368,11 @@ def fill(g: SplitGraph, part: DataFrame, caps: DataFrame) -> DataFrame:
 
 
 def rearranged(g: SplitGraph) -> tuple[SplitGraph, DataFrame]:
-    """The graph with ids 0 .. n - 1 in order of degree bucket, and (id, bucket, new); numbers come from sums of the buckets' sizes."""
+    """The graph with ids 0 .. n - 1 in order of degree bucket, and (id, bucket, new)."""
     degree = g.nodes.join(g.edges.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("d")), "id", "left")
     rows = degree.select("id", "w", F.when(F.col("d") > 0, F.length(F.bin("d")) - 1).otherwise(F.lit(-1)).alias("bucket"))
-    sizes = rows.groupBy("bucket").agg(F.count(F.lit(1)).alias("c")).withColumn("base", F.sum("c").over(W.orderBy("bucket")) - F.col("c")).select("bucket", "base")
-    named = rows.join(F.broadcast(sizes), "bucket").withColumn("new", F.col("base") + F.row_number().over(W.partitionBy("bucket").orderBy("id")) - 1)
-    names = spill(named.select("id", "w", "bucket", "new"), "names")
+    named = in_order(rows.withColumn("one", F.lit(1).cast("long")), [F.col("bucket"), F.col("id")], "one")
+    names = spill(named.select("id", "w", "bucket", F.col("before").alias("new")), "names")
     a, b = names.select(F.col("id").alias("src"), F.col("new").alias("a")), names.select(F.col("id").alias("dst"), F.col("new").alias("b"))
     edges = g.edges.join(a, "src").join(b, "dst").select(F.col("a").alias("src"), F.col("b").alias("dst"), "w")
     return SplitGraph(names.select(F.col("new").alias("id"), "w"), edges), names.drop("w")

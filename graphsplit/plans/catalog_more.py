@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from .. import sqlapi
 from ..model import SplitGraph, from_edges
+from ..operators import supersteps
 from ..sources import files, synth, tables
 from ..storage import shared_folder, spill, table
 from ..streaming import interactions
@@ -160,8 +161,8 @@ register("stream_dedup", stream_dedup, "SELECT user_id, count(DISTINCT event_typ
 register("stream_interval_join", stream_interval_join, "SELECT v.event_id AS view_id, b.event_id AS buy_id FROM events v JOIN events b ON v.user_id = b.user_id AND v.event_type = 'view' AND b.event_type = 'purchase' AND b.ts >= v.ts AND b.ts <= v.ts + INTERVAL 30 MINUTE")
 
 
-def stream_late(spark: SparkSession, d: str) -> DataFrame:
-    """(start, event_type, w): views come in the last file, behind the watermark, and are dropped.
+def _late_stream(spark: SparkSession, d: str) -> DataFrame:
+    """Events of which views come in the last file, behind the watermark.
 
     Lateness is judged by the watermark of the batch before, so a batch with one row stands between.
     """
@@ -171,7 +172,12 @@ def stream_late(spark: SparkSession, d: str) -> DataFrame:
     e.where("event_type <> 'view'").unionByName(end).coalesce(1).write.parquet(path)
     end.write.mode("append").parquet(path)
     e.where("event_type = 'view'").coalesce(1).write.mode("append").parquet(path)
-    out = interactions.run_to_table(interactions.tumbling(interactions.event_stream(spark, path, e.schema, 1)))
+    return interactions.event_stream(spark, path, e.schema, 1)
+
+
+def stream_late(spark: SparkSession, d: str) -> DataFrame:
+    """(start, event_type, w): late views are dropped."""
+    out = interactions.run_to_table(interactions.tumbling(_late_stream(spark, d)))
     return out.where("user_id >= 0").groupBy(F.col("start").cast("timestamp_ntz").alias("start"), "event_type").agg(F.sum("w").alias("w"))
 
 
@@ -193,3 +199,56 @@ def stream_placement(spark: SparkSession, d: str) -> DataFrame:
 
 
 register("stream_placement", stream_placement, with_graph("doc_lines", "SELECT (SELECT count(*) FROM v) AS placed, CAST(0 AS BIGINT) AS over"))
+
+
+# ---------------------------------------------------------------- re-runs, co-grouped maps, observed counts, bucketed tables
+
+def stream_late_counted(spark: SparkSession, d: str) -> DataFrame:
+    """(late, noticed): input rows that reached no window, and whether the stream's own count of dropped rows tells of them."""
+    stream, ends = _late_stream(spark, d), 2
+    out, counts = interactions.run_counted(interactions.tumbling(stream))
+    return out.where("user_id >= 0").agg((F.lit(counts["read"] - ends) - F.sum("w")).cast("long").alias("late")).withColumn("noticed", F.lit(counts["dropped"] > 0))
+
+
+register("stream_late_counted", stream_late_counted, "SELECT count(*) AS late, TRUE AS noticed FROM events WHERE event_type = 'view'")
+
+
+def rerun_matched(spark: SparkSession, d: str) -> DataFrame:
+    """(plain, matched): nodes that change block from one partition to a later one with other names, before and after names are matched."""
+    g = tables.load(spark, d, "user_next")
+    g = SplitGraph(spill(g.nodes, "nodes"), g.edges)
+    old = partitioner.mod_cut(g.nodes, 8)
+    new = g.nodes.select("id", F.when(F.col("id") % 11 == 0, F.col("id") % 5).otherwise((F.col("id") + 3) % 8).cast("int").alias("block"))
+    moved = lambda p: old.join(p.withColumnRenamed("block", "now"), "id").agg(F.count_if(F.col("block") != F.col("now")))
+    return moved(new).toDF("plain").crossJoin(moved(measures.match_labels(g.nodes, old, new)).toDF("matched"))
+
+
+register("rerun_matched", rerun_matched, with_graph("user_next", "SELECT count(*) FILTER (CASE WHEN id % 11 = 0 THEN id % 5 ELSE (id + 3) % 8 END <> id % 8) AS plain, count(*) FILTER (id % 11 = 0 AND (id % 5 + 5) % 8 <> id % 8) AS matched FROM v"))
+
+
+def cogroup_inner(spark: SparkSession, d: str) -> DataFrame:
+    g = tables.load(spark, d, "user_next")
+    return measures.inner_weights(g, partitioner.mod_cut(g.nodes, 4))
+
+
+register("cogroup_inner", cogroup_inner, with_graph("user_next", "SELECT CAST(b AS INTEGER) AS block, n, CAST(coalesce(i, 0) AS BIGINT) AS inner FROM (SELECT id % 4 AS b, count(*) AS n FROM v GROUP BY 1) LEFT JOIN (SELECT src % 4 AS b, sum(w) AS i FROM e WHERE src % 4 = dst % 4 GROUP BY 1) USING (b)"))
+
+
+def observed_contraction(spark: SparkSession, d: str) -> DataFrame:
+    """(rows, moved): counts observed while the parent map of a contraction is written."""
+    g = tables.load(spark, d, "user_next")
+    _, parent = supersteps.contract(g, g.nodes.select("id", "w", (F.col("id") % 40).alias("label")))
+    return spark.createDataFrame([(parent._observed["rows"], parent._observed["moved"])], "rows long, moved long")
+
+
+register("observed_contraction", observed_contraction, with_graph("user_next", "SELECT count(*) AS rows, count(*) - count(DISTINCT id % 40) AS moved FROM v"))
+
+
+def bucketed_cut(spark: SparkSession, d: str) -> DataFrame:
+    """(cut): by tables in buckets of the joined ids."""
+    g = tables.load(spark, d, "user_next")
+    edges, blocks = files.write_bucketed(g, partitioner.mod_cut(g.nodes, 4), f"graphsplit_{uuid.uuid4().hex}", _place(spark, "bucketed"), 8)
+    return measures.edge_cut(SplitGraph(g.nodes, edges), blocks, "merge")
+
+
+register("bucketed_cut", bucketed_cut, with_graph("user_next", "SELECT CAST(coalesce(sum(w), 0) AS BIGINT) AS cut FROM e WHERE src % 4 <> dst % 4"))

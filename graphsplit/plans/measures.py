@@ -2,22 +2,28 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions import rules
+from ..functions.hashing import mix
 from ..model import SplitGraph
+from ..storage import small, spill
 
 
-def both_blocks(pairs: DataFrame, part: DataFrame) -> DataFrame:
-    """Edges with the blocks of their ends, bs and bd."""
+def both_blocks(pairs: DataFrame, part: DataFrame, hint: str | None = None) -> DataFrame:
+    """Edges with the blocks of their ends, bs and bd; ``hint`` names a join strategy (merge, shuffle_hash) where Spark's own choice is not wanted."""
+    part = part.hint(hint) if hint else part
     a, b = part.select(F.col("id").alias("src"), F.col("block").alias("bs")), part.select(F.col("id").alias("dst"), F.col("block").alias("bd"))
     return pairs.join(a, "src").join(b, "dst")
 
 
-def edge_cut(g: SplitGraph, part: DataFrame) -> DataFrame:
+def edge_cut(g: SplitGraph, part: DataFrame, hint: str | None = None) -> DataFrame:
     """(cut): weight of the edges between blocks."""
-    return both_blocks(g.undirected(), part).agg(F.coalesce(F.sum(F.when(F.col("bs") != F.col("bd"), F.col("w"))), F.lit(0)).alias("cut"))
+    return both_blocks(g.undirected(), part, hint).agg(F.coalesce(F.sum(F.when(F.col("bs") != F.col("bd"), F.col("w"))), F.lit(0)).alias("cut"))
 
 
 def block_weights(g: SplitGraph, part: DataFrame) -> DataFrame:
@@ -64,6 +70,46 @@ def diff(one: DataFrame, two: DataFrame) -> DataFrame:
     return one.withColumnRenamed("block", "old").join(two.withColumnRenamed("block", "new"), "id", "full").groupBy("old", "new").agg(F.count(F.lit(1)).alias("n"))
 
 
+def match_labels(nodes: DataFrame, old: DataFrame, new: DataFrame) -> DataFrame:
+    """(id, block): ``new`` with its blocks renamed to blocks of ``old`` of large common weight, so that a re-run moves little.
+
+    Block pairs that are each other's heaviest are matched, round by round until no common weight is left; their weight is at least half of the
+    best matching's.  Blocks that are left over get the free names in order.  Work on nodes is one join; the rounds see pairs of blocks only.
+    """
+    pairs = nodes.join(old.select("id", F.col("block").alias("a")), "id").join(new.select("id", F.col("block").alias("b")), "id")
+    left = spill(pairs.groupBy("a", "b").agg(F.sum("w").alias("w")), "overlap")
+    named = None
+    while left.take(1):
+        best_a = left.groupBy("a").agg(F.max_by("b", F.struct("w", -F.col("a"), -F.col("b"))).alias("b"))
+        best_b = left.groupBy("b").agg(F.max_by("a", F.struct("w", -F.col("a"), -F.col("b"))).alias("a"))
+        found = spill(best_a.join(best_b, ["a", "b"]), "matched")
+        named = found if named is None else spill(named.unionByName(found), "names")
+        left = spill(left.join(found.select("a"), "a", "left_anti").join(found.select("b"), "b", "left_anti"), "overlap")
+    blocks = new.select(F.col("block").alias("b")).distinct()
+    if named is None:
+        return new.select("id", "block")
+    rank = lambda c: F.row_number().over(W.orderBy(c)).alias("r")
+    spare = blocks.join(named, "b", "left_anti").select("b", rank("b"))
+    every = blocks.select(F.col("b").alias("a")).unionByName(old.select(F.col("block").alias("a"))).distinct()
+    free = every.join(named, "a", "left_anti").select("a", rank("a"))
+    names = spill(named.select("a", "b").unionByName(spare.join(free, "r").select("a", "b")), "names")
+    return new.join(small(names.withColumnRenamed("b", "block")), "block").select("id", F.col("a").alias("block"))
+
+
+def inner_weights(g: SplitGraph, part: DataFrame) -> DataFrame:
+    """(block, n, inner): nodes of each block and the weight of the edges inside it, from the co-grouped frames of nodes and edges.
+
+    Both frames come as partial counts (block, slice), so no group grows with its block.
+    """
+    nodes = part.groupBy("block", (mix("id", 3) % 64).alias("s")).agg(F.count(F.lit(1)).alias("n"))
+    edges = both_blocks(g.undirected(), part).where("bs = bd").withColumnRenamed("bs", "block").groupBy("block", (mix("src", 3) % 64).alias("s")).agg(F.sum("w").alias("w"))
+
+    def run(key, left: pa.Table, right: pa.Table) -> pa.Table:
+        return pa.table({"block": [key[0].as_py()], "n": [pc.sum(left["n"]).as_py() or 0], "inner": [pc.sum(right["w"]).as_py() or 0]}, schema=pa.schema([("block", pa.int32()), ("n", pa.int64()), ("inner", pa.int64())]))
+
+    return nodes.groupBy("block").cogroup(edges.groupBy("block")).applyInArrow(run, "block int, n long, inner long")
+
+
 def describe_graph(g: SplitGraph) -> DataFrame:
     """(n, m, w, max_deg)."""
     d = g.edges.groupBy("src").agg(F.count(F.lit(1)).alias("d"), F.sum("w").alias("w"))

@@ -6,8 +6,10 @@ side), larger ones in supersteps until a level is small enough for a task.  Leve
 
 from __future__ import annotations
 
+import json
 import signal
 import time
+from dataclasses import asdict
 
 import numpy as np
 import pyarrow as pa
@@ -189,7 +191,7 @@ def caps_of(spark, blocks: dict[int, int], total: int, k: int, eps: float, heavi
 
 def coarsen(g: SplitGraph, cap: float, o: Options, seed: int) -> tuple[SplitGraph, DataFrame]:
     found = supersteps.lp_cluster(g, cap, o.rounds, o.classes, o.order, o.enforce, o.active, seed)
-    labels = supersteps.two_hop(found, g.facts.n, cap, mode=o.two_hop, seed=seed) if o.two_hop != "off" else found.select("id", "w", "label")
+    labels = supersteps.two_hop(found, g.facts.n, cap, g.edges, o.two_hop, seed) if o.two_hop != "off" else found.select("id", "w", "label")
     return supersteps.contract(g, spill(labels, "clusters"))
 
 
@@ -198,6 +200,22 @@ def _there(spark, path: str) -> bool:
     return where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(where)
 
 
+def store_facts(g: SplitGraph, k: int, o: Options) -> str:
+    """What names a hierarchy: the options, and the graph by its facts and by order-free hashes of its rows."""
+    nodes = g.nodes.agg(F.bit_xor(F.xxhash64("id", "w"))).first()[0]
+    edges = g.edges.agg(F.bit_xor(F.xxhash64("src", "dst", "w"))).first()[0]
+    return json.dumps({"facts": asdict(g.facts), "nodes": nodes, "edges": edges, "k": k, "options": o.spec()}, sort_keys=True, default=str)
+
+
+def claim_store(g: SplitGraph, store: str, k: int, o: Options) -> None:
+    """Write the manifest of a new store; raise ``ValueError`` if the store holds another graph's or other options' levels."""
+    spark, at, own = g.nodes.sparkSession, f"{store}/manifest", store_facts(g, k, o)
+    if not _there(spark, at):
+        spark.createDataFrame([(own,)], "value string").coalesce(1).write.mode("overwrite").text(at)
+    elif (held := spark.read.text(at).first().value) != own:
+        raise ValueError(f"{store} holds levels of {held}, not of {own}")
+
+
 def kept_level(spark, store: str, depth: int) -> tuple[SplitGraph, DataFrame] | None:
     """A finished level of an earlier run: its coarse graph and parent map; the map is written last."""
     at = f"{store}/level-{depth}"
@@ -213,6 +231,8 @@ def keep_level(store: str, depth: int, coarse: SplitGraph, parent: DataFrame) ->
 
 def descend(g: SplitGraph, k: int, o: Options, task_edges: int, store: str | None = None) -> tuple[list[tuple[SplitGraph, DataFrame]], SplitGraph]:
     levels, now, n0 = [], g, g.facts.n
+    if store:
+        claim_store(g, store, k, o)
     while now.facts.n > 2 * o.c and 2 * now.facts.m > task_edges:
         cap = max(rules.cluster_cap(o.eps, g.facts.weight, k, o.c, n0, now.facts.n), 1)
         found = kept_level(g.nodes.sparkSession, store, len(levels)) if store else None
@@ -232,10 +252,11 @@ def _settle(g: SplitGraph, part: DataFrame, blocks: dict[int, int], k: int, o: O
     return supersteps.refine(g, part, caps, o.rounds, max(2, o.classes // 2), seed=o.seed, conflict=o.conflict == "independent") if refine else part
 
 
-def partition(g: SplitGraph, k: int, o: Options | None = None, mode: str | None = None, task_edges: int = TASK_EDGES, store: str | None = None) -> DataFrame:
+def partition(g: SplitGraph, k: int, o: Options | None = None, mode: str | None = None, task_edges: int = TASK_EDGES, store: str | None = None, check: bool = False) -> DataFrame:
     """(id, block): k blocks within the relaxed limit, by the one-cycle scheme.
 
-    With ``store`` (a folder) the levels of the superstep path are kept there, and a later call goes on from the last finished one.
+    With ``store`` (a folder) the levels of the superstep path are kept there, and a later call goes on from the last finished one; a store
+    of another graph, k or options is refused.  With ``check`` every level is tested: as many blocks as its size asks for, none above its limit.
     """
     o = o or Options(c=2000)
     facts = g.facts
@@ -254,6 +275,8 @@ def partition(g: SplitGraph, k: int, o: Options | None = None, mode: str | None
         part, blocks = _bottom(bottom, k, o, facts.weight, wanted, task_edges)
     with o.timed("refinement", bottom.facts.n):
         part = _settle(bottom, part, blocks, k, o, facts.weight)
+    if check:
+        assure_level(bottom, part, blocks, k, o, facts.weight, wanted)
     for depth, (fine, parent) in reversed(list(enumerate(levels))):
         part = spill(supersteps.project(parent, part), "part")
         wanted = rules.level_blocks(fine.facts.n, o.c, k)
@@ -263,12 +286,26 @@ def partition(g: SplitGraph, k: int, o: Options | None = None, mode: str | None
         if depth > 0 or o.final_order == "twice" or len(blocks) == k:
             with o.timed("refinement", fine.facts.n):
                 part = _settle(fine, part, blocks, k, o, facts.weight)
+            if check:
+                assure_level(fine, part, blocks, k, o, facts.weight, wanted)
     if len(blocks) < k:
         part, blocks = bisect_blocks(g, part, blocks, k, o, facts.weight, stop=1, task_edges=task_edges)
         part = _settle(g, part, blocks, k, o, facts.weight)
+        if check:
+            assure_level(g, part, blocks, k, o, facts.weight, k)
     return part
 
 
+def assure_level(g: SplitGraph, part: DataFrame, blocks: dict[int, int], k: int, o: Options, total: int, wanted: int) -> None:
+    """Raise ``AssertionError`` unless a level has the blocks that its size asks for and none of them is above its limit."""
+    if len(blocks) < min(wanted, k):
+        raise AssertionError(f"{len(blocks)} blocks where {wanted} are due")
+    caps = caps_of(g.nodes.sparkSession, blocks, total, k, o.eps, g.facts.heaviest)
+    heavy = supersteps.overload(g, part, caps).where("over > 1e-6").orderBy("block").first()
+    if heavy is not None:
+        raise AssertionError(f"block {heavy.block} weighs {heavy.held}, above {heavy.cap}")
+
+
 def _bottom(g: SplitGraph, k: int, o: Options, total: int, wanted: int, task_edges: int) -> tuple[DataFrame, dict[int, int]]:
     if 2 * g.facts.m + g.facts.n > task_edges:  # coarsening came to a halt early, or C is large
         part, blocks = spill(g.nodes.select("id", F.lit(0).alias("block")), "part"), {0: k}
@@ -379,7 +416,7 @@ def bisect_distributed(g: SplitGraph, f0: int, f1: int, eps: float, seed: int =
     """(id, block) with two sides near f0 : f1 of a graph that no task can take: a start by running weight, repair, refinement."""
     share = f0 / (f0 + f1)
     total, heaviest = g.facts.weight, g.facts.heaviest
-    start = _running(g.nodes).select("id", (F.col("before") >= share * total).cast("int").alias("block"))
+    start = supersteps.in_order(g.nodes, [F.col("id")]).select("id", (F.col("before") >= share * total).cast("int").alias("block"))
     rows = [(b, float(max((1 + eps) * total * s, total * s + heaviest)), float(total * s)) for b, s in ((0, share), (1, 1 - share))]
     caps = g.nodes.sparkSession.createDataFrame(rows, "block int, cap double, share double")
     return supersteps.refine(g, supersteps.balance(g, start, caps, seed=seed), caps, rounds=1, count=2, seed=seed)
@@ -391,7 +428,7 @@ def cost_log(g: SplitGraph, k: int, o: Options) -> DataFrame:
     while now.facts.n > 2 * o.c:
         cap = max(rules.cluster_cap(o.eps, g.facts.weight, k, o.c, n0, now.facts.n), 4)
         coarse, parent = coarsen(now, cap, o, o.seed + len(rows))
-        moved = parent.where("id <> coarse").count()
+        moved = parent._observed["moved"]
         rows.append((len(rows) + 1, now.facts.n, now.facts.m, coarse.facts.n, coarse.facts.m, moved))
         if coarse.facts.n > (1 - o.min_shrink) * now.facts.n:
             break
@@ -411,21 +448,10 @@ def hash_cut(nodes: DataFrame, k: int, seed: int = 0) -> DataFrame:
     return nodes.select("id", (mix("id", seed) % k).cast("int").alias("block"))
 
 
-def _running(nodes: DataFrame, buckets: int = 64) -> DataFrame:
-    """``nodes`` with before: the weight of all nodes of smaller id, from sums of ranges of ids and windows inside them."""
-    from pyspark.sql import Window as W
-
-    lo, hi = nodes.agg(F.min("id"), F.max("id")).first()
-    step = max(1, ((hi or 0) - (lo or 0)) // buckets + 1)
-    rows = nodes.withColumn("_r", F.expr(f"(id - {lo or 0}) div {step}"))
-    sums = rows.groupBy("_r").agg(F.sum("w").alias("s")).withColumn("base", F.sum("s").over(W.orderBy("_r")) - F.col("s")).select("_r", "base")
-    return rows.join(small(sums), "_r").withColumn("before", F.col("base") + F.sum("w").over(W.partitionBy("_r").orderBy("id").rowsBetween(W.unboundedPreceding, 0)) - F.col("w")).drop("_r", "base")
-
-
 def weight_fill_cut(nodes: DataFrame, k: int) -> DataFrame:
     """Blocks by running weight in order of id."""
     total = nodes.agg(F.sum("w")).first()[0] or 1
-    return _running(nodes).select("id", F.least(F.lit(k - 1), F.expr(f"before * {k} div {total}")).cast("int").alias("block"))
+    return supersteps.in_order(nodes, [F.col("id")]).select("id", F.least(F.lit(k - 1), F.expr(f"before * {k} div {total}")).cast("int").alias("block"))
 
 
 def range_cut(nodes: DataFrame, k: int) -> DataFrame:
@@ -434,10 +460,7 @@ def range_cut(nodes: DataFrame, k: int) -> DataFrame:
 
 
 def snake_cut(nodes: DataFrame, k: int) -> DataFrame:
-    """Blocks dealt forth and back in order of falling weight: heavier nodes are counted by weight, equal ones by id."""
-    from pyspark.sql import Window as W
-
-    sizes = nodes.groupBy("w").agg(F.count(F.lit(1)).alias("c")).withColumn("base", F.sum("c").over(W.orderBy(F.desc("w"))) - F.col("c")).select("w", "base")
-    r = nodes.join(small(sizes), "w").withColumn("r", F.col("base") + F.row_number().over(W.partitionBy("w").orderBy("id")) - 1)
+    """Blocks dealt forth and back in order of falling weight, equal ones by id."""
+    r = supersteps.in_order(nodes.withColumn("one", F.lit(1).cast("long")), [F.desc("w"), F.col("id")], "one").withColumnRenamed("before", "r")
     inside = F.col("r") % k
     return r.select("id", F.when(F.expr(f"r div {k}") % 2 == 0, inside).otherwise(k - 1 - inside).cast("int").alias("block"))

@@ -89,6 +89,14 @@ def write_graph(g: SplitGraph, path: str) -> None:
     g.edges.sortWithinPartitions("src", "dst").write.parquet(f"{path}/edges")
 
 
+def write_bucketed(g: SplitGraph, part: DataFrame, name: str, path: str, buckets: int = 64) -> tuple[DataFrame, DataFrame]:
+    """Edges by source and blocks by id as two tables in equal buckets, ``name``_edges and ``name``_blocks, read back; their join needs no shuffle."""
+    spark = g.nodes.sparkSession
+    for kind, df, key in (("edges", g.edges, "src"), ("blocks", part, "id")):
+        df.repartition(buckets, key).write.bucketBy(buckets, key).sortBy(key).option("path", f"{path}/{kind}").mode("overwrite").saveAsTable(f"{name}_{kind}")
+    return spark.table(f"{name}_edges"), spark.table(f"{name}_blocks")
+
+
 def read_graph(spark: SparkSession, path: str) -> SplitGraph:
     return SplitGraph(spark.read.parquet(f"{path}/nodes"), spark.read.parquet(f"{path}/edges"))
 

@@ -6,7 +6,7 @@ import tempfile
 import uuid
 import warnings
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -25,13 +25,20 @@ def shared_folder(spark: SparkSession) -> str:
     return base.rstrip("/")
 
 
-def spill(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` as a table in the shared folder and read it back; this cuts lineage and outlives lost executors."""
+def spill(df: DataFrame, name: str, **facts: Column) -> DataFrame:
+    """Write ``df`` as a table in the shared folder and read it back; this cuts lineage and outlives lost executors.
+
+    ``facts`` are aggregates that are observed while the rows are written, without a second scan; the result has them as ``_observed``.
+    """
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/graphsplit/{name}-{uuid.uuid4().hex}"
+    seen = Observation(f"{name}-{uuid.uuid4().hex}") if facts else None
+    if seen:
+        df = df.observe(seen, *[v.alias(k) for k, v in facts.items()])
     df.write.option("compression", "zstd").parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._spilled_at = path
+    out._observed = seen.get if seen else {}
     return out
 
 

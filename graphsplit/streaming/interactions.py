@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import json
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -46,13 +48,20 @@ def interval_join(views: DataFrame, buys: DataFrame, watermark: str = "1 hour",
 
 def run_to_table(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Run a stream over all files that are there now and return what it wrote."""
+    return run_counted(stream, mode)[0]
+
+
+def run_counted(stream: DataFrame, mode: str = "append") -> tuple[DataFrame, dict[str, int]]:
+    """What the run wrote, and its counts: ``read``, the input rows, and ``dropped``, rows of partial states that came behind the watermark."""
     import uuid
 
     spark = stream.sparkSession
     base = f"{shared_folder(spark)}/graphsplit/stream-{uuid.uuid4().hex}"
     query = stream.writeStream.format("parquet").outputMode(mode).option("path", f"{base}/rows").option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.read.schema(stream.schema).parquet(f"{base}/rows")
+    told = [json.loads(p.json) for p in query.recentProgress]
+    counts = {"read": sum(p["numInputRows"] for p in told), "dropped": sum(s.get("numRowsDroppedByWatermark", 0) for p in told for s in p["stateOperators"])}
+    return spark.read.schema(stream.schema).parquet(f"{base}/rows"), counts
 
 
 def place_new_nodes(nodes: DataFrame, edges: DataFrame, part: DataFrame, caps: DataFrame, seed: int = 0) -> DataFrame:

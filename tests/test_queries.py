@@ -11,7 +11,8 @@ from graphsplit.sources import synth, tables
 DIR = "/root/testdata/sf0.001"
 NAMES = """build_cust_part build_user_next build_doc_lines gen_planted gen_geometric formula_limits eps_table cluster_cap_table split_counts describe_user_next
 edge_cut_copurchase_mod4 quotient_graph lp_ratings lp_round1_best lp_two_rounds strict_admission sampled_admission two_hop_pairs contract_mod overload_prefix
-match_round1 weight_fill_cut snake_cut performance_profile cumulative_speedup cut_cube exact_grid_3x4 roundtrip_adjacency udf_formula_check stream_tumbling""".split()
+match_round1 weight_fill_cut snake_cut performance_profile cumulative_speedup cut_cube exact_grid_3x4 roundtrip_adjacency udf_formula_check stream_tumbling
+stream_late stream_late_counted rerun_matched cogroup_inner observed_contraction bucketed_cut range_cut nodes_by_bucket""".split()
 
 
 def rows(df):

@@ -121,3 +121,62 @@ def test_batches_have_a_time_limit_and_a_size_limit(spark):
     # With four cores no graph here has more than 2 * 4 * 50 nodes, so all splits and refinement count as the bottom.
     phases = {r.inst: set(r.phase) for r in runs.where("id is null and inst <> 1").collect()}
     assert "initial" in phases[0] and phases[2] == {"total", "coarsening", "bottom"}
+
+
+def test_in_order_counts_what_comes_earlier(spark):
+    rows = spark.range(1000).withColumn("w", F.lit(2).cast("long")).withColumn("k", F.lit(7))
+    out = supersteps.in_order(rows, [F.desc("k"), F.col("id")]).toPandas()
+    assert (out["before"] == 2 * out["id"]).all()
+    assert supersteps.in_order(rows.where("id < 0"), [F.col("id")]).count() == 0
+
+
+def test_nodes_without_edges_pair_up(spark):
+    state = spark.range(10).select("id", F.lit(1).cast("long").alias("w"), F.col("id").alias("label"), F.lit(None).cast("long").alias("fav"))
+    edges = spark.createDataFrame([(0, 1, 1), (1, 0, 1)], "src long, dst long, w long")
+    out = supersteps.two_hop(state, 10, 2.0, edges).toPandas()
+    assert out["label"].nunique() == 6 and set(out.loc[out["id"] < 2, "label"]) == {0, 1}
+
+
+def test_store_of_another_graph_is_refused(spark, tmp_path):
+    g, o = from_edges(synth.grid(spark, 6, 6)), Options(c=10, rounds=1, classes=1, tries=1, repeats=1)
+    levels, bottom = partitioner.descend(g, 2, o, 10, str(tmp_path))
+    again, same = partitioner.descend(g, 2, o, 10, str(tmp_path))
+    assert partitioner.kept_level(spark, str(tmp_path), 0) is not None
+    assert len(again) == len(levels) and same.facts == bottom.facts
+    with pytest.raises(ValueError):
+        partitioner.descend(from_edges(synth.grid(spark, 6, 5)), 2, o, 10, str(tmp_path))
+    with pytest.raises(ValueError):
+        partitioner.descend(g, 3, o, 10, str(tmp_path))
+
+
+def test_a_heavy_level_does_not_pass(spark):
+    g = from_edges(synth.grid(spark, 4, 4))
+    one = g.nodes.select("id", F.lit(0).alias("block"))
+    with pytest.raises(AssertionError):
+        partitioner.assure_level(g, one, {0: 1, 1: 1}, 2, Options(), 16, 2)
+    with pytest.raises(AssertionError):
+        partitioner.assure_level(g, one, {0: 2}, 2, Options(), 16, 2)
+
+
+def test_matched_labels_move_least(spark):
+    nodes = spark.range(60).withColumn("w", F.lit(1).cast("long"))
+    old = nodes.select("id", (F.col("id") % 3).cast("int").alias("block"))
+    new = nodes.select("id", F.when(F.col("id") < 6, 3).otherwise((F.col("id") + 1) % 3).cast("int").alias("block"))
+    out = measures.match_labels(nodes, old, new).join(old.withColumnRenamed("block", "old"), "id").toPandas()
+    assert (out["block"] != out["old"]).sum() == 6 and out["block"].nunique() == 4
+
+
+def test_joins_follow_their_hints(spark, tmp_path):
+    from graphsplit.sources import files
+
+    g = from_edges(synth.grid(spark, 12, 12))
+    part = partitioner.mod_cut(g.nodes, 4)
+    plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan(measures.edge_cut(g, part, "merge"))
+    assert "ShuffledHashJoin" in plan(measures.edge_cut(g, part, "shuffle_hash"))
+    edges, blocks = files.write_bucketed(g, part, "bucketed_test", str(tmp_path), 4)
+    joined = edges.join(blocks.hint("merge"), edges["src"] == blocks["id"])
+    assert "SortMergeJoin" in plan(joined) and "Exchange" not in plan(joined)
+    assert measures.edge_cut(SplitGraph(g.nodes, edges), blocks, "merge").first() == measures.edge_cut(g, part).first()
+    for name in ("bucketed_test_edges", "bucketed_test_blocks"):
+        spark.sql(f"DROP TABLE {name}")
