@@ -18,6 +18,7 @@ ORACLE_SQL = None
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose toxicity score stays below the threshold; the lexicon is learnt from the labelled ones."""
+    storage.modest_batches(spark)
     docs = docs.select(*COLUMNS)
     lexicon = toxicity.train(docs, storage.table(spark, sf_dir, "labels"))
     return toxicity.score_documents(docs, lexicon).where(F.col("toxic_score") < toxicity.THRESHOLD).select(*COLUMNS)

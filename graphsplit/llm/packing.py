@@ -87,9 +87,14 @@ class ChunkEncoder:
             to_byte = {c: b for b, c in enumerate(byte_characters())}
             ranks = {bytes(to_byte[c] for c in token): i for token, i in self.model.get_vocab(with_added_tokens=False).items() if token not in added}
             self.ranked = tiktoken.Encoding("ranked", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
-        self.known = BoundedCache(96 << 20)
+            self.blob, self.model = blob, None  # made again if a text needs it
+        self.known = BoundedCache(40 << 20)
 
     def library(self, texts: list[str]) -> list[bytes]:
+        if self.model is None:
+            from tokenizers import Tokenizer
+
+            self.model = Tokenizer.from_str(self.blob.decode())
         return [np.array(e.ids, dtype="<u4").tobytes() for e in self.model.encode_batch_fast(texts, add_special_tokens=False)]
 
     def _new(self, chunks: list[str]) -> list[bytes]:
@@ -126,6 +131,7 @@ def token_pieces(docs: DataFrame, vocabulary: bytes, pattern: str, end_id: int =
     """Rows of PIECES from doc_id and text; one task reads and encodes its own rows, nothing is shuffled."""
 
     by_rank = merges_by_rank(vocabulary, pattern)
+    storage.modest_batches(docs.sparkSession)
 
     @lean
     def run(batches):
@@ -133,7 +139,7 @@ def token_pieces(docs: DataFrame, vocabulary: bytes, pattern: str, end_id: int =
         if "encoder" not in cache:
             cache["encoder"] = ChunkEncoder(vocabulary, pattern, by_rank)
         encoder, end = cache["encoder"], np.array([end_id], dtype="<u4").tobytes()
-        for ids, texts in slices(batches, ["doc_id", "text"]):
+        for ids, texts in slices(batches, ["doc_id", "text"], 1_000_000):
             rows = []
             for doc, code in zip(ids, encoder.encode([t or "" for t in texts]), strict=True):
                 code += end
