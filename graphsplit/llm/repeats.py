@@ -183,12 +183,12 @@ def with_copies_marked(docs: DataFrame) -> DataFrame:
     return slim.join(groups.withColumn("copied", F.lit(True)), "digest", "left").select("doc_id", "text", "mark", F.coalesce("copied", F.lit(False)).alias("copied"), (F.coalesce("copied", F.lit(False)) & ~F.col("doc_id").eqNullSafe(F.col("least"))).alias("spare"))
 
 
-def with_places(docs: DataFrame, places: DataFrame, how: str) -> DataFrame:
+def with_places(docs: DataFrame, places: DataFrame, how: str, most_keys: int = storage.BROADCAST_ROWS) -> DataFrame:
     """``docs`` with the places of each; texts of other documents are shuffled only if the list of ids is large."""
     of = places.withColumnRenamed("doc_id", "_of").withColumnRenamed("mark", "_mark")
     both = docs["doc_id"].eqNullSafe(of["_of"]) & (docs["mark"] == of["_mark"])
     if how == "inner":
-        keys = storage.small(of.select("_of", "_mark"))
+        keys = storage.small(of.select("_of", "_mark"), most_keys)
         docs = docs.join(keys, docs["doc_id"].eqNullSafe(keys["_of"]) & (docs["mark"] == keys["_mark"]), "left_semi")
         both = docs["doc_id"].eqNullSafe(of["_of"]) & (docs["mark"] == of["_mark"])
     return docs.join(of, both, how).drop("_of", "_mark")

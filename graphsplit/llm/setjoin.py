@@ -136,6 +136,21 @@ def key_emitter(sketch: bytes, rule: Rule):
     return emit
 
 
+def enough_places(places: DataFrame, sizes: DataFrame, rule: Rule) -> DataFrame:
+    """``places`` without rows of fewer repeated first tokens than any link of a set of n tokens needs; ``sizes`` has doc_id, n, the least of its rows.
+
+    Only ids, counts and packed places are shuffled, so the texts of what ends here need not be.
+    """
+
+    def run(batches):
+        for batch in batches:
+            again = [len(unpack_all(p)) for p in batch.column("places").to_pylist()]
+            keep = [k >= rule.needed(n) for k, n in zip(again, batch.column("n").to_pylist(), strict=True)]
+            yield batch.filter(pa.array(keep, pa.bool_())).select(["doc_id", "mark", "places"])
+
+    return places.join(sizes, "doc_id").select("doc_id", "mark", "places", "n").mapInArrow(run, places.schema)
+
+
 def survivors(docs: DataFrame, places: DataFrame, sketch: bytes, rule: Rule) -> DataFrame:
     """doc_id, n, keys (repeated first tokens), grp and the whole set of documents that may link."""
     schema = "doc_id long, n long, keys array<long>, grp long, tokens binary"
@@ -154,7 +169,7 @@ def survivors(docs: DataFrame, places: DataFrame, sketch: bytes, rule: Rule) ->
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.int64(), pa.binary()), strict=True)], ["doc_id", "n", "keys", "grp", "tokens"])
 
-    return repeats.with_places(docs, places, "inner").select("doc_id", "places", "text").mapInArrow(run, schema)
+    return repeats.with_places(docs, places, "inner", 4 * storage.BROADCAST_ROWS).select("doc_id", "places", "text").mapInArrow(run, schema)
 
 
 # ---------------------------------------------------------------- the matrix and the groups
@@ -299,8 +314,10 @@ def components(docs: DataFrame, rule: Rule) -> DataFrame:
     own = own.join(reps, own["doc_id"] == reps["rep"], "left_semi")
     places = storage.spill(repeats.repeated_places(own, key_emitter(sketch, rule), key_bytes=5, most_entries=size // 12), "keys")
     repeats.forget_shuffles(spark)
-    # Ids of several rows; their sets are kept once each.
     valid = sets.where("n_shingles > 0 and doc_id is not null")
+    few, places = places, storage.spill(enough_places(places, valid.groupBy("doc_id").agg(F.min("n_shingles").alias("n")), rule), "enough")
+    storage.release(few)
+    # Ids of several rows; their sets are kept once each.
     ids = storage.spill(valid.groupBy("doc_id").agg(F.count(F.lit(1)).alias("rows"), F.count_distinct("digest").alias("k")).where("rows > 1"), "ids")
     found = survivors(own, places, sketch, rule)
     if ids.take(1):
