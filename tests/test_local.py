@@ -159,3 +159,71 @@ def test_direct_kway_coarsens_to_k_times_c_nodes(monkeypatch):
     monkeypatch.setattr(local, "descend", lambda g, k, o, least, *rest: asked.append(least) or descend(g, k, o, least, *rest))
     local.direct_kway(grid(30, 30), 4, Options(c=50, tries=1, repeats=1))
     assert asked == [200]
+
+
+@pytest.mark.parametrize("seed", range(6))
+def test_two_way_search_takes_the_best_move_each_time(seed):
+    rng = np.random.default_rng(seed)
+    n = 30
+    pairs = {(int(a), int(b)) for a, b in rng.integers(0, n, (90, 2)) if a < b}
+    g = graph(n, [(a, b, int(rng.integers(1, 5))) for a, b in sorted(pairs)], rng.integers(1, 4, n))
+    start = rng.integers(0, 2, n) if seed % 2 else np.zeros(n, dtype=np.int64)
+    caps = (g.total * 0.55, g.total * 0.55)
+
+    def plain(side):
+        """One pass by the definition: the best of all moves allowed, the least node of equals."""
+        side, free, moves = side.copy(), np.ones(n, dtype=bool), []
+        state = lambda: (float(np.maximum(g.block_weights(side, 2) - np.array(caps), 0).sum()), g.cut(side))
+        first = best = state()
+        best_at = idle = 0
+        while idle < 60:
+            weight = g.block_weights(side, 2)
+            must = 0 if weight[0] > caps[0] else 1 if weight[1] > caps[1] else None
+            can = []
+            for v in np.flatnonzero(free):
+                if must is None and weight[1 - side[v]] + g.nw[v] <= caps[1 - side[v]] or side[v] == must:
+                    to, w = g.dst[g.ptr[v] : g.ptr[v + 1]], g.w[g.ptr[v] : g.ptr[v + 1]]
+                    can.append((-int(np.where(side[to] != side[v], w, -w).sum()), int(v)))
+            if not can:
+                break
+            v = min(can)[1]
+            side[v], free[v] = 1 - side[v], False
+            moves.append(v)
+            if state() < best:
+                best, best_at, idle = state(), len(moves), 0
+            else:
+                idle += 1
+        side[moves[best_at:]] = 1 - side[moves[best_at:]]
+        return side, best < first
+
+    side, better, left = start, True, 4
+    while better and left:
+        side, better = plain(side)
+        left -= 1
+    assert (local.two_way_fm(g, start, caps) == side).all()
+
+
+def test_blocks_are_dealt_once(monkeypatch):
+    monkeypatch.setattr(local.Csr, "induced", lambda *_: pytest.fail("a pass over all edges for one block"))
+    g = grid(20, 20)
+    part = np.arange(g.n) * 7919 % 1009 % 37
+    part[part == 5] = 4
+    found = list(g.blocks(part, 37))
+    monkeypatch.undo()
+    for b, (nodes, sub) in enumerate(found):
+        own = g.induced(np.flatnonzero(part == b))
+        assert (nodes == np.flatnonzero(part == b)).all() and (sub.ptr == own.ptr).all()
+        assert all((getattr(sub, x) == getattr(own, x)).all() for x in ("nw", "src", "dst", "w"))
+    monkeypatch.setattr(local.Csr, "induced", lambda *_: pytest.fail("a pass over all edges for one block"))
+    assert len(np.unique(local.partition(g, 128, Options(c=40, tries=1, repeats=1)))) == 128
+
+
+def test_spans_do_not_change_results(monkeypatch):
+    g = grid(16, 16)
+    whole = {s: local.SCHEMES[s](g, 8, Options(c=30, tries=1, repeats=1)) for s in local.SCHEMES}
+    monkeypatch.setattr(local, "SPAN", 50)
+    for s, part in whole.items():
+        assert (local.SCHEMES[s](g, 8, Options(c=30, tries=1, repeats=1)) == part).all()
+    a = g.src < g.dst
+    h = local.Csr.of_pairs(g.nw, g.dst[a], g.src[a], g.w[a])
+    assert (h.src == g.src).all() and (h.dst == g.dst).all() and (h.ptr == g.ptr).all()
