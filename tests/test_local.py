@@ -227,3 +227,13 @@ def test_spans_do_not_change_results(monkeypatch):
     a = g.src < g.dst
     h = local.Csr.of_pairs(g.nw, g.dst[a], g.src[a], g.w[a])
     assert (h.src == g.src).all() and (h.dst == g.dst).all() and (h.ptr == g.ptr).all()
+
+
+@pytest.mark.parametrize(("n", "edges", "k", "c", "seed"), [(242, 5082, 121, 7, 206), (114, 1368, 57, 13, 211), (280, 4200, 70, 16, 232), (395, 4345, 197, 10, 245)])
+def test_blocks_that_shrank_still_become_all_they_were_to(n, edges, k, c, seed):
+    rng = np.random.default_rng(seed)
+    g = graph(n, sorted({(int(min(x)), int(max(x))) for x in rng.integers(0, n, (edges, 2)) if x[0] != x[1]}))
+    part = local.partition(g, k, Options(c=c, tries=1, repeats=1))
+    assert len(np.unique(part)) == k and relaxed(g, part, k)
+    held = local.occupy(g, np.zeros(n, dtype=np.int64), 5)
+    assert len(np.unique(held)) == 5 and (held != 0).sum() == 4
