@@ -202,6 +202,17 @@ def test_graphs_beyond_two_million_edges_run_side_by_side_in_tasks(spark, monkey
     assert partitioner.partition_many(g, [{"k": k, "c": 10} for k in (2, 4)]).groupBy("inst").count().collect() is not None
 
 
+def test_batches_of_any_size_take_the_same_steps(spark, monkeypatch):
+    from graphsplit.model import Facts
+
+    monkeypatch.setattr(partitioner, "partition_wide", lambda *_: pytest.fail("other steps for a larger graph"))
+    g = from_edges(synth.grid(spark, 8, 8))
+    specs = [{"scheme": s, "k": 4, "c": 10, "tries": 1, "repeats": 1} for s in ("kway_fm", "direct_kway", "single_level_lp")]
+    found = sorted(partitioner.partition_many(g, specs).collect())
+    g._facts = Facts(64, 70_000_000, 64, 1, 70_000_000)
+    assert sorted(partitioner.partition_many(g, specs).collect()) == found and len(found) == 3 * 64
+
+
 def test_instances_get_partitions_of_their_own(spark):
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     got = partitioner.lanes_of(spark, 2 * parts).repartition(parts, "lane").groupBy(F.spark_partition_id().alias("p")).count().collect()
