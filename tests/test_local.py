@@ -154,6 +154,37 @@ def test_kway_search_takes_the_best_move_each_time(seed):
     assert not possible() and cuts[best_at] == min(cuts)
 
 
+@pytest.mark.parametrize("seed", range(12))
+def test_kway_search_moves_alike_over_table_and_heaps(seed, monkeypatch):
+    monkeypatch.setattr(local, "RUN", 2 + seed % 5)
+    rng = np.random.default_rng(seed)
+    n, k = 90, 2 + seed % 4
+    scale = 1 << 40 if seed == 5 else 1
+    pairs = {(int(a), int(b)) for a, b in rng.integers(0, n, (200 + 150 * (seed % 3), 2)) if a < b}
+    g = graph(n, [(a, b, scale * int(rng.integers(1, 5))) for a, b in sorted(pairs)], rng.integers(1, 2 if seed % 2 else 6, n))
+    part = rng.integers(0, k, n)
+    caps = g.block_weights(part, k) + rng.integers(-3, 5, k).astype(float)
+    assert local._kway_pass_table(g, part, caps) == local._kway_pass_heaps(g, part, caps)
+
+
+def test_dense_graphs_are_searched_over_a_table(monkeypatch):
+    monkeypatch.setattr(local, "_kway_pass_heaps", lambda *_: pytest.fail("a heap entry for each rise of a gain"))
+    n = 24
+    g = graph(n, [(a, b, 1 + (a * b) % 3) for a in range(n) for b in range(a + 1, n)], np.ones(n, dtype=np.int64))
+    part = local.kway_fm(g, np.arange(n) % 3, np.full(3, 10.0))
+    assert g.block_weights(part, 3).max() <= 10
+
+
+def test_matching_looks_at_spans(monkeypatch):
+    g = grid(16, 16)
+    whole = local.match_heavy_edge(g, 2, seed=3)
+    monkeypatch.setattr(local.Csr, "src", property(lambda _: pytest.fail("the sources of all edges")))
+    monkeypatch.setattr(local, "SPAN", 50)
+    found = local.match_heavy_edge(g, 2, seed=3)
+    assert (found == whole).all() and (np.bincount(found) <= 2).all() and len(np.unique(found)) < 0.7 * g.n
+    assert len(np.unique(local.match_two_hop(g, found, 2, 3))) <= len(np.unique(found))
+
+
 def test_direct_kway_coarsens_to_k_times_c_nodes(monkeypatch):
     asked, descend = [], local.descend
     monkeypatch.setattr(local, "descend", lambda g, k, o, least, *rest: asked.append(least) or descend(g, k, o, least, *rest))
