@@ -213,6 +213,26 @@ def test_batches_of_any_size_take_the_same_steps(spark, monkeypatch):
     assert sorted(partitioner.partition_many(g, specs).collect()) == found and len(found) == 3 * 64
 
 
+@pytest.mark.parametrize("name", ["supp_part", "cust_part", "copurchase", "order_chain", "doc_lines", "nation_trade"])
+@pytest.mark.parametrize("node_w", [None, "degree"])
+def test_graphs_loaded_once_are_those_loaded(spark, name, node_w):
+    from graphsplit.sources import tables
+
+    d = "/root/testdata/sf0.001"
+    one, two = tables.load_once(spark, d, name, node_w), tables.load(spark, d, name, node_w)
+    assert one.edges.schema.simpleString() == two.edges.schema.simpleString() and one.nodes.schema.simpleString() == two.nodes.schema.simpleString()
+    assert sorted(one.edges.collect()) == sorted(two.edges.collect()) and sorted(one.nodes.collect()) == sorted(two.nodes.collect())
+
+
+def test_loading_once_sums_pairs_once(spark, monkeypatch):
+    from graphsplit import model
+    from graphsplit.sources import tables
+
+    asked = []
+    monkeypatch.setattr(model, "canonical", lambda *_, **__: asked.append(1) or pytest.fail("pairs summed again"))
+    assert tables.load_once(spark, "/root/testdata/sf0.001", "supp_part").facts.m > 0 and not asked
+
+
 def test_instances_get_partitions_of_their_own(spark):
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     got = partitioner.lanes_of(spark, 2 * parts).repartition(parts, "lane").groupBy(F.spark_partition_id().alias("p")).count().collect()
