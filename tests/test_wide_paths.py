@@ -224,6 +224,20 @@ def test_graphs_loaded_once_are_those_loaded(spark, name, node_w):
     assert sorted(one.edges.collect()) == sorted(two.edges.collect()) and sorted(one.nodes.collect()) == sorted(two.nodes.collect())
 
 
+@pytest.mark.parametrize("keys", [[(1, 1), (1, 1), (2, 1), (None, 1)], [(0, 0), (-1, -1), (-1, 0), (0, -1), (0, -1)]])
+def test_two_sided_pairs_are_summed_once(spark, keys):
+    from graphsplit.sources import tables
+
+    pairs = tables.bipartite(spark.createDataFrame(keys, "l long, r long"), "l", "r")
+    assert pairs._jdf.queryExecution().optimizedPlan().toString().count("Aggregate") == 1
+    want = {}
+    for a, b in keys:
+        if a is not None:
+            pair = (min(2 * a, 2 * b + 1), max(2 * a, 2 * b + 1))
+            want[pair] = want.get(pair, 0) + 1
+    assert {(r.src, r.dst): r.w for r in pairs.collect()} == want and pairs.count() == len(want)
+
+
 def test_loading_once_sums_pairs_once(spark, monkeypatch):
     from graphsplit import model
     from graphsplit.sources import tables
