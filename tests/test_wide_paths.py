@@ -247,6 +247,24 @@ def test_loading_once_sums_pairs_once(spark, monkeypatch):
     assert tables.load_once(spark, "/root/testdata/sf0.001", "supp_part").facts.m > 0 and not asked
 
 
+def test_large_k_runs_build_their_graph_once(spark, monkeypatch):
+    from graphsplit.plans import workloads
+    from graphsplit.sources import tables
+
+    asked, build = [], tables.GRAPHS["doc_lines"]
+    monkeypatch.setitem(tables.GRAPHS, "doc_lines", lambda *x: asked.append(1) or build(*x))
+    runs = workloads.run_large_k(spark, "/root/testdata/sf0.001", ("doc_lines",), ("one_cycle", "single_level_lp"), 1, {"c": 100, "tries": 1, "repeats": 1})
+    assert len(asked) == 1 and {r.algo for r in runs.collect()} == {"one_cycle", "single_level_lp"}
+
+
+def test_lines_are_shuffled_without_their_text(spark):
+    from graphsplit.sources import tables
+
+    pairs = tables.doc_lines(spark, "/root/testdata/sf0.001")
+    assert "split(" not in pairs._jdf.queryExecution().optimizedPlan().toString()
+    assert {f.dataType.typeName() for f in tables._named_lines(spark, "/root/testdata/sf0.001").schema} == {"long", "binary"}
+
+
 def test_instances_get_partitions_of_their_own(spark):
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     got = partitioner.lanes_of(spark, 2 * parts).repartition(parts, "lane").groupBy(F.spark_partition_id().alias("p")).count().collect()
