@@ -12,7 +12,8 @@ A document is its set of word shingles, as 64-bit hashes.  Two documents link if
    bound are opened, and of two groups the one with the smaller name.
 5. An opened group is first met through its leader, a member of median size.  What links with the leader is one component, and needs no
    more tests against it; so a large family of copies costs each of them one test.  The other queries are counted against all
-   members, and those that link with the leader against the members that do not.  Both are dealt in blocks, so no task holds a group.
+   other members, and those that link with the leader against the members that do not.  Both are dealt in blocks, so no task holds a group.
+   Whole sets are sent only where a link is possible: sizes and first tokens rule out most pairs with a leader, sizes most queries and members of a group.
 6. Links become components; a task gives only a spanning forest of its links.
 
 Null and empty texts have empty sets and link with nothing.  Rows with a null id are kept, link with nothing and have a null
@@ -27,7 +28,7 @@ import pyarrow as pa
 import xxhash
 import zstandard
 from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import repeats, storage
@@ -74,6 +75,24 @@ class Rule:
     def links(self, both, n, m):
         return both * self.den >= self.num * (n + m - both)
 
+    # The same as columns of a table.
+    def shared_of(self, n: Column) -> Column:
+        return F.floor((n - F.ceil(n * self.num / self.den)) / 2) + 1
+
+    def alike(self, n: Column, m: Column) -> Column:
+        """Whether sets of n and m tokens may link by their sizes."""
+        return F.least(n, m) * self.den >= F.greatest(n, m) * self.num
+
+    def pair_shared(self, n: Column, m: Column) -> Column:
+        """Tokens that the prefixes of linked sets of n and m share, at least.
+
+        Such sets share ``both`` tokens.  The first l of these in the global order have both - l behind them, so they are among a
+        set's first n - both + l: within its prefix, if l is at most both less the tokens behind the prefix.
+        """
+        both = F.ceil((n + m) * self.num / (self.num + self.den))
+        behind = lambda k: F.greatest(F.lit(0), F.ceil(k * self.num / self.den) - self.shared_of(k))
+        return both - F.greatest(behind(n), behind(m))
+
 
 # ---------------------------------------------------------------- sets and the sketch
 
@@ -169,7 +188,7 @@ def survivors(docs: DataFrame, places: DataFrame, sketch: bytes, rule: Rule) ->
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.int64(), pa.binary()), strict=True)], ["doc_id", "n", "keys", "grp", "tokens"])
 
-    return repeats.with_places(docs, places, "inner", 4 * storage.BROADCAST_ROWS).select("doc_id", "places", "text").mapInArrow(run, schema)
+    return repeats.with_places(docs, storage.small(places), "inner", 4 * storage.BROADCAST_ROWS).select("doc_id", "places", "text").mapInArrow(run, schema)
 
 
 # ---------------------------------------------------------------- the matrix and the groups
@@ -187,30 +206,43 @@ def token_groups(slim: DataFrame) -> DataFrame:
 
 
 def opened(slim: DataFrame, matrix: DataFrame, rule: Rule) -> DataFrame:
-    """(doc_id, grp, of_members): of the groups larger than the query's own, those whose union holds enough of the query's first tokens.
+    """(doc_id, n, grp): of the groups larger than the query's own, those whose union holds enough of the query's first tokens.
 
     Groups are ordered by size, then by name: few queries go from small groups to large ones, not the other way.
     """
     entries = slim.select("doc_id", "n", "grp", "members", F.explode("keys").alias("token"))
-    # The threshold as an expression: shared(overlap(n)).
-    least = F.ceil(F.col("n") * rule.num / rule.den)
-    needed = F.floor((least - F.ceil(least * rule.num / rule.den)) / 2) + 1
+    needed = rule.shared_of(F.ceil(F.col("n") * rule.num / rule.den))
     met = entries.join(matrix, "token").where(F.struct(F.col("of_members"), F.col("of")) > F.struct(F.col("members"), F.col("grp")))
-    held = met.groupBy("doc_id", "n", F.col("of").alias("grp"), "of_members").agg(F.count(F.lit(1)).alias("held"))
-    return held.where(F.col("held") >= needed).select("doc_id", "grp", "of_members").distinct()
+    held = met.groupBy("doc_id", "n", F.col("of").alias("grp")).agg(F.count(F.lit(1)).alias("held"))
+    return held.where(F.col("held") >= needed).select("doc_id", "n", "grp").distinct()
 
 
-def leaders(found: DataFrame) -> DataFrame:
-    """(grp, lead, lead_set): a member of median size of each group that may be asked."""
-    mid = found.groupBy("grp").agg(F.percentile_approx("n", 0.5).alias("mid"))
+def leaders(slim: DataFrame) -> DataFrame:
+    """(grp, lead, lead_n, sole, lead_keys): a member of median size of each group, and whether it has one set there."""
+    mid = slim.groupBy("grp").agg(F.percentile_approx("n", 0.5).alias("mid"))
     near = F.struct(F.abs(F.col("n") - F.col("mid")), "doc_id")
-    lead = found.select("doc_id", "n", "grp").join(storage.small(storage.spill(mid, "mid")), "grp").groupBy("grp").agg(F.min_by("doc_id", near).alias("lead"))
-    sets = found.select(F.col("doc_id").alias("lead"), "grp", F.col("tokens").alias("lead_set"))
-    return sets.join(storage.small(storage.spill(lead, "lead")), ["grp", "lead"]).dropDuplicates(["grp"])
+    each = slim.groupBy("grp", "doc_id").agg(F.min("n").alias("n"), F.count(F.lit(1)).alias("sets"))
+    lead = each.join(storage.small(storage.spill(mid, "mid")), "grp").groupBy("grp").agg(F.min_by(F.struct("doc_id", "n", "sets"), near).alias("least"))
+    lead = lead.select("grp", F.col("least.doc_id").alias("lead"), F.col("least.n").alias("lead_n"), (F.col("least.sets") == 1).alias("sole"))
+    keys = slim.select("grp", F.col("doc_id").alias("lead"), F.col("n").alias("lead_n"), F.col("keys").alias("lead_keys"))
+    return keys.join(storage.small(storage.spill(lead, "lead")), ["grp", "lead", "lead_n"])
+
+
+def ruled_out(queries: DataFrame, lead: DataFrame, rule: Rule) -> DataFrame:
+    """(doc_id, n, grp, home, lead, lead_n, sole, linked) of queries (doc_id, n, keys, grp, home); linked is null where the whole sets have to be compared.
+
+    A first token that two sets share is a repeated one, so ``keys`` hold all of them.
+    """
+    itself = F.col("home") & (F.col("doc_id") == F.col("lead"))
+    common = F.size(F.array_intersect("keys", "lead_keys"))
+    far = ~rule.alike(F.col("n"), F.col("lead_n")) | (common < rule.pair_shared(F.col("n"), F.col("lead_n")))
+    linked = F.when(itself, F.lit(True)).when(far, F.lit(False))
+    return queries.join(storage.small(lead), "grp").select("doc_id", "n", "grp", "home", "lead", "lead_n", "sole", linked.alias("linked"))
 
 
 def against_leaders(pairs: DataFrame, rule: Rule) -> DataFrame:
-    """(doc_id, grp, home, lead, linked) of queries (doc_id, grp, home, tokens, lead, lead_set)."""
+    """(doc_id, n, grp, home, lead, sole, linked) of queries (doc_id, n, grp, home, lead, sole, tokens, lead_set)."""
+    kept = ["doc_id", "n", "grp", "home", "lead", "sole"]
 
     @lean
     def run(batches):
@@ -220,9 +252,19 @@ def against_leaders(pairs: DataFrame, rule: Rule) -> DataFrame:
                 a, b = np.frombuffer(own, dtype=U64), np.frombuffer(lead, dtype=U64)
                 least = min(len(a), len(b)) * rule.den >= rule.num * max(len(a), len(b))
                 linked.append(bool(least and rule.links(len(np.intersect1d(a, b, assume_unique=True)), len(a), len(b))))
-            yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in ("doc_id", "grp", "home", "lead")], pa.array(linked)], ["doc_id", "grp", "home", "lead", "linked"])
+            yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in kept], pa.array(linked)], [*kept, "linked"])
 
-    return pairs.select("doc_id", "grp", "home", "lead", "tokens", "lead_set").mapInArrow(run, "doc_id long, grp long, home boolean, lead long, linked boolean")
+    return pairs.select(*kept, "tokens", "lead_set").mapInArrow(run, "doc_id long, n long, grp long, home boolean, lead long, sole boolean, linked boolean")
+
+
+def may_meet(rows: DataFrame, others: DataFrame, own: Column, rule: Rule) -> DataFrame:
+    """``rows`` (n, grp, side, ...) that may link, by their sizes, with a row of ``others`` but themselves; ``own``: whether a row is one of the others."""
+    seen = others.groupBy("grp", "side").agg(F.count(F.lit(1)).alias("_rows"), F.min("n").alias("_least"), F.max("n").alias("_most"))
+    seen = storage.small(storage.spill(seen, "lengths"))
+    n, least, most = F.col("n"), F.col("_least"), F.col("_most")
+    between = (most * rule.den >= n * rule.num) & (n * rule.den >= least * rule.num)
+    some = F.when(own & (F.col("_rows") == 1), F.lit(False)).when(own & (F.col("_rows") == 2), rule.alike(n, least + most - n)).otherwise(between)
+    return rows.join(seen, ["grp", "side"]).where(some).select(*rows.columns)
 
 
 def _verify(table: pa.Table, rule: Rule) -> pa.Table:
@@ -267,32 +309,35 @@ def links(found: DataFrame, rule: Rule) -> DataFrame:
     slim = storage.spill(sized(found), "sized")
     matrix = storage.spill(token_groups(slim), "matrix")
     asked = storage.spill(opened(slim, matrix, rule), "opened")
-    several = slim.where("members > 1").select("doc_id", "grp")
+    several = slim.where("members > 1")
     wanted = storage.small(storage.spill(several.select("grp").unionByName(asked.select("grp")).distinct(), "wanted"))
-    lead = storage.spill(leaders(found.join(wanted, "grp", "left_semi")), "leaders")
-    sets = found.select("doc_id", "tokens")
-    queries = several.select("doc_id", "grp", F.lit(True).alias("home")).unionByName(asked.select("doc_id", "grp", F.lit(False).alias("home")))
-    led = queries.join(storage.small(lead.select("grp", "lead")), "grp")
-    itself = F.col("home") & (F.col("doc_id") == F.col("lead"))
-    pairs = sets.join(storage.small(storage.spill(led.where(~itself), "asks")), "doc_id").join(storage.small(lead.select("grp", "lead_set")), "grp")
-    tried = against_leaders(pairs, rule).unionByName(led.where(itself).select("doc_id", "grp", "home", "lead", F.lit(True).alias("linked")))
+    lead = storage.spill(leaders(slim.join(wanted, "grp", "left_semi")), "leaders")
+    cols = ("doc_id", "n", "keys", "grp")
+    queries = several.select(*cols, F.lit(True).alias("home")).unionByName(slim.drop("grp").join(storage.small(asked), ["doc_id", "n"]).select(*cols, F.lit(False).alias("home")))
+    asks = storage.spill(ruled_out(queries, lead, rule), "asks")
+    unsure = asks.where("linked is null")
+    sets = found.select("doc_id", "n", "tokens")
+    compared = storage.small(storage.spill(unsure.select("grp", "lead", "lead_n").distinct(), "compared"))
+    lead_sets = found.select("grp", F.col("doc_id").alias("lead"), F.col("n").alias("lead_n"), F.col("tokens").alias("lead_set")).join(compared, ["grp", "lead", "lead_n"]).select("grp", "lead_set")
+    pairs = sets.join(storage.small(unsure.drop("linked", "lead_n")), ["doc_id", "n"]).join(storage.small(lead_sets), "grp")
+    tried = against_leaders(pairs, rule).unionByName(asks.where("linked is not null").drop("lead_n"))
     tried = storage.spill(tried, "tried")
-    single = asked.where("of_members = 1").select("doc_id", "grp", F.lit(False).alias("home"))  # their leader was all of the group
-    storage.release(slim, matrix, lead)
+    storage.release(slim, matrix, lead, asks)
     near = tried.where("linked and doc_id <> lead").select(F.col("doc_id").alias("a"), F.col("lead").alias("b"))
-    tried = tried.join(storage.small(single), ["doc_id", "grp", "home"], "left_anti")
-    # Side 0 of a group: members that link with its leader; side 1: the others.  Who links with the leader need not meet side 0.
+    # Side 0 of a group: members that link with its leader, which all queries have met; side 1: the others.  Who links with the leader need not meet side 0.
     every = F.explode(F.array(F.lit(0), F.lit(1)))
-    queries = tried.where("not linked").select("doc_id", "grp", every.alias("side")).unionByName(tried.where("linked and not home").select("doc_id", "grp", F.lit(1).alias("side")))
-    members = tried.where("home").select("doc_id", "grp", (~F.col("linked")).cast("int").alias("side"))
+    queries = tried.where("not linked").select("doc_id", "n", "grp", "home", every.alias("side")).unionByName(tried.where("linked and not home").select("doc_id", "n", "grp", "home", F.lit(1).alias("side")))
+    members = tried.where("home and not (linked and sole and doc_id = lead)").select("doc_id", "n", "grp", (~F.col("linked")).cast("int").alias("side"))
+    queries = may_meet(queries, members, F.col("home") & (F.col("side") == 1), rule)
+    members = may_meet(members, queries, F.lit(False), rule)
     blocks = lambda n: F.greatest(F.lit(1), F.ceil(n / F.lit(BLOCK))).cast("int")
     size = members.groupBy("grp", "side").agg(blocks(F.count(F.lit(1))).alias("mb")).join(queries.groupBy("grp", "side").agg(blocks(F.count(F.lit(1))).alias("qb")), ["grp", "side"])
     size = storage.small(storage.spill(size, "sides"))
     deal = lambda n: F.pmod(F.xxhash64("doc_id"), n).cast("int")
     spread = lambda n: F.explode(F.sequence(F.lit(0), n - 1))
-    both = members.join(size, ["grp", "side"]).select("doc_id", "grp", "side", deal(F.col("mb")).alias("mblock"), spread(F.col("qb")).alias("qblock"), F.lit(0).alias("role"))
-    both = both.unionByName(queries.join(size, ["grp", "side"]).select("doc_id", "grp", "side", spread(F.col("mb")).alias("mblock"), deal(F.col("qb")).alias("qblock"), F.lit(1).alias("role")))
-    both = sets.join(storage.small(storage.spill(both, "dealt")), "doc_id")
+    both = members.join(size, ["grp", "side"]).select("doc_id", "n", "grp", "side", deal(F.col("mb")).alias("mblock"), spread(F.col("qb")).alias("qblock"), F.lit(0).alias("role"))
+    both = both.unionByName(queries.join(size, ["grp", "side"]).select("doc_id", "n", "grp", "side", spread(F.col("mb")).alias("mblock"), deal(F.col("qb")).alias("qblock"), F.lit(1).alias("role")))
+    both = sets.join(storage.small(storage.spill(both, "dealt")), ["doc_id", "n"])
 
     def run(table: pa.Table) -> pa.Table:
         out = _verify(table, rule)
