@@ -355,8 +355,8 @@ def components(docs: DataFrame, rule: Rule) -> DataFrame:
     classes = storage.spill(classes, "classes")
     reps = storage.small(classes.select("rep").distinct(), 2 * storage.BROADCAST_ROWS)
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    own = docs.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("mark"))
-    own = own.join(reps, own["doc_id"] == reps["rep"], "left_semi")
+    marked = docs.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("mark"))
+    own = marked.join(reps, marked["doc_id"] == reps["rep"], "left_semi")
     places = storage.spill(repeats.repeated_places(own, key_emitter(sketch, rule), key_bytes=5, most_entries=size // 12), "keys")
     repeats.forget_shuffles(spark)
     valid = sets.where("n_shingles > 0 and doc_id is not null")
@@ -364,7 +364,7 @@ def components(docs: DataFrame, rule: Rule) -> DataFrame:
     storage.release(few)
     # Ids of several rows; their sets are kept once each.
     ids = storage.spill(valid.groupBy("doc_id").agg(F.count(F.lit(1)).alias("rows"), F.count_distinct("digest").alias("k")).where("rows > 1"), "ids")
-    found = survivors(own, places, sketch, rule)
+    found = survivors(marked, places, sketch, rule)  # places name rows of ``own`` only
     if ids.take(1):
         several = storage.small(ids.select("doc_id"))
         found = found.join(several, "doc_id", "left_anti").unionByName(found.join(several, "doc_id", "left_semi").dropDuplicates(["doc_id", "tokens"]))
